@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
-from . import simhash
+from . import quality, simhash, token_counts
 
 
 def queries() -> dict:
-    return {"op5_simhash": simhash.op5_simhash}
+    return {
+        "op5_simhash": simhash.op5_simhash,
+        "op6_quality_rules": quality.op6_quality_rules,
+        "op10_token_counts": token_counts.op10_token_counts,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
