@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import quality, simhash, token_counts
+from . import packing, quality, simhash, token_counts
 
 
 def queries() -> dict:
     return {
         "op5_simhash": simhash.op5_simhash,
         "op6_quality_rules": quality.op6_quality_rules,
+        "op7_packing": packing.op7_packing,
         "op10_token_counts": token_counts.op10_token_counts,
     }
 
