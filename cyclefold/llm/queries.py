@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from . import packing, quality, simhash, token_counts
+from . import packing, pii, quality, simhash, token_counts, toxicity
 
 
 def queries() -> dict:
     return {
+        "op3_pii": pii.op3_pii,
         "op5_simhash": simhash.op5_simhash,
         "op6_quality_rules": quality.op6_quality_rules,
         "op7_packing": packing.op7_packing,
+        "op8_toxicity": toxicity.op8_toxicity,
         "op10_token_counts": token_counts.op10_token_counts,
     }
 
