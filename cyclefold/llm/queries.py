@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import packing, pii, quality, simhash, token_counts, toxicity
+from . import html, packing, pii, quality, simhash, token_counts, toxicity
 
 
 def queries() -> dict:
     return {
         "op3_pii": pii.op3_pii,
+        "op4_main_text": html.op4_main_text,
         "op5_simhash": simhash.op5_simhash,
         "op6_quality_rules": quality.op6_quality_rules,
         "op7_packing": packing.op7_packing,
