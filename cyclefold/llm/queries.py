@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import html, packing, pii, quality, simhash, token_counts, toxicity
+from . import fingerprints, html, packing, pii, quality, simhash, token_counts, toxicity
 
 
 def queries() -> dict:
     return {
+        "op1_fingerprints": fingerprints.op1_fingerprints,
         "op3_pii": pii.op3_pii,
         "op4_main_text": html.op4_main_text,
         "op5_simhash": simhash.op5_simhash,
