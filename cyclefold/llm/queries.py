@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import fingerprints, html, packing, pii, quality, simhash, token_counts, toxicity
+from . import fingerprints, html, packing, pii, quality, simhash, token_counts, toxicity, warc
 
 
 def queries() -> dict:
@@ -14,9 +14,10 @@ def queries() -> dict:
         "op6_quality_rules": quality.op6_quality_rules,
         "op7_packing": packing.op7_packing,
         "op8_toxicity": toxicity.op8_toxicity,
+        "op9_fixity": warc.op9_fixity,
         "op10_token_counts": token_counts.op10_token_counts,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op9_fixity": warc.ORACLE}
