@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import fingerprints, html, packing, pii, quality, simhash, token_counts, toxicity, warc
+from . import fingerprints, html, packing, pii, quality, sentencepiece_fst, simhash, token_counts, toxicity, warc
 
 
 def queries() -> dict:
     return {
         "op1_fingerprints": fingerprints.op1_fingerprints,
+        "op2_sentencepiece": sentencepiece_fst.op2_sentencepiece,
         "op3_pii": pii.op3_pii,
         "op4_main_text": html.op4_main_text,
         "op5_simhash": simhash.op5_simhash,
