@@ -17,9 +17,9 @@ place by its rank among the pieces of its length. Ranks need no gathering: a pie
 within its input partition, and the partitions' counts are summed up in order.
 
 Token ids are the library's. Most words recur, so the ids of a word are kept (merges never
-cross a word of the tokenizer's own split) and only new words go to the library, many at a
-time; texts with characters beyond Latin-1, control characters or special tokens go to the
-library whole.
+cross a word of the tokenizer's own split) and only new words go to the library's merges;
+texts with characters beyond Latin-1, control characters or special tokens go to the library
+whole.
 
 Defined results: null text = empty text = the end id alone; repeated rows are packed as
 separate documents; an empty table gives an empty result.
@@ -29,6 +29,7 @@ from __future__ import annotations
 
 import json
 import re
+import struct
 import zlib
 from bisect import bisect_left, insort
 from collections.abc import Iterable
@@ -45,7 +46,7 @@ CAPACITY = 4096
 END_ID = 1
 VOCABULARY = "word_bpe_49k.json"
 #: Words whose ids a task keeps before it starts anew.
-KEPT_WORDS = 400_000
+KEPT_WORDS = 1_200_000
 
 
 def default_vocabulary() -> str:
@@ -54,6 +55,16 @@ def default_vocabulary() -> str:
     return public_tokenizers.path(VOCABULARY)
 
 
+def _byte_letters() -> dict[int, int]:
+    """The alphabet of byte-level vocabularies: printable bytes stand for themselves, the others follow 255."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    others = (b for b in range(256) if b not in plain)
+    return {b: 256 + i for i, b in enumerate(others)}
+
+
+_BYTE_LETTERS = _byte_letters()
+
+
 class WordEncoder:
     """The library's ids of whole texts, as little-endian unsigned 32-bit numbers."""
 
@@ -71,41 +82,43 @@ class WordEncoder:
         with open(path, encoding="utf-8") as f:
             about = json.load(f)
         self.special = [t["content"] for t in about["added_tokens"]]
-        vocabulary = about["model"]["vocab"]
-        self.ends = np.zeros(1 + max(max(vocabulary.values()), *(t["id"] for t in about["added_tokens"])), bool)
-        self.ends[[i for word, i in vocabulary.items() if word.endswith("</w>")]] = True
+        self.merge = self.tokenizer.model.tokenize
         self.kept: dict[str, bytes] = {}
 
     def _library(self, text: str) -> np.ndarray:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4")
 
-    def _learn(self, words: list[str]) -> None:
-        for at in range(0, len(words), 4096):
-            some = words[at : at + 4096]
-            ids = self._library(" ".join(some))
-            cuts = np.flatnonzero(self.ends[ids]) + 1
-            if len(cuts) == len(some):
-                raw, cuts = ids.tobytes(), 4 * cuts
-                for word, a, b in zip(some, np.r_[0, cuts[:-1]], cuts, strict=True):
-                    self.kept[word] = raw[a:b]
-            else:
-                self.kept |= {word: self._library(word).tobytes() for word in some}
+    def _merged(self, word: str) -> bytes:
+        """A new word goes to the library's merges alone, in its alphabet of bytes."""
+        letters = word if word.isascii() else word.encode().decode("latin-1").translate(_BYTE_LETTERS)
+        ids = [t.id for t in self.merge(letters)]
+        return struct.pack(f"<{len(ids)}I", *ids)
+
+    def _learn(self, run: str) -> None:
+        """The ids of a run without white space, from those of its words."""
+        kept, words = self.kept, self._words.findall(run)
+        for word in words:
+            if word not in kept:
+                kept[word] = self._merged(word)
+        if run not in kept:
+            kept[run] = b"".join([kept[w] for w in words])
 
     def batch(self, texts: Iterable[str]) -> list[bytes]:
-        out: list[bytes | list[str]] = []
-        new: set[str] = set()
+        """The ids of each text; new runs of the batch are learned first."""
         if len(self.kept) > KEPT_WORDS:
             self.kept.clear()
+        split: list[bytes | list[str]] = []
+        runs: set[str] = set()
         for text in texts:
             if self._plain.fullmatch(text) and not any(s in text for s in self.special):
-                words = self._words.findall(text.lower())
-                new.update(words)
-                out.append(words)
+                split.append(text.lower().split())
+                runs.update(split[-1])
             else:
-                out.append(self._library(text).tobytes())
-        self._learn([w for w in new if w not in self.kept])
+                split.append(self._library(text).tobytes())
+        for run in runs.difference(self.kept):
+            self._learn(run)
         kept = self.kept.__getitem__
-        return [x if isinstance(x, bytes) else b"".join(map(kept, x)) for x in out]
+        return [x if isinstance(x, bytes) else b"".join(map(kept, x)) for x in split]
 
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, nth long"
