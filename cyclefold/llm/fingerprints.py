@@ -79,52 +79,59 @@ def as_text(sketch: Column) -> Column:
     return F.array_join(F.transform(sketch, lambda x: F.lower(F.lpad(F.hex(x), 16, "0"))), "")
 
 
+#: What names a row: its id with null told apart from zero, and its text's hash. Plain columns, so
+#: that joins and windows over them agree on one partitioning.
+_KEY = ["id", "no_id", "digest"]
+
+
+def keyed(docs: DataFrame) -> DataFrame:
+    """The text and the row's key, from which the doc_id can be read again."""
+    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    return base.select(F.coalesce("doc_id", F.lit(0)).alias("id"), F.isnull("doc_id").alias("no_id"), F.xxhash64("text").alias("digest"), "text")
+
+
 def followers(docs: DataFrame) -> DataFrame:
-    """doc_id, digest, to_id, to_digest, quarter: each document and the one before it in ascending
-    doc_id, which takes ``quarter`` code points from it; before the first comes the last.
+    """Each keyed document with the key of the one before it in ascending doc_id (to_*), which takes
+    ``quarter`` code points from it; before the first comes the last.
 
     Rows with the same doc_id and text count once; rows that only share a doc_id are ordered
     by their text's hash; null ids come first. Ids are dealt out by range and ordered inside
     each range; across ranges only the last row of each, one per partition, is compared.
     """
-    keys = docs.select("doc_id", "digest", F.char_length("text").alias("n")).distinct()
-    ranged = common.materialise(keys.repartitionByRange("doc_id", "digest").withColumn("part", F.spark_partition_id()))
-    this = F.struct("doc_id", "digest", "n")
+    keys = docs.select(*_KEY, F.char_length("text").alias("n")).distinct()
+    order = [F.desc("no_id"), F.col("id"), F.col("digest")]
+    ranged = common.materialise(keys.repartitionByRange(*order).withColumn("part", F.spark_partition_id()))
+    this = F.struct((~F.col("no_id")).alias("has_id"), "id", "digest", "n")
     ends = ranged.groupBy("part").agg(F.max(this).alias("end"))
     by_part = Window.orderBy("part")
     last = F.last("end").over(by_part.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
     before = ends.select("part", F.coalesce(F.lag("end").over(by_part), last).alias("before"))
-    inside = ranged.withColumn("prev", F.lag(this).over(Window.partitionBy("part").orderBy("doc_id", "digest")))
+    inside = ranged.withColumn("prev", F.lag(this).over(Window.partitionBy("part").orderBy(*order)))
     to = F.coalesce("prev", "before")
     return common.materialise(
-        inside.join(before, "part").select("doc_id", "digest", to["doc_id"].alias("to_id"), to["digest"].alias("to_digest"), F.floor(to["n"] / 4).cast("int").alias("quarter"))
+        inside.join(before, "part").select(
+            *_KEY, to["id"].alias("to_id"), (~to["has_id"]).alias("to_no_id"), to["digest"].alias("to_digest"), F.floor(to["n"] / 4).cast("int").alias("quarter")
+        )
     )
 
 
 def edited(docs: DataFrame, k: int = K) -> DataFrame:
     """Every document's sketch, its edited text's and the next document's (columns doc_id, text).
 
-    One exchange of the texts by (doc_id, digest) serves both sides: the text that is edited,
-    and the giver, which sends on only the prefix that is asked for and its sketch.
+    One exchange of the texts by their keys serves both sides: the text that is edited, and
+    the giver, which sends on only the prefix that is asked for and its sketch.
     """
-    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    base = base.withColumn("digest", F.xxhash64("text"))
-    order = followers(base)
-    same = lambda a, b: a["doc_id"].eqNullSafe(b["doc_id"]) & (a["digest"] == b["digest"])
-    g, o = base.alias("g"), order.alias("o")
-    first = F.row_number().over(Window.partitionBy("g.doc_id", "g.digest").orderBy("g.doc_id")) == 1
-    given = g.join(o, F.col("g.doc_id").eqNullSafe(F.col("o.doc_id")) & (F.col("g.digest") == F.col("o.digest"))).select(
-        F.col("o.to_id").alias("doc_id"), F.col("o.to_digest").alias("digest"), F.col("g.text").alias("giver"), "o.quarter", first.alias("first")
-    )
-    given = with_sketches(given.filter("first"), {"next_sketch": "giver"}, k).select(
-        "doc_id", "digest", F.expr("substring(giver, 1, quarter)").alias("put"), "next_sketch"
-    )
-    both = base.join(given, same(base, given)).select(base["doc_id"], base["text"], given["put"], given["next_sketch"])
-    n = F.char_length("text")
-    both = both.withColumn("n_chars", n.cast("long")).withColumn(
-        "edited", F.concat(F.expr("substring(text, 1, char_length(text) - int(floor(char_length(text) / 4)))"), "put")
+    base = keyed(docs)
+    first = F.row_number().over(Window.partitionBy(*_KEY).orderBy("id")) == 1
+    given = base.join(followers(base), _KEY).withColumn("first", first).filter("first")
+    given = with_sketches(given, {"next_sketch": "text"}, k).select(
+        F.col("to_id").alias("id"), F.col("to_no_id").alias("no_id"), F.col("to_digest").alias("digest"), F.expr("substring(text, 1, quarter)").alias("put"), "next_sketch"
     )
-    both = both.select("doc_id", "n_chars", "text", "edited", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), "next_sketch")
+    both = base.join(given, _KEY).select(
+        F.when(~F.col("no_id"), F.col("id")).alias("doc_id"), F.char_length("text").cast("long").alias("n_chars"), "text",
+        F.concat(F.expr("substring(text, 1, char_length(text) - int(floor(char_length(text) / 4)))"), "put").alias("edited"), "next_sketch",
+    )
+    both = both.withColumn("edited_sha256", F.sha2(F.col("edited").cast("binary"), 256))
     return with_sketches(both, {"sketch": "text", "edited_sketch": "edited"}, k)
 
 
