@@ -186,8 +186,9 @@ def main_element(root: Element, skip) -> Element:
     return best.get("article") or best.get("main") or best.get("body") or root
 
 
-def candidates(root: Element) -> tuple[int, set[int]]:
-    """The main content's hash, and the hashes of the subtrees that may be template."""
+def candidates(root: Element) -> tuple[int, set[int], set[int]]:
+    """The main content's hash, the hashes of the subtrees that may be template, and those of them
+    whose deletion would change the text, as they stand in the main element and don't go anyway."""
     main = main_element(root, _declared)
     held = {id(e) for e, _ in _elements(main)}
     found = set()
@@ -197,7 +198,8 @@ def candidates(root: Element) -> tuple[int, set[int]]:
                 found.add(e.digest)
             elif main.tag == "body" or main.tag == "#root":
                 found.add(e.digest)
-    return main.digest if main.tag in ("article", "main") or main.role == "main" else root.digest, found
+    live = found & {e.digest for e, _ in _elements(main, _declared)}
+    return main.digest if main.tag in ("article", "main") or main.role == "main" else root.digest, found, live
 
 
 def _holds(e: Element, other: Element) -> bool:
@@ -253,19 +255,20 @@ def page_key() -> F.Column:
 
 
 def subtrees(pages: DataFrame) -> DataFrame:
-    """key, host, content, hashes: one row per page with its candidate subtrees."""
-    schema = pa.schema([("key", pa.int64()), ("host", pa.string()), ("content", pa.int64()), ("hashes", pa.list_(pa.int64()))])
+    """key, host, content, hashes, live: one row per page with its candidate subtrees."""
+    hashes = pa.list_(pa.int64())
+    schema = pa.schema([("key", pa.int64()), ("host", pa.string()), ("content", pa.int64()), ("hashes", hashes), ("live", hashes)])
     signed = lambda v: v - (1 << 64) if v >> 63 else v
 
     def make():
         def one(key, name, html):
-            content, found = candidates(parse(html or ""))
-            return ((key, name, signed(content), [signed(h) for h in found]),)
+            content, found, live = candidates(parse(html or ""))
+            return ((key, name, signed(content), [signed(h) for h in found], [signed(h) for h in live]),)
 
         return one
 
     return pages.select(page_key().alias("key"), host().alias("host"), "html").mapInArrow(
-        common.per_row(["key", "host", "html"], schema, make), "key long, host string, content long, hashes array<long>"
+        common.per_row(["key", "host", "html"], schema, make), "key long, host string, content long, hashes array<long>, live array<long>"
     )
 
 
@@ -285,11 +288,16 @@ def templates(trees: DataFrame, min_pages: int = MIN_PAGES) -> DataFrame:
 
 
 def main_text(pages: DataFrame, min_pages: int = MIN_PAGES) -> DataFrame:
-    """page_id, url, text, n_chars for every row of ``pages`` (columns page_id, url, html)."""
+    """page_id, url, text, n_chars for every row of ``pages`` (columns page_id, url, html).
+
+    Only template subtrees whose deletion changes a page's text are joined back to pages. What
+    is to be deleted is written first, so that its size is known: below Spark's threshold it
+    is broadcast and no page is shuffled, beyond it pages and deletions meet in a sorted join.
+    """
     trees = common.materialise(subtrees(pages))
     known = common.materialise(templates(trees, min_pages))
     hits = (
-        trees.select("key", "host", F.explode("hashes").alias("hash"))
+        trees.select("key", "host", F.explode("live").alias("hash"))
         .distinct()
         .join(known, ["host", "hash"])
         .groupBy("key")
