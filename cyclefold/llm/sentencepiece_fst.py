@@ -41,6 +41,8 @@ from . import common
 MODEL = "piece_bpe_32k.model"
 MARK = "▁"
 KEPT_WORDS, KEPT_PAIRS = 500_000, 1_000_000
+#: Texts up to this many characters are composed from their end.
+SHORT = 200
 #: Piece types of the model format, and its penalty below the worst score.
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, MERGES = 1, 2
@@ -107,9 +109,18 @@ class Machine:
         self.worst = min(self.rank.values()) - UNKNOWN_PENALTY
         #: Words can be composed one by one.
         self.by_word = not any(MARK in p.lstrip(MARK) for p in self.id)
-        self.words: dict[str, bytes] = {}
+        #: A line feed in no piece parts words too.
+        self.by_line = not any("\n" in p for p in self.id)
+        self.bytes_of = [
+            bytes([int(p[3:5], 16)]) if t == BYTE else b" \xe2\x81\x87 " if t == UNKNOWN else b"" if t == CONTROL else p.replace(MARK, " ").encode()
+            for p, _, t in self.pieces
+        ]
+        self.packed = {p: struct.pack("<I", i) for p, i in self.id.items()}
+        self.words: dict[str, bytes] = {}  # of words as they are
+        self.marked: dict[str, bytes] = {}  # of words with one mark in front, by the word behind it
         self.pairs: dict[tuple[str, str], bool] = {}
         self.whole: dict[str, bool] = {}
+        self.tails: dict[str, str] = {}
 
     # --- the normaliser ---
 
@@ -161,8 +172,27 @@ class Machine:
 
     # --- shortest paths ---
 
+    def tail(self, text: str) -> str:
+        """The last piece on the path through a short text. A path's beginning is the path of the
+        beginning, so the composition is expanded only where asked for, and kept."""
+        if (known := self.tails.get(text)) is not None:
+            return known
+        n = len(text)
+        for start in range(max(0, n - self.longest), n):
+            piece = text[start:]
+            if (piece in self.rank and self.is_whole(piece) or start == n - 1) and (not start or self.agree(self.tail(text[:start]), piece)):
+                self.tails[text] = piece
+                return piece
+        raise AssertionError("a merge model has a path through every text")
+
     def path(self, text: str) -> list[str]:
         """The pieces (or single characters that are none) on the shortest path through a normalised text."""
+        if self.kind == MERGES and len(text) <= SHORT:
+            out = []
+            while text:
+                out.append(self.tail(text))
+                text = text[: -len(out[-1])]
+            return out[::-1]
         n = len(text)
         best = [math.inf] * (n + 1)
         best[0] = 0.0
@@ -209,34 +239,44 @@ class Machine:
         text = self.normalised(text or "")
         if not text:
             return b""
-        if not (self.by_word and self.bytes):
-            ids = self.output(self.path(text))
-            return struct.pack(f"<{len(ids)}I", *ids)
-        kept = self.words
-        if len(kept) > KEPT_WORDS:
-            kept.clear()
-        words = _words(text)
-        out = [kept.get(w) for w in words]
-        for i, found in enumerate(out):
-            if found is None:
-                word = words[i]
-                if word not in kept:
-                    ids = self.output(self.path(word))
-                    kept[word] = struct.pack(f"<{len(ids)}I", *ids)
-                out[i] = kept[word]
-        return b"".join(out)
+        if not (self.by_word and self.by_line and self.bytes):
+            return self._packed(text)
+        if len(self.words) + len(self.marked) > KEPT_WORDS:
+            self.words.clear()
+            self.marked.clear()
+        if len(self.tails) > KEPT_PAIRS:
+            self.tails.clear()
+        out = []
+        for line in text.split("\n"):
+            first, *rest = line.split(MARK)
+            if "" in rest:  # runs of marks
+                words = _words(line)
+                self._learn(words, self.words, "")
+                out.append(b"".join(map(self.words.__getitem__, words)))
+                continue
+            head = [first] if first else []
+            self._learn(head, self.words, "")
+            self._learn(rest, self.marked, MARK)
+            out.append(b"".join([*map(self.words.__getitem__, head), *map(self.marked.__getitem__, rest)]))
+        return struct.pack("<I", self.bytes[10]).join(out)
+
+    def _packed(self, text: str) -> bytes:
+        if self.kind == MERGES and len(text) <= SHORT:  # path and output in one walk
+            known, packed, out = self.tails.get, self.packed.get, []
+            while text:
+                piece = known(text) or self.tail(text)
+                out.append(packed(piece) or struct.pack(f"<{len(b := piece.encode())}I", *map(self.bytes.__getitem__, b)))
+                text = text[: -len(piece)]
+            return b"".join(out[::-1])
+        ids = self.output(self.path(text))
+        return struct.pack(f"<{len(ids)}I", *ids)
+
+    def _learn(self, words: list[str], kept: dict[str, bytes], mark: str) -> None:
+        for word in set(words).difference(kept):
+            kept[word] = self._packed(mark + word)
 
     def decode(self, ids: bytes) -> str:
-        out: list[bytes] = []
-        for i in np.frombuffer(ids, "<u4").tolist():
-            piece, _, kind = self.pieces[i]
-            if kind == BYTE:
-                out.append(bytes([int(piece[3:5], 16)]))
-            elif kind == UNKNOWN:
-                out.append(" ⁇ ".encode())
-            elif kind != CONTROL:
-                out.append(piece.replace(MARK, " ").encode())
-        raw = b"".join(out)
+        raw = b"".join(map(self.bytes_of.__getitem__, np.frombuffer(ids, "<u4").tolist()))
         if self.prefix and raw[:1] == b" ":
             raw = raw[1:]
         try:
