@@ -1 +1 @@
-
+"""Local kernels, column expressions and SQL functions."""

@@ -1 +1 @@
-
+"""Steps of the method as DataFrame operators."""

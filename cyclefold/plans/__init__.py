@@ -1 +1 @@
-
+"""Whole pipelines, planted recordings, corruptions and experiments."""

@@ -1 +1 @@
-
+"""Sources, sinks and stored layouts."""

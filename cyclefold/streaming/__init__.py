@@ -1 +1 @@
-
+"""Structured streaming forms."""
