@@ -127,9 +127,13 @@ _DIGIT_WORDS = {
 }
 
 
+#: All that the glyph transducer may rewrite.
+_BEYOND = re.compile("[\xad\xb7\u0100-\U0010ffff]")
+
+
 @lru_cache(maxsize=1)
-def _glyphs() -> tuple[dict[int, str | None], re.Pattern]:
-    """The glyph transducer, from the Unicode tables beyond Latin-1, and what triggers it."""
+def _glyphs() -> dict[int, str | None]:
+    """The glyph transducer, from the Unicode tables beyond Latin-1."""
     table: dict[int, str | None] = {}
     for code in range(0x100, sys.maxunicode + 1):
         c = chr(code)
@@ -142,8 +146,7 @@ def _glyphs() -> tuple[dict[int, str | None], re.Pattern]:
         elif len(plain) == 1 and " " < plain <= "~":
             table[code] = plain
     table |= {ord(c): plain for c, plain in _LOOKALIKE.items()}
-    table |= dict.fromkeys(map(ord, _INVISIBLE))
-    return table, re.compile("[" + "".join(re.escape(chr(c)) for c in sorted(table)) + "]")
+    return table | dict.fromkeys(map(ord, _INVISIBLE))
 
 
 _OPEN, _CLOSE = r"[\[({<]\s{0,3}", r"\s{0,3}[\])}>]"
@@ -158,7 +161,13 @@ _WORD = "|".join(sorted(map(re.escape, _DIGIT_WORDS), key=len, reverse=True))
 _SEP = r"(?:[ ,-]{1,3})"
 _RUN = re.compile(rf"\b(?:plus{_SEP})?(?:(?:{_WORD})\b)(?:{_SEP}(?:(?:{_WORD}|{_DOT_WORDS}|[0-9]+)\b))*", re.I)
 _TOKEN = re.compile(rf"(?P<plus>plus)|(?P<word>{_WORD})|(?P<dot>{_DOT_WORDS})|(?P<digits>[0-9]+)", re.I)
-_SPELLED_HINT = re.compile(rf"\b(?:{_WORD}){_SEP}(?:{_WORD})\b", re.I)
+_RUN_WORDS = frozenset([*_DIGIT_WORDS, *_DOT_WORDS.split("|")])
+
+
+def _spelled_hint(low: str) -> bool:
+    """Two neighbouring words that can stand inside a run; every long enough run has them."""
+    words = low.replace(",", " ").replace("-", " ").split()
+    return b"\1\1" in bytes([w in _RUN_WORDS or "0" <= w[0] <= "9" for w in words])
 
 
 class Rewritten:
@@ -197,8 +206,10 @@ class Rewritten:
 def _glyph_edits(text: str) -> list[tuple[int, int, str]]:
     if text.isascii():
         return []
-    table, trigger = _glyphs()
-    return [(m.start(), m.end(), table[ord(m[0])] or "") for m in trigger.finditer(text)]
+    if not _BEYOND.search(text):
+        return []
+    table = _glyphs()
+    return [(m.start(), m.end(), table[ord(m[0])] or "") for m in _BEYOND.finditer(text) if ord(m[0]) in table]
 
 
 def _address_edits(text: str) -> list[tuple[int, int, str]]:
@@ -226,16 +237,15 @@ def _digit_edits(text: str) -> list[tuple[int, int, str]]:
 
 def disguised(text: str) -> Rewritten | None:
     """The text as the transducers leave it; None if they change nothing."""
-    low = None
-    glyphs = _glyph_edits(text)
     seen = Rewritten(text)
-    seen.splice(glyphs)
+    seen.splice(_glyph_edits(text))
     if any(c in seen.text for c in "[({<"):
         seen.splice([(m.start(), m.end(), "@" if m["at"] else ".") for m in _BRACKETED.finditer(seen.text)])
     low = seen.text.lower()
     if "@" in low or any(w in low for w in (" at ", "_at_", " ät ", " arobase ", " arroba ", " klammeraffe ")):
         seen.splice(_address_edits(seen.text))
-    if _SPELLED_HINT.search(seen.text):
+        low = seen.text.lower()
+    if _spelled_hint(low):
         seen.splice(_digit_edits(seen.text))
     return seen if len(seen.text) != len(text) or seen.changed.any() else None
 
