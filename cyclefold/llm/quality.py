@@ -1,12 +1,13 @@
 """Quality rules per document, and verdicts per host by a shrunken failure rate.
 
 Method. Each document is measured whole (`measure`). *Hard* rules reject it by themselves.
-*Soft* rules mark it as doubtful. For every host the share of its documents that fail a
-rule is shrunk towards the corpus: with a beta prior whose mean and weight are fitted to
-all hosts by moments, the posterior rate of a host with f failures in n documents is
-(f + a) / (n + a + b), so a host with few documents cannot be condemned by one of them.
-A host whose posterior rate exceeds ``HOST_LIMIT`` is a bad host; there doubtful documents
-go too. A document that breaks no rule stays on any host.
+*Soft* rules give it a doubt: how many times it exceeds what they allow. For every host the
+share of its documents that fail a rule is shrunk towards the corpus: with a beta prior whose
+mean and weight are fitted to all hosts by moments, the posterior rate of a host with f
+failures in n documents is (f + a) / (n + a + b), so a host with few documents cannot be
+condemned by one of them. The rate sets how much doubt the host's documents may have: none
+beyond the rules from ``HOST_LIMIT`` on, ``TOLERANCE`` times the rules on a host without
+failures, in between in proportion. A document that breaks no rule stays on any host.
 
 Words are maximal runs without the six ASCII white-space characters. Defined results: null
 text = empty text (no words, hence rejected); a null host is a host of its own; repeated
@@ -30,10 +31,11 @@ SPACES = " \t\n\r\x0b\x0c"
 MIN_WORDS = 20
 MAX_REPEAT_PERCENT = 30
 #: Soft rules: symbols per word and duplicated lines per line, in percent.
-MAX_SYMBOL_PERCENT = 25
+MAX_SYMBOL_PERCENT = 10
 MAX_DUP_LINE_PERCENT = 30
-#: A host is bad if this share of its documents is expected to fail.
+#: From this expected share of failures on a host's documents may have no doubt beyond 1.
 HOST_LIMIT = 0.5
+TOLERANCE = 4.0
 
 _MIX = np.array([pow(0x9E3779B97F4A7C15, k + 1, 1 << 64) | 1 for k in range(WINDOW)], dtype=np.uint64)
 
@@ -89,10 +91,10 @@ def base_failed() -> F.Column:
     return (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
 
 
-def doubtful() -> F.Column:
-    return (100 * F.col("n_symbols") > MAX_SYMBOL_PERCENT * F.col("n_words")) | (
-        100 * F.col("n_dup_lines") > MAX_DUP_LINE_PERCENT * F.col("n_lines")
-    )
+def doubt() -> F.Column:
+    """How many times a document exceeds the soft rules; 1 is just allowed."""
+    share = lambda c, of, most: F.coalesce(F.try_divide(100 * F.col(c), most * F.col(of)), F.when(F.col(c) > 0, TOLERANCE).otherwise(0.0))
+    return F.greatest(share("n_symbols", "n_words", F.lit(float(MAX_SYMBOL_PERCENT))), share("n_dup_lines", "n_lines", F.lit(float(MAX_DUP_LINE_PERCENT))))
 
 
 def measured(docs: DataFrame, keep: list[str], host: str = "source") -> DataFrame:
@@ -117,12 +119,13 @@ def measured(docs: DataFrame, keep: list[str], host: str = "source") -> DataFram
         given.mapInArrow(run, out)
         .withColumn("host", F.col("row").getField(host))
         .withColumn("base_failed", base_failed())
-        .withColumn("failed", F.col("base_failed") | doubtful())
+        .withColumn("doubt", doubt())
+        .withColumn("failed", F.col("base_failed") | (F.col("doubt") > 1))
     )
 
 
-def host_verdicts(per_document: DataFrame, limit: float = HOST_LIMIT) -> DataFrame:
-    """host, n_docs, n_failed, rate (posterior mean), bad; from columns host and failed.
+def host_verdicts(per_document: DataFrame) -> DataFrame:
+    """host, n_docs, n_failed, rate (posterior mean), allowed (doubt); from columns host and failed.
 
     Prior by moments over all hosts: the variance of the rates between hosts beyond what n
     draws explain gives the prior's weight; without any it is the corpus mean at full weight.
@@ -133,7 +136,8 @@ def host_verdicts(per_document: DataFrame, limit: float = HOST_LIMIT) -> DataFra
     )
     alpha, beta = _prior(hosts)
     rate = (F.col("n_failed") + F.lit(alpha)) / (F.col("n_docs") + F.lit(alpha + beta))
-    return hosts.withColumn("rate", rate).withColumn("bad", F.col("rate") > limit)
+    allowed = 1 + (TOLERANCE - 1) * F.greatest(F.lit(0.0), 1 - F.col("rate") / HOST_LIMIT)
+    return hosts.withColumn("rate", rate).withColumn("allowed", allowed)
 
 
 def _prior(hosts: DataFrame) -> tuple[float, float]:
@@ -153,28 +157,28 @@ def _prior(hosts: DataFrame) -> tuple[float, float]:
     return mean * weight, (1 - mean) * weight
 
 
+def judged(rows: DataFrame, hosts: DataFrame) -> DataFrame:
+    """Adds ``kept``. ``hosts`` is a written table, so that its size is known when it is joined:
+    Spark broadcasts it only below its threshold and else splits a hot host in a sorted join."""
+    named = hosts.select(F.col("host").alias("of_host"), "allowed")
+    out = rows.join(named, F.col("host").eqNullSafe(F.col("of_host")), "left")
+    return out.withColumn("kept", ~F.col("base_failed") & ((F.col("doubt") <= 1) | (F.col("doubt") < F.coalesce("allowed", F.lit(1.0)))))
+
+
 def verdicts(docs: DataFrame, keep: list[str], host: str = "source") -> DataFrame:
     """``row`` (the columns kept), the counts, base_failed and kept, one row per document."""
-    # The verdict table is written first, so that its size is known when it is joined: Spark
-    # broadcasts it only below its threshold and else splits a hot host in a sorted join.
     rows = common.materialise(measured(docs, keep, host))
-    bad = common.materialise(host_verdicts(rows).filter("bad").select(F.col("host").alias("bad_host"), F.lit(True).alias("is_bad")))
-    return rows.join(bad, F.col("host").eqNullSafe(F.col("bad_host")), "left").withColumn(
-        "kept", ~F.col("base_failed") & ~(F.col("failed") & F.coalesce("is_bad", F.lit(False)))
-    )
+    return judged(rows, common.materialise(host_verdicts(rows)))
 
 
 def keep_good(docs: DataFrame, host: str = "source") -> DataFrame:
     """The documents that stay, columns as given.
 
     Texts are measured twice, once for the host rates and once for the verdicts, so that no
-    text is shuffled unless the bad hosts are too many to broadcast.
+    text is shuffled unless the hosts are too many to broadcast.
     """
-    bad = common.materialise(
-        host_verdicts(measured(docs, [host], host)).filter("bad").select(F.col("host").alias("bad_host"), F.lit(True).alias("is_bad"))
-    )
-    rows = measured(docs, docs.columns, host).join(bad, F.col("host").eqNullSafe(F.col("bad_host")), "left")
-    return rows.filter(~F.col("base_failed") & ~(F.col("failed") & F.coalesce("is_bad", F.lit(False)))).select("row.*")
+    hosts = common.materialise(host_verdicts(measured(docs, [host], host)))
+    return judged(measured(docs, docs.columns, host), hosts).filter("kept").select("row.*")
 
 
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,9 +7,9 @@ import corpus_pipeline
 from cyclefold.llm import packing, pii, quality, simhash, toxicity
 
 
-def plain(rows, model, hosts_bad):
+def plain(rows, model, allowed):
     """The stages on a list, row by row."""
-    rows = [r for r in rows if _good(r, hosts_bad)]
+    rows = [r for r in rows if _good(r, allowed)]
     scorer = toxicity.Scorer(model)
     rows = [r for r in rows if scorer([r[1]])[0] < toxicity.THRESHOLD]
     prints = [simhash.fingerprint(r[1]) for r in rows]
@@ -33,12 +33,12 @@ def plain(rows, model, hosts_bad):
     return out
 
 
-def _good(row, hosts_bad):
+def _good(row, allowed):
     words, _, symbols, dup, repeat, lines = quality.measure(row[1])
     if words < 20 or 100 * repeat > 30 * words:
         return False
-    doubtful = 100 * symbols > 25 * words or 100 * dup > 30 * lines
-    return not (doubtful and row[3] in hosts_bad)
+    doubt = max(100 * symbols / (10.0 * words), 100 * dup / (30.0 * lines))
+    return doubt <= 1 or doubt < allowed[row[3]]
 
 
 def test_stages_against_a_plain_version(spark: SparkSession, tmp_path):
@@ -47,9 +47,9 @@ def test_stages_against_a_plain_version(spark: SparkSession, tmp_path):
     source.write.parquet(str(tmp_path / "documents.parquet"))
     labels.write.parquet(str(tmp_path / "labels.parquet"))
     rows = sorted(tuple(r) for r in source.collect())
-    bad = {r.host for r in quality.host_verdicts(quality.measured(source, ["doc_id"])).filter("bad").collect()}
-    kept = source.filter(source.doc_id.isin([r[0] for r in rows if _good(r, bad)]))
-    want = plain(rows, toxicity.fit(kept, labels), bad)
+    allowed = {r.host: r.allowed for r in quality.host_verdicts(quality.measured(source, ["doc_id"])).collect()}
+    kept = source.filter(source.doc_id.isin([r[0] for r in rows if _good(r, allowed)]))
+    want = plain(rows, toxicity.fit(kept, labels), allowed)
     got = corpus_pipeline.run(spark, str(tmp_path)).collect()
     assert {(r.doc_id, r.piece, r.start, r.length, r.ids_crc32) for r in got} == want and len(got) == len(want)
 
