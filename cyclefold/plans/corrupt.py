@@ -5,6 +5,10 @@ from __future__ import annotations
 import zlib
 
 import numpy as np
+from pyspark.sql import DataFrame, Window
+from pyspark.sql import functions as F
+
+from ..functions.angles import uniform
 
 KINDS = ("none", "shake", "noise", "occlude", "jitter", "drop")
 
@@ -75,3 +79,30 @@ def apply(px: np.ndarray, h: int, w: int, kind: str, level: float, key: str) ->
     if kind == "drop":
         return drop(px, level, key)
     raise ValueError(f"unknown corruption {kind!r}")
+
+
+# --- relational forms, with hashed noise that any engine repeats -------------------------------
+
+
+def _folded(v, most: float):
+    """A walk folded back at 0 and ``most``."""
+    return F.abs(v - F.lit(2 * most) * F.floor(v / F.lit(2 * most) + 0.5))
+
+
+def occluder_path(steps: DataFrame, most: float, seed: int = 42) -> DataFrame:
+    """t, y, x, colour: a reflected walk of the occluding square, one ordered running sum a recording."""
+    ahead = Window.orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
+    move = lambda k, size: F.sum((uniform(F.lit(seed), F.col("t"), F.lit(k)) - 0.5) * size).over(ahead)
+    return steps.select("t", _folded(move("y", 4) + 3, most).alias("y"), _folded(move("x", 4) + 3, most).alias("x"), _folded(move("c", 0.1) + 0.5, 1.0).alias("colour"))
+
+
+def shake_kernel(steps: DataFrame, side: int, seed: int = 42) -> DataFrame:
+    """t, y, x, weight: each frame's blur kernel, the visits of a short walk kept inside side x side."""
+    k = F.explode(F.sequence(F.lit(0), F.lit(2 * side - 1))).alias("k")
+    rows = steps.select("t", k)
+    step = lambda c: F.floor(uniform(F.lit(seed), F.col("t"), F.col("k"), F.lit(c)) * 3) - 1
+    ahead = Window.partitionBy("t").orderBy("k").rowsBetween(Window.unboundedPreceding, 0)
+    half = F.lit(side // 2)
+    at = lambda c: F.least(F.greatest(F.sum(step(c)).over(ahead), -half), half)
+    walked = rows.select("t", at("y").alias("y"), at("x").alias("x"))
+    return walked.groupBy("t", "y", "x").agg((F.count("*") / F.lit(2.0 * side)).alias("weight"))

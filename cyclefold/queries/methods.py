@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.angles import TAU, normal
 from ..operators import baselines, frames, gram, graph, homology, metrics, period, pyramid, spectral, vote, window
 from ..operators import phase as phases
-from ..plans import synth
+from ..plans import corrupt, synth
 from .registry import query, table
 
 SIDE = 8
@@ -248,34 +248,53 @@ def period_estimate(spark, sf):
     return out
 
 
-DAYS, LONGEST = 364, 28
+LONGEST = 28
 
 
-def brand_series(spark, sf):
-    """Quantity a day and brand over one year of shipping, with a weekly season on top."""
-    li = table(spark, sf, "lineitem").select("l_partkey", "l_quantity", F.col("l_shipdate").cast("date").alias("day"))
-    t = F.datediff("day", F.lit("1996-01-01")).cast("int")
-    day = li.withColumn("t", t).filter((F.col("t") >= 0) & (F.col("t") < DAYS))
-    part = table(spark, sf, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand")
-    sums = day.join(part, "l_partkey").groupBy("p_brand", "t").agg(F.sum("l_quantity").alias("q"))
-    brands = part.select("p_brand").distinct().select("p_brand", F.explode(F.sequence(F.lit(0), F.lit(DAYS - 1))).alias("t"))
-    whole = brands.join(sums, ["p_brand", "t"], "left").withColumn("q", F.coalesce("q", F.lit(0.0)))
-    scale = F.stddev_pop("q").over(window.Window.partitionBy("p_brand"))
-    return whole.select("p_brand", "t", (F.col("q") + 3 * scale * F.sin(F.lit(TAU) * F.col("t") / 7)).alias("v"))
+def daily(rows, by, day, value):
+    """(by), t, v: daily sums of a value over all days, gaps as zero, with a weekly season of three
+    standard deviations on top."""
+    first, last = rows.agg(F.min(day), F.max(day)).first()
+    if first is None:
+        return rows.select(*by, F.lit(0).alias("t"), F.lit(0.0).alias("v")).limit(0)
+    t = F.datediff(day, F.lit(first)).cast("int")
+    sums = rows.groupBy(*by, t.alias("t")).agg(F.sum(value).alias("q"))
+    grid = (rows.select(*by).distinct() if by else rows.sparkSession.range(1)).select(*by, F.explode(F.sequence(F.lit(0), F.lit((last - first).days))).alias("t"))
+    whole = grid.join(sums, [*by, "t"], "left").withColumn("q", F.coalesce("q", F.lit(0.0)))
+    scale = F.stddev_pop("q").over(window.Window.partitionBy(*(by or [F.lit(0)])))
+    return whole.select(*by, "t", (F.col("q") + 3 * scale * F.sin(F.lit(TAU) * F.col("t") / 7)).alias("v"))
+
+
+def daily_sql(rows: str, by: str) -> str:
+    """CTEs up to acf (by, lag, val) from a CTE ``rows`` (by, day, q)."""
+    c, on = (f"{by}, ", f"a.{by} = b.{by} AND ") if by else ("", "")
+    part = f"PARTITION BY {by}" if by else ""
+    grid = f"(SELECT DISTINCT {by} FROM rows) g CROSS JOIN" if by else ""
+    match = f"q.{by} = g.{by} AND " if by else ""
+    return f"""rows AS ({rows}), lim AS (SELECT min(day) AS lo, max(day) AS hi FROM rows), q AS (SELECT {c}date_diff('day', lo, day) AS t, sum(q) AS q FROM rows, lim GROUP BY ALL),
+f AS (SELECT {f'g.{by}, ' if by else ''}d.t, coalesce(q.q, 0) AS q FROM {grid} (SELECT unnest(range(date_diff('day', lo, hi) + 1)) AS t FROM lim) d LEFT JOIN q ON {match}q.t = d.t),
+s AS (SELECT {c}t, q + 3 * stddev_pop(q) OVER ({part}) * sin({TAU} * t / 7) AS v FROM f),
+c AS (SELECT {c}t, v - avg(v) OVER ({part}) AS x, var_pop(v) OVER ({part}) AS var FROM s),
+acf AS (SELECT {f'a.{by}, ' if by else ''}b.t - a.t AS lag, sum(a.x * b.x) / count(*) / max(a.var) AS val FROM c a JOIN c b ON {on}b.t > a.t AND b.t - a.t <= {LONGEST} GROUP BY ALL)"""
 
 
 @query(
     "period_by_brand",
-    f"""WITH q AS (SELECT p_brand, date_diff('day', DATE '1996-01-01', l_shipdate::DATE) AS t, sum(l_quantity) AS q FROM lineitem JOIN part ON l_partkey = p_partkey
-  WHERE date_diff('day', DATE '1996-01-01', l_shipdate::DATE) BETWEEN 0 AND {DAYS - 1} GROUP BY ALL),
-f AS (SELECT b.p_brand, g.t, coalesce(q, 0) AS q FROM (SELECT DISTINCT p_brand FROM part) b CROSS JOIN (SELECT unnest(range({DAYS})) AS t) g LEFT JOIN q ON q.p_brand = b.p_brand AND q.t = g.t),
-s AS (SELECT p_brand, t, q + 3 * stddev_pop(q) OVER (PARTITION BY p_brand) * sin({TAU} * t / 7) AS v FROM f),
-c AS (SELECT p_brand, t, v - avg(v) OVER (PARTITION BY p_brand) AS x, var_pop(v) OVER (PARTITION BY p_brand) AS var FROM s),
-acf AS (SELECT a.p_brand, b.t - a.t AS lag, sum(a.x * b.x) / count(*) / max(a.var) AS val FROM c a JOIN c b ON a.p_brand = b.p_brand AND b.t > a.t AND b.t - a.t <= {LONGEST} GROUP BY ALL),
+    f"""WITH {daily_sql("SELECT p_brand, l_shipdate::DATE AS day, l_quantity AS q FROM lineitem JOIN part ON l_partkey = p_partkey", "p_brand")},
 {first_key_maximum('acf', 'p_brand')} SELECT p_brand, min(lag) AS T FROM y WHERE val >= 0.8 * top GROUP BY p_brand""",
 )
 def period_by_brand(spark, sf):
-    return period.first_key_maximum(period.lag_values(brand_series(spark, sf), LONGEST, "acf", ["p_brand"]), by=["p_brand"])
+    """One series a brand, all at once: the many-series regime."""
+    li = table(spark, sf, "lineitem").select(F.col("l_partkey").alias("p_partkey"), "l_quantity", F.col("l_shipdate").cast("date").alias("day"))
+    rows = li.join(table(spark, sf, "part").select("p_partkey", "p_brand"), "p_partkey")
+    return period.first_key_maximum(period.lag_values(daily(rows, ["p_brand"], "day", "l_quantity"), LONGEST, "acf", ["p_brand"]), by=["p_brand"])
+
+
+@query("period_of_orders", f"WITH {daily_sql('SELECT o_orderdate::DATE AS day, o_totalprice AS q FROM orders', '')}, {first_key_maximum('acf')} SELECT min(lag) AS T FROM y WHERE val >= 0.8 * top")
+def period_of_orders(spark, sf):
+    """One long daily series."""
+    rows = table(spark, sf, "orders").select(F.col("o_orderdate").cast("date").alias("day"), "o_totalprice")
+    return period.first_key_maximum(period.lag_values(daily(rows, [], "day", "o_totalprice"), LONGEST))
 
 
 # --- windows and graphs -----------------------------------------------------------------------
@@ -676,3 +695,35 @@ SELECT t, p, {r(f'val + 0.5 * (sqrt(-2 * ln(u)) * cos({TAU} * v))')} AS val FROM
 def noise_frames(spark, sf):
     px = frames.pixels(emb_frames(spark, sf)).withColumn("p", F.col("y") * SIDE + F.col("x"))
     return px.select("t", "p", (F.col("val") + 0.5 * normal(F.lit(42), F.col("t"), F.col("p"))).alias("val"))
+
+
+WALK = (
+    "steps AS (SELECT t, ({y} - 0.5) * 4 AS dy, ({x} - 0.5) * 4 AS dx, ({c} - 0.5) * 0.1 AS dc FROM (SELECT vec_id AS t FROM embeddings)),"
+    " walk AS (SELECT t, sum(dy) OVER (ORDER BY t) + 3 AS y, sum(dx) OVER (ORDER BY t) + 3 AS x, sum(dc) OVER (ORDER BY t) + 0.5 AS c FROM steps)"
+).format(**{k: hex32(f"concat_ws('|', '42', t::VARCHAR, '{k}')") for k in "yxc"})
+
+
+def folded(v: str, most: float) -> str:
+    return f"abs((({v}) - {2 * most} * floor(({v}) / {2 * most} + 0.5)))"
+
+
+@query("occluder_path", f"WITH {WALK} SELECT t, {r(folded('y', 6.0))} AS y, {r(folded('x', 6.0))} AS x, {r(folded('c', 1.0))} AS colour FROM walk")
+def occluder_path(spark, sf):
+    return corrupt.occluder_path(table(spark, sf, "embeddings").select(F.col("vec_id").alias("t")), 6.0)
+
+
+@query(
+    "shake_kernel",
+    f"""WITH s AS (SELECT t, k, floor({hex32("concat_ws('|', '42', t::VARCHAR, k::VARCHAR, 'y')")} * 3)::BIGINT - 1 AS dy, floor({hex32("concat_ws('|', '42', t::VARCHAR, k::VARCHAR, 'x')")} * 3)::BIGINT - 1 AS dx
+  FROM (SELECT vec_id AS t FROM embeddings), (SELECT unnest(range(10)) AS k)),
+w AS (SELECT t, least(greatest(sum(dy) OVER v, -2), 2)::BIGINT AS y, least(greatest(sum(dx) OVER v, -2), 2)::BIGINT AS x FROM s WINDOW v AS (PARTITION BY t ORDER BY k))
+SELECT t, y, x, {r('count(*) / 10.0')} AS weight FROM w GROUP BY ALL""",
+)
+def shake_kernel(spark, sf):
+    return corrupt.shake_kernel(table(spark, sf, "embeddings").select(F.col("vec_id").alias("t")), 5)
+
+
+@query("geodesic_hops")
+def geodesic_hops(spark, sf):
+    """Shortest paths along the neighbour graph; no SQL, checked against brute force in the tests."""
+    return period.geodesics(gram.distance_matrices(emb_frames(spark, sf))).select("i", "j", "dist")

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..config import FoldConfig
 from ..functions.angles import TAU
-from ..operators import frames, gram, homology, metrics, window
+from ..operators import baselines, frames, gram, homology, metrics, window
 from ..plans import pipeline, regimes, storage, synth, workloads
 from .methods import M, planted_series
 from .registry import query, table
@@ -149,3 +149,84 @@ def fold_segments(spark, sf):
     parts = storage.materialise(regimes.segments(f, 120, 20))
     whole = parts.groupBy("video_id").agg(F.count("*").alias("n")).filter("n = 120")
     return regimes.merged(pipeline.fold(parts.join(whole.select("video_id"), "video_id", "left_semi"), FoldConfig(M=24, max_n=90, pyramid_level=LEVEL, tile_px=256))).select("j", F.col("px").cast("array<double>").alias("px"), "n_votes")
+
+
+@query("study_deviation", "SELECT 17 AS cycle")
+def study_deviation(spark, sf):
+    """One cycle of the series is spoiled; it stands out from the template more than any other."""
+    s = planted_series(spark, sf)
+    s = s.withColumn("v", F.when(F.floor(F.col("t") / 12) == 17, -F.col("v")).otherwise(F.col("v")))
+    middle = s.groupBy(F.pmod("t", F.lit(12)).alias("j")).agg(F.median("v").alias("v"))
+    angle = F.lit(TAU) * (F.col("t") + 1e-9) / 12
+    phi = s.select(F.col("t").alias("i"), F.pmod(angle, F.lit(TAU)).alias("phi"), angle.alias("phi_u"))
+    out = metrics.cycle_deviation(s.select("t", "v"), phi, middle, 12)
+    return out.agg(F.max_by("cycle", "rms").alias("cycle"))
+
+
+@query("study_slices")
+def study_slices(spark, sf):
+    """Seam energy of a jittered recording: as it is, reordered by phase, and as median template."""
+    import numpy as np
+    import pandas as pd
+
+    basis = synth.basis_rows(table(spark, sf, "embeddings"))
+
+    def run(batches):
+        for pdf in batches:
+            for k in pdf["id"]:
+                px = synth.frames_of(basis, 2, 12, FRAMES, SIDE, SIDE, jitter=0.4, seed=int(k))
+                yield pd.DataFrame({"video_id": str(k), "t": np.arange(FRAMES, dtype="int32"), "h": SIDE, "w": SIDE, "ch": 1, "px": list(px.astype(np.float32))})
+
+    f = storage.materialise(spark.range(2).mapInPandas(run, "video_id string, t int, h int, w int, ch int, px array<float>"))
+    config = FoldConfig(max_n=90, pyramid_level=LEVEL, M=60, F=3.0, tile_px=SIDE * SIDE)
+    found = storage.materialise(pipeline.inferred(f, config))
+    given = f.select("video_id", F.lit("input").alias("kind"), F.col("t").alias("pos"), "px")
+    order = baselines.sort_by_phase(pipeline.phases(found))
+    simple = order.join(f.select("video_id", "t", "px"), ["video_id", "t"]).select("video_id", F.lit("simple").alias("kind"), "pos", "px")
+    middle = pipeline.fold(f, config, found).select("video_id", F.lit("median").alias("kind"), F.col("j").alias("pos"), "px")
+    return metrics.seam_energy(given.unionByName(simple).unionByName(middle), ["video_id", "kind"])
+
+
+@query("study_blood")
+def study_blood(spark, sf):
+    """A change too small to see, amplified in its band, then folded: the phase error before and after."""
+    g = workloads.grid(spark, "noise", [0.02], (1,), (24,))
+    f = synth.planted(spark, table(spark, sf, "embeddings"), g, FRAMES, SIDE, SIDE)
+    faint = storage.materialise(f.withColumn("px", F.transform("px", lambda x: (x * 0.1).cast("float"))))
+    tiles = frames.tiles(faint, SIDE * SIDE)
+    loud = baselines.bandpass(tiles, 20 / FRAMES, 28 / FRAMES, 10.0).select("video_id", "t", F.lit(SIDE).alias("h"), F.lit(SIDE).alias("w"), F.lit(1).alias("ch"), "px")
+    config = FoldConfig(max_n=90, pyramid_level=LEVEL, d=1)
+    out = None
+    for kind, video in (("faint", faint), ("amplified", loud)):
+        phi = pipeline.phases(pipeline.inferred(video, config)).select("video_id", "i", "phi")
+        one = metrics.angular_error(phi, synth.truth(g, FRAMES)).select(F.lit(kind).alias("kind"), "err_deg")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("study_alias")
+def study_alias(spark, sf):
+    """Fewer than two frames a period: a cycle is found, but its direction cannot be told."""
+    g = workloads.grid(spark, "none", [0.0], (1,), (FRAMES * 0.55, FRAMES * 0.95))
+    return reported(workloads.errors(spark, table(spark, sf, "embeddings"), g, {"windowed": FoldConfig(max_n=90, pyramid_level=LEVEL)}, FRAMES, SIDE, SIDE))
+
+
+@query("study_exercise")
+def study_exercise(spark, sf):
+    """The busy scene, with and without windows, clean and under noise."""
+    return reported(sweep(spark, sf, "noise", (3,)).unionByName(sweep(spark, sf, "cycles", (3,))))
+
+
+@query("study_trials")
+def study_trials(spark, sf):
+    """Mean and spread of the error over repeated trials of each noise level."""
+    c = workloads.conditions(spark, "noise", SIDE, trials=5, scenes=(1,))
+    found = workloads.errors(spark, table(spark, sf, "embeddings"), c, workloads.windowed_or_not(max_n=90, pyramid_level=LEVEL), FRAMES, SIDE, SIDE)
+    return found.groupBy("level", "variant").agg(F.avg("err_deg").alias("err_deg"), F.stddev_samp("err_deg").alias("sd"), F.count("*").alias("trials"))
+
+
+@query("study_given")
+def study_given(spark, sf):
+    """What the recording decides by itself against what a user would give."""
+    configs = {"auto": FoldConfig(max_n=90, pyramid_level=LEVEL), "given": FoldConfig(max_n=90, pyramid_level=LEVEL, period=FRAMES / 15, d=FRAMES // 15 + 1)}
+    return reported(sweep(spark, sf, "occlude", (1, 2), configs))

@@ -192,3 +192,11 @@ def test_votes_on_exact_linear_phase_agree():
     far = k.votes(phi, angles, n / T, n, d, near=0.6, anchor="center")
     assert (np.abs(far[5] - 10) <= 0.6).all()
     assert np.isnan(k.median_template(px, tuple(x[:0] for x in ballots), 10)[0]).all()
+
+
+def test_geodesics_against_single_source_paths():
+    x = np.random.default_rng(5).normal(size=(50, 3))
+    graph = k.knn_graph(k.squared_distances(x), 4)
+    far = k.geodesics(graph)
+    assert all(np.allclose(far[s], k._dijkstra(graph, s)) for s in range(50))
+    assert np.allclose(far, far.T) and (far >= np.sqrt(k.squared_distances(x)) - 1e-9).all()
