@@ -21,7 +21,10 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def materialise(df: DataFrame) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back; it outlives any executor."""
+    """Write ``df`` once as Parquet in the shared folder and read it back.
+
+    Unlike ``checkpoint()`` this runs the plan a single time, and the files outlive any executor.
+    """
     path = f"{shared_dir(df.sparkSession).rstrip('/')}/cyclefold/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
