@@ -11,13 +11,15 @@ Rules that hold for every operator here:
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from ..plans.storage import materialise, shared_dir
+
+__all__ = ["materialise", "per_row", "shared_dir", "slices", "table"]
+
 #: Rows that are turned into Python objects at a time inside one Arrow batch.
 SLICE_ROWS = 256
 
@@ -26,30 +28,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; where it is unset, a local one, in local mode only."""
-    context = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
-    if named:
-        return named
-    if not context.master.startswith("local") or context.master.startswith("local-cluster"):
-        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-    context.setCheckpointDir(tempfile.mkdtemp(prefix="cyclefold-"))
-    return context.getCheckpointDir()
-
-
-def materialise(df: DataFrame) -> DataFrame:
-    """Write ``df`` once as Parquet in the shared folder and read it back.
-
-    Unlike ``checkpoint()`` this runs the plan a single time, and the files outlive any
-    executor. Use it for results far smaller than the input.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/cyclefold/{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
     for at in range(0, batch.num_rows, SLICE_ROWS):
         yield batch.slice(at, SLICE_ROWS)

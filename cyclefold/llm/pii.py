@@ -7,8 +7,8 @@ source span it came from:
    and Greek look-alikes become ASCII; invisible characters vanish;
 2. separators: bracketed or spelled "at" and "dot" (English, German, French, Spanish) become
    @ and ., spelled ones only between words that then read like an address;
-3. spelled digits: runs of at least ``SPELLED`` number words, with spelled "plus", "dot" and
-   digits between them, become digits.
+3. digits: letters that look like digits inside numbers become them, and runs of at least
+   ``SPELLED`` number words, with spelled "plus", "dot" and digits between them, become digits.
 
 Identifiers are detected in the rewritten text by the same patterns as in the plain text,
 and their spans are mapped back. Spans of the plain text stay as they are; a span of a
@@ -151,12 +151,15 @@ def _glyphs() -> dict[int, str | None]:
 
 _OPEN, _CLOSE = r"[\[({<]\s{0,3}", r"\s{0,3}[\])}>]"
 _BRACKETED = re.compile(rf"\s{{0,3}}{_OPEN}(?:(?P<at>{_AT_WORDS}|@)|(?:{_DOT_WORDS}|\.)){_CLOSE}\s{{0,3}}", re.I)
+_PART = r"[A-Za-z0-9._%+-]{1,64}"
+_DOT_SEP = rf"[ _]{{1,3}}(?:{_DOT_WORDS}|\.)[ _]{{1,3}}"
 _ADDRESS = re.compile(
-    rf"(?<![\w.%+-])[A-Za-z0-9._%+-]{{1,64}}(?P<at>[ _]{{1,3}}(?:{_AT_WORDS}|@)[ _]{{1,3}}|@)[A-Za-z0-9-]{{1,63}}"
-    rf"(?P<rest>(?:(?:[ _]{{1,3}}(?:{_DOT_WORDS}|\.)[ _]{{1,3}}|\.)[A-Za-z0-9-]{{1,63}})+)",
+    rf"(?<![\w.%+-])(?P<local>{_PART}(?:[ _]{{1,3}}(?:{_DOT_WORDS})[ _]{{1,3}}{_PART}){{0,3}})(?P<at>[ _]{{1,3}}(?:(?P<word>{_AT_WORDS})|@)[ _]{{1,3}}|@)"
+    rf"[A-Za-z0-9-]{{1,63}}(?P<rest>(?:(?:{_DOT_SEP}|\.)[A-Za-z0-9-]{{1,63}})+)",
     re.I,
 )
-_DOT_IN = re.compile(rf"[ _]{{1,3}}(?:{_DOT_WORDS}|\.)[ _]{{1,3}}", re.I)
+_SHOUTED = re.compile(r"(?<![\w.%+-])[a-z0-9._%+-]{1,64}(?P<at>AT|@)[a-z0-9-]{1,63}(?P<rest>(?:(?:DOT|\.)[a-z0-9-]{1,63})+)(?![A-Za-z0-9])")
+_DOT_IN = re.compile(_DOT_SEP, re.I)
 _WORD = "|".join(sorted(map(re.escape, _DIGIT_WORDS), key=len, reverse=True))
 _SEP = r"(?:[ ,-]{1,3})"
 _RUN = re.compile(rf"\b(?:plus{_SEP})?(?:(?:{_WORD})\b)(?:{_SEP}(?:(?:{_WORD}|{_DOT_WORDS}|[0-9]+)\b))*", re.I)
@@ -213,11 +216,39 @@ def _glyph_edits(text: str) -> list[tuple[int, int, str]]:
 
 
 def _address_edits(text: str) -> list[tuple[int, int, str]]:
+    """A spelled "at" counts only with a spelled "dot" behind it: "see us at example.com" is no address."""
     edits = []
     for m in _ADDRESS.finditer(text):
-        inner = [(m.start("at"), m.end("at"), "@")] if m["at"] != "@" else []
         dots = [(m.start("rest") + d.start(), m.start("rest") + d.end(), ".") for d in _DOT_IN.finditer(m["rest"])]
-        edits += inner + dots
+        if m["word"] and not any(text[a:b].strip(" _") != "." for a, b, _ in dots):
+            continue
+        edits += [(m.start("local") + d.start(), m.start("local") + d.end(), ".") for d in _DOT_IN.finditer(m["local"])]
+        edits += ([(m.start("at"), m.end("at"), "@")] if m["at"] != "@" else []) + dots
+    return edits
+
+
+def _shouted_edits(text: str) -> list[tuple[int, int, str]]:
+    edits = []
+    for m in _SHOUTED.finditer(text):
+        dots = [(m.start("rest") + d.start(), m.start("rest") + d.end(), ".") for d in re.finditer("DOT", m["rest"])]
+        if dots:
+            edits += ([(m.start("at"), m.end("at"), "@")] if m["at"] != "@" else []) + dots
+    return edits
+
+
+#: Letters that stand for digits inside numbers.
+_LETTER_DIGITS = {"O": "0", "o": "0", "l": "1", "I": "1"}
+_NUMBER_LIKE = re.compile(r"(?<![A-Za-z0-9])[0-9OolI](?:[ .()-]{0,2}[0-9OolI])++(?![A-Za-z0-9])")
+_LETTER_BY_DIGIT = re.compile(r"[0-9][ .()-]{0,2}[OolI]|[OolI][ .()-]{0,2}[0-9]")
+
+
+def _letter_edits(text: str) -> list[tuple[int, int, str]]:
+    """O, l and I inside numbers of mostly true digits."""
+    edits = []
+    for m in _NUMBER_LIKE.finditer(text):
+        letters = [i for i in range(m.start(), m.end()) if text[i] in _LETTER_DIGITS]
+        if letters and 2 * len(letters) <= sum(c in "0123456789" for c in m[0]):
+            edits += [(i, i + 1, _LETTER_DIGITS[text[i]]) for i in letters]
     return edits
 
 
@@ -245,6 +276,12 @@ def disguised(text: str) -> Rewritten | None:
     if "@" in low or any(w in low for w in (" at ", "_at_", " ät ", " arobase ", " arroba ", " klammeraffe ")):
         seen.splice(_address_edits(seen.text))
         low = seen.text.lower()
+    if "DOT" in seen.text:
+        seen.splice(_shouted_edits(seen.text))
+        low = seen.text.lower()
+    if _LETTER_BY_DIGIT.search(seen.text):
+        seen.splice(_letter_edits(seen.text))
+        low = seen.text.lower()
     if _spelled_hint(low):
         seen.splice(_digit_edits(seen.text))
     return seen if len(seen.text) != len(text) or seen.changed.any() else None
