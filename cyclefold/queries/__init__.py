@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import methods, relational, studies
+from . import methods, relational, studies, surface
 from .registry import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "methods", "relational", "studies"]
+__all__ = ["ORACLES", "QUERIES", "methods", "relational", "studies", "surface"]

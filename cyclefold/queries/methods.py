@@ -193,7 +193,7 @@ def isomap_surrogate(spark, sf):
 # --- series and periods -----------------------------------------------------------------------
 
 
-@query("series_2h", f"WITH {SERIES} SELECT t, n, {r('v')} AS v FROM s0")
+@query("series_2h", f"WITH {SERIES} SELECT t, n, round(v, 9) + 0.0 AS v FROM s0", digits=9)
 def series_2h(spark, sf):
     return buckets(spark, sf)
 
@@ -300,7 +300,7 @@ def period_of_orders(spark, sf):
 # --- windows and graphs -----------------------------------------------------------------------
 
 
-@query("window_stack", f"WITH {SERIES} SELECT a.t AS i, g.k, {r('b.v')} AS v FROM s0 a, (SELECT unnest(range(13)) AS k) g JOIN s0 b ON b.t = a.t + g.k WHERE a.t <= {BUCKETS - 13}")
+@query("window_stack", f"WITH {SERIES} SELECT a.t AS i, g.k, round(b.v, 9) + 0.0 AS v FROM s0 a, (SELECT unnest(range(13)) AS k) g JOIN s0 b ON b.t = a.t + g.k WHERE a.t <= {BUCKETS - 13}", digits=9)
 def window_stack(spark, sf):
     return window.stack(buckets(spark, sf), 13).select("i", F.posexplode("w").alias("k", "v"))
 

@@ -12,9 +12,9 @@ ORACLES: dict[str, str] = {}
 DIGITS = 6
 
 
-def query(name: str, sql: str | None = None):
+def query(name: str, sql: str | None = None, digits: int = DIGITS):
     def register(f):
-        QUERIES[name] = lambda spark, sf_dir: exact(f(spark, sf_dir))
+        QUERIES[name] = lambda spark, sf_dir: exact(f(spark, sf_dir), digits)
         if sql:
             ORACLES[name] = sql
         return f
