@@ -89,8 +89,9 @@ def test_sql_functions(spark):
 @pytest.fixture(scope="module")
 def event_files(spark, tmp_path_factory):
     folder = tmp_path_factory.mktemp("events")
-    e = spark.read.parquet(f"{SMALL}/events.parquet").orderBy("ts")
-    e.repartitionByRange(3, "ts").sortWithinPartitions("ts").write.mode("overwrite").parquet(str(folder / "in"))
+    e = spark.read.parquet(f"{SMALL}/events.parquet")
+    for part in ("event_id < 300", "event_id >= 300 and event_id < 700", "event_id >= 700"):  # files in order of time
+        e.filter(part).coalesce(1).sortWithinPartitions("ts").write.mode("append").parquet(str(folder / "in"))
     return str(folder / "in")
 
 
