@@ -23,6 +23,7 @@ table gives an empty result.
 from __future__ import annotations
 
 import zlib
+from collections.abc import Iterable
 from dataclasses import dataclass
 
 import numpy as np
@@ -77,7 +78,7 @@ def hashes(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         owners.append(owner[ok])
     row, who = np.concatenate(rows), np.concatenate(owners)
     by = np.argsort(who, kind="stable")
-    return ((row[by] >> np.uint64(40)) % np.uint64(BUCKETS)).astype(np.int64), np.bincount(who, minlength=len(words))
+    return ((row[by] >> np.uint64(40)) % np.uint64(BUCKETS)).astype(np.int32), np.bincount(who, minlength=len(words))
 
 
 @dataclass
@@ -179,18 +180,27 @@ class Scorer:
         return self.model.scores(self.model.logits(pooled), np.where(votes.max(axis=1) > 0, votes.argmax(axis=1), 0))
 
 
-def train(texts: list[list[bytes]], toxic: list[int], epochs: int = 5, batch: int = 32, seed: int = 7) -> Model:
-    """Fits the classifier to tokenised texts; every fourth text of each class calibrates."""
-    y = np.array(toxic, np.float64)
+def train(texts: Iterable[list[bytes]], toxic: Iterable[int], epochs: int = 5, batch: int = 32, seed: int = 7) -> Model:
+    """Fits the classifier to tokenised texts; every fourth text of each class calibrates.
+
+    Words become numbers as they come, so that only distinct ones are held.
+    """
+    y = np.array(list(toxic), np.float64)
     shift = np.zeros(1 + max(FUNCTION_WORDS))
     if not 0 < y.sum() < len(y):
         return Model(None, None, None, None, 0.0, shift, float(y.mean()) if len(y) else 0.0)
-    names = list({w for t in texts for w in t})
-    index = {w: i + 1 for i, w in enumerate(names)}
-    row, count = hashes(names)
+    index: dict[bytes, int] = {}
+    docs, spoken = [], []
+    for words in texts:
+        docs.append(_padded(np.array([index.setdefault(w, len(index) + 1) for w in words], np.int64)).astype(np.int32))
+        spoken.append(np.bincount([_LANGUAGE.get(w, 0) for w in words], minlength=1 + max(FUNCTION_WORDS)))
+    names = list(index)
+    del index
+    parts = [hashes(names[at : at + BLOCK_WORDS]) for at in range(0, len(names), BLOCK_WORDS)]
+    row, count = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
+    del names, parts
     first = np.r_[0, np.cumsum(count) - count]
     count = np.r_[0, count]
-    docs = [_padded(np.fromiter(map(index.__getitem__, t), np.int64, len(t))) for t in texts]
     draw = np.random.default_rng(seed)
     held = np.zeros(len(y), bool)
     for c in (0, 1):
@@ -200,7 +210,7 @@ def train(texts: list[list[bytes]], toxic: list[int], epochs: int = 5, batch: in
     for w, width in enumerate(WIDTHS):
         filters[w, width:] = 0
     p = {
-        "embedding": draw.normal(0, 0.02, (BUCKETS, DIM)),
+        "embedding": draw.normal(0, 0.02, (BUCKETS, DIM)).astype(np.float32),
         "filters": filters,
         "bias": np.zeros((len(WIDTHS), FILTERS)),
         "weight": draw.normal(0, 0.3, FILTERS * len(WIDTHS)),
@@ -270,7 +280,7 @@ def train(texts: list[list[bytes]], toxic: list[int], epochs: int = 5, batch: in
         if held[some].any():
             logits[some] = fitted.logits(forward(some)[0])
     for i in np.flatnonzero(held):
-        votes = np.bincount([_LANGUAGE.get(w, 0) for w in texts[i]], minlength=1 + max(FUNCTION_WORDS))
+        votes = spoken[i]
         votes[0] = 0
         languages[i] = votes.argmax() if votes.max() else 0
     common_shift = best_threshold(logits[held], y[held], 0.0)
@@ -327,9 +337,9 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, sample_chars:
         .mapInArrow(tokens, "doc_id long, toxic int, words binary")
         .collect()
     )
-    rows = {r.doc_id: r for r in sorted(rows, key=lambda r: (r.doc_id, bytes(r.words)))}  # repeated rows count once
-    rows = [rows[k] for k in sorted(rows)]
-    return train([bytes(r.words).split() for r in rows], [r.toxic for r in rows])
+    rows.sort(key=lambda r: (r.doc_id, bytes(r.words)))
+    rows = [r for k, r in enumerate(rows) if not k or rows[k - 1].doc_id != r.doc_id]  # repeated rows count once
+    return train((bytes(r.words).split() for r in rows), (r.toxic for r in rows))
 
 
 def held_out_expr():
