@@ -31,7 +31,8 @@ class FoldConfig:
     F: float | None = None
     anchor: str = "start"
     median: str = "exact"
-    tile_px: int = 4096
+    tile_px: int = 4096  # pixels of a slab that votes
+    gram_tile_px: int | None = None  # sums distances over slabs of so many pixels, for huge frames
     seed: int = 42
 
     def __post_init__(self):

@@ -56,6 +56,12 @@ def tiles(frames: DataFrame, tile_px: int = 4096) -> DataFrame:
     return frames.select("video_id", "t", slab.alias("s")).select("video_id", "t", "s.tile", "s.px")
 
 
+def tile_keys(frames: DataFrame, tile_px: int = 4096) -> DataFrame:
+    """video_id, tile of every slab, from the frames' shapes alone: no pixel is read."""
+    size = frames.groupBy("video_id").agg(F.max(F.col("h") * F.col("w") * F.col("ch")).alias("size"))
+    return size.select("video_id", F.explode(F.sequence(F.lit(0), F.ceil(F.col("size") / tile_px).cast("int") - 1)).alias("tile"))
+
+
 def grayscale(frames: DataFrame) -> DataFrame:
     """Three channels to one by the luma weights; one channel stays."""
     third = lambda px, k: F.filter(px, lambda _, i: F.pmod(i, F.lit(3)) == k)

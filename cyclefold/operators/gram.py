@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import kernels
@@ -13,11 +13,12 @@ from .frames import tiles
 MATRIX = "video_id string, n int, d2 array<double>"
 
 
-def distance_matrices(frames: DataFrame, tile_px: int = 4096) -> DataFrame:
-    """video_id, n, d2 (packed rows): squared distances are sums over tiles of the pixel axis.
+def distance_matrices(frames: DataFrame, tile_px: int | None = None) -> DataFrame:
+    """video_id, n, d2 (packed rows): all squared distances of each video's frames.
 
-    A tile's partial matrix is made where the tile is; partial matrices are summed
-    element by element, so a video's pixels never meet in one task unless it is one tile.
+    Without ``tile_px`` a video is a group, at one exchange. With it, for huge frames, a tile's
+    partial matrix is made where the tile is, as squared distances are sums over tiles, and
+    partial matrices are summed element by element: a video's pixels never meet in one task.
     """
 
     def partial(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -25,24 +26,16 @@ def distance_matrices(frames: DataFrame, tile_px: int = 4096) -> DataFrame:
         d2 = kernels.squared_distances(np.stack(pdf["px"].to_numpy()))
         return pd.DataFrame({"video_id": [pdf["video_id"].iloc[0]], "n": [len(pdf)], "d2": [d2.ravel()]})
 
+    if tile_px is None:
+        return frames.select("video_id", "t", "px").groupBy("video_id").applyInPandas(partial, MATRIX)
     parts = tiles(frames, tile_px).groupBy("video_id", "tile").applyInPandas(partial, MATRIX)
     return summed(parts)
 
 
 def summed(parts: DataFrame) -> DataFrame:
-    """Element-wise sums of packed matrices by video; one partial matrix of a video passes through."""
-    at = F.posexplode("d2").alias("p", "v")
-    many = parts.withColumn("tiles", F.count("*").over(_by_video()))
-    single = many.filter("tiles = 1").select("video_id", "n", "d2")
-    rows = many.filter("tiles > 1").select("video_id", "n", at).groupBy("video_id", "n", "p").agg(F.sum("v").alias("v"))
-    packed = rows.groupBy("video_id", "n").agg(F.transform(F.array_sort(F.collect_list(F.struct("p", "v"))), lambda r: r["v"]).alias("d2"))
-    return single.unionByName(packed)
-
-
-def _by_video():
-    from pyspark.sql import Window
-
-    return Window.partitionBy("video_id")
+    """Element-wise sums of packed matrices by video, combined before their shuffle."""
+    rows = parts.select("video_id", "n", F.posexplode("d2").alias("p", "v")).groupBy("video_id", "n", "p").agg(F.sum("v").alias("v"))
+    return rows.groupBy("video_id", "n").agg(F.transform(F.array_sort(F.collect_list(F.struct("p", "v"))), lambda r: r["v"]).alias("d2"))
 
 
 def pairs(matrices: DataFrame) -> DataFrame:
@@ -51,7 +44,7 @@ def pairs(matrices: DataFrame) -> DataFrame:
     return long.select("video_id", F.floor(F.col("p") / F.col("n")).cast("int").alias("i"), F.pmod("p", "n").cast("int").alias("j"), "d2").filter("i < j")
 
 
-def pair_distances(frames: DataFrame, tile_px: int = 4096) -> DataFrame:
+def pair_distances(frames: DataFrame, tile_px: int | None = None) -> DataFrame:
     return pairs(distance_matrices(frames, tile_px))
 
 
@@ -105,8 +98,6 @@ def sketch(pixels: DataFrame, q: int, seed: int = 42) -> DataFrame:
 
 def nearest(pair: DataFrame, k: int = 8) -> DataFrame:
     """video_id, i, j, rnk, d2: the k nearest of each frame, ties by index."""
-    from pyspark.sql import Window
-
     both = pair.select("video_id", "i", "j", "d2").union(pair.select("video_id", F.col("j").alias("i"), F.col("i").alias("j"), "d2"))
     rank = F.row_number().over(Window.partitionBy("video_id", "i").orderBy("d2", "j"))
     return both.withColumn("rnk", rank).filter(F.col("rnk") <= k)

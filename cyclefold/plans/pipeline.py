@@ -1,8 +1,8 @@
 """The whole method: frames to phases, and frames and phases to one clean cycle.
 
-Phases: one exchange brings a video's tiles together as partial distance matrices; all that
-follows (period, windows, barcode, graph, modes, angle) works on the matrix inside the same
-grouped function, so a video crosses into Python once. Templates: phases are tables of a few
+Phases: one exchange brings a video's reduced frames together; distances, period, windows,
+barcode, graph, modes and angle follow inside the same grouped function, so a video crosses
+into Python once. Frames too large for one task are summed over slabs first. Templates: phases are tables of a few
 numbers a window; the raw pixels move once more, by video and tile, unless they are stored so.
 """
 
@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from ..config import FoldConfig
 from ..functions import kernels
 from ..operators import gram, homology, pyramid, vote
-from ..operators.frames import tiles
+from ..operators.frames import tile_keys, tiles
 from ..schema import PHASE, RUN, BadInput
 
 FEWEST = 4
@@ -64,14 +64,24 @@ def inferred(frames: DataFrame, config: FoldConfig | None = None) -> DataFrame:
     """One row a video: the run's diagnostics and both phase arrays."""
     config = config or FoldConfig()
     small = pyramid.reduce(frames, config.pyramid_level)
-    matrices = gram.distance_matrices(small, config.tile_px)
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+    def row(video, d2: np.ndarray) -> pd.DataFrame:
+        about, phi, unwrapped = infer(d2, config)
+        return pd.DataFrame([{"video_id": video, **about, "phi": phi, "phi_u": unwrapped}])[[c.split()[0] for c in _BOTH.split(", ")]]
+
+    if config.gram_tile_px is None:  # pixels to phases in one group: one exchange
+
+        def run(pdf: pd.DataFrame) -> pd.DataFrame:
+            px = np.stack(pdf.sort_values("t")["px"].to_numpy())
+            return row(pdf["video_id"].iloc[0], kernels.squared_distances(px))
+
+        return small.select("video_id", "t", "px").groupBy("video_id").applyInPandas(run, _BOTH)
+
+    def run_matrix(pdf: pd.DataFrame) -> pd.DataFrame:
         n = int(pdf["n"].iloc[0])
-        about, phi, unwrapped = infer(np.asarray(pdf["d2"].iloc[0]).reshape(n, n), config)
-        return pd.DataFrame([{"video_id": pdf["video_id"].iloc[0], **about, "phi": phi, "phi_u": unwrapped}])[[c.split()[0] for c in _BOTH.split(", ")]]
+        return row(pdf["video_id"].iloc[0], np.asarray(pdf["d2"].iloc[0]).reshape(n, n))
 
-    return matrices.groupBy("video_id").applyInPandas(run, _BOTH)
+    return gram.distance_matrices(small, config.gram_tile_px).groupBy("video_id").applyInPandas(run_matrix, _BOTH)
 
 
 def inferred_series(series: DataFrame, config: FoldConfig | None = None) -> DataFrame:
@@ -109,7 +119,7 @@ def fold(frames: DataFrame, config: FoldConfig | None = None, found: DataFrame |
     config = config or FoldConfig()
     found = inferred(frames, config) if found is None else found
     slabs = tiles(frames, config.tile_px)
-    keys = slabs.select("video_id", "tile").distinct()
+    keys = tile_keys(frames, config.tile_px)
     spread = keys.join(found.select("video_id", "n", "d", "k", "phi"), "video_id").withColumnsRenamed({"video_id": "of_video", "tile": "of_tile"})
 
     def run(key, tile: pd.DataFrame, about: pd.DataFrame) -> pd.DataFrame:

@@ -76,6 +76,27 @@ def test_huge_frames_sum_over_tiles_and_partitions_do_not_matter(spark, embeddin
     assert "CartesianProduct" not in plan and "BroadcastNestedLoop" not in plan
 
 
+def exchanges(df):
+    return df._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning")
+
+
+def test_plans_move_pixels_once(spark, embeddings):
+    stored = storage.materialise(frames.from_table(embeddings, None, "vec_id", "embedding", (8, 8, 1)))
+    found = pipeline.inferred(stored, FoldConfig(**SMALL))
+    assert exchanges(found) == 1
+    template = pipeline.fold(stored, FoldConfig(**SMALL, tile_px=16), storage.materialise(found))
+    plan = template._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("px#") and "CartesianProduct" not in plan and "BroadcastNestedLoop" not in plan
+    scans = [line for line in plan.splitlines() if "ReadSchema" in line]
+    assert sum("px:array" in line for line in scans) == 1  # the shapes that make the keys are read without pixels
+
+
+def test_tiled_distances_give_the_same_phases(spark, embeddings):
+    f = storage.materialise(synth.planted(spark, embeddings, workloads.grid(spark, "noise", [0.1], (1,), (10,)), 200, 8, 8))
+    a, b = (pipeline.inferred(f, FoldConfig(**SMALL, gram_tile_px=t)).first() for t in (None, 20))
+    assert np.allclose(a.phi, b.phi) and a.period == pytest.approx(b.period)
+
+
 def test_edge_cases(spark):
     make = lambda px, v="a": [(v, t, 1, 2, 1, [float(x) for x in p]) for t, p in enumerate(px)]
     schema = "video_id string, t int, h int, w int, ch int, px array<float>"
