@@ -12,7 +12,9 @@ source span it came from:
 
 Identifiers are detected in the rewritten text by the same patterns as in the plain text,
 and their spans are mapped back. Spans of the plain text stay as they are; a span of a
-rewritten text is added if it holds a rewritten character and meets no span of its kind.
+rewritten text is added if it holds a rewritten character and no span of its kind covers it. It
+may therefore lie over a plain span that saw only a fragment; but one letter or number word that
+stands apart from a plain span ("+1 988 555 2485 I ...") does not lengthen it.
 
 Kinds and patterns (leftmost, without overlap inside a kind, failing matches dropped and not
 retried): email; ip with parts up to 255; card of 16 to 19 digits that pass the Luhn sum; phone
@@ -164,6 +166,8 @@ _WORD = "|".join(sorted(map(re.escape, _DIGIT_WORDS), key=len, reverse=True))
 _SEP = r"(?:[ ,-]{1,3})"
 _RUN = re.compile(rf"\b(?:plus{_SEP})?(?:(?:{_WORD})\b)(?:{_SEP}(?:(?:{_WORD}|{_DOT_WORDS}|[0-9]+)\b))*", re.I)
 _TOKEN = re.compile(rf"(?P<plus>plus)|(?P<word>{_WORD})|(?P<dot>{_DOT_WORDS})|(?P<digits>[0-9]+)", re.I)
+#: Between a plain number and one look-alike letter or number word that is rather the prose around it.
+_APART = re.compile(rf"(?:[ ,.()-]+(?:[OolI]|{_WORD}))?|(?:[OolI]|{_WORD})[ ,.()-]+", re.I)
 _RUN_WORDS = frozenset([*_DIGIT_WORDS, *_DOT_WORDS.split("|")])
 
 
@@ -220,6 +224,9 @@ def _address_edits(text: str) -> list[tuple[int, int, str]]:
     edits = []
     for m in _ADDRESS.finditer(text):
         dots = [(m.start("rest") + d.start(), m.start("rest") + d.end(), ".") for d in _DOT_IN.finditer(m["rest"])]
+        if m["at"] == "@" and m["rest"][0] == ".":  # whole so far: a full stop apart ends the sentence
+            stop = next((k for k, (a, b, _) in enumerate(dots) if text[a:b].strip(" _") == "."), len(dots))
+            dots = dots[:stop]
         if m["word"] and not any(text[a:b].strip(" _") != "." for a, b, _ in dots):
             continue
         edits += [(m.start("local") + d.start(), m.start("local") + d.end(), ".") for d in _DOT_IN.finditer(m["local"])]
@@ -287,6 +294,12 @@ def disguised(text: str) -> Rewritten | None:
     return seen if len(seen.text) != len(text) or seen.changed.any() else None
 
 
+def _lengthens(text: str, kind: str, span: Span, held: Span) -> bool:
+    """Whether a rewritten span that meets a held one of its kind has more of the identifier."""
+    parts = text[span[0] : max(span[0], held[0])], text[min(span[1], held[1]) : span[1]]
+    return any(parts) and (kind == "email" or not all(_APART.fullmatch(p) for p in parts))
+
+
 def spans(text: str | None) -> tuple[dict[str, list[Span]], dict[str, list[Span]]]:
     """The plain spans of each kind, and all spans with those that the transducers add."""
     text = text or ""
@@ -301,7 +314,7 @@ def spans(text: str | None) -> tuple[dict[str, list[Span]], dict[str, list[Span]
         for a, b in found:
             if seen.changed[a:b].any() or removed[a + 1 : b].any():
                 span = int(seen.start[a]), int(seen.end[b - 1])
-                if all(span[1] <= s or e <= span[0] for s, e in own):
+                if all(span[1] <= s or e <= span[0] or _lengthens(text, kind, span, (s, e)) for s, e in own):
                     own.append(span)
         every[kind] = sorted(own)
     return base, every

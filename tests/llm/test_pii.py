@@ -93,3 +93,23 @@ def test_query_edge_cases(spark):
     assert clean.columns == docs.columns and clean.schema["n_chars"] == docs.schema["n_chars"]
     assert {(r.doc_id, r.text, r.n_chars) for r in clean.collect()} == {(1, None, 0), (2, "", 0), (3, "[EMAIL] [EMAIL]", 15), (None, "[IP]", 4)}
     assert pii.found(docs.limit(0)).count() == 0
+
+
+def test_partly_disguised_identifiers_are_whole():
+    for text, kind, plain, whole in [
+        ("mail jоhn@example.com now", "email", "hn@example.com", "jоhn@example.com"),
+        ("mail john@mail.example dot com", "email", "john@mail.example", "john@mail.example dot com"),
+        ("mail john@exa.mple．com", "email", "john@exa.mple", "john@exa.mple．com"),
+        ("tel +49 170 1234 5O78 end", "phone", "+49 170 1234 5", "+49 170 1234 5O78"),
+        ("tel +49 170 1234 ５６７８ end", "phone", "+49 170 1234", "+49 170 1234 ５６７８"),
+    ]:
+        base, every = pii.spans(text)
+        assert [text[a:b] for a, b in base[kind]] == [plain]
+        assert {text[a:b] for a, b in every[kind]} == {plain, whole}, text
+        assert pii.redacted(text) == text.replace(whole, f"[{kind.upper()}]")
+
+
+def test_whole_identifiers_take_no_prose():
+    for text in ("tel +1 988 555 2485 I said", "john@example.com . Next day", "card 4539 1488 0343 6467 o"):
+        base, every = pii.spans(text)
+        assert base == every and any(base.values()), text
