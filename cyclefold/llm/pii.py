@@ -7,8 +7,9 @@ source span it came from:
    and Greek look-alikes become ASCII; invisible characters vanish;
 2. separators: bracketed or spelled "at" and "dot" (English, German, French, Spanish) become
    @ and ., spelled ones only between words that then read like an address;
-3. digits: letters that look like digits inside numbers become them, and runs of at least
-   ``SPELLED`` number words, with spelled "plus", "dot" and digits between them, become digits.
+3. digits: letters that look like digits inside numbers become them, and in runs of number
+   words, spelled "plus" and "dot" and plain digits the words become digits, however few they are;
+   what guards against false hits is what an identifier must fulfil.
 
 Identifiers are detected in the rewritten text by the same patterns as in the plain text,
 and their spans are mapped back. Spans of the plain text stay as they are; a span of a
@@ -40,7 +41,6 @@ from pyspark.sql import functions as F
 from . import common
 
 KINDS = ("email", "ip", "card", "phone")
-SPELLED = 4
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
@@ -164,17 +164,23 @@ _SHOUTED = re.compile(r"(?<![\w.%+-])[a-z0-9._%+-]{1,64}(?P<at>AT|@)[a-z0-9-]{1,
 _DOT_IN = re.compile(_DOT_SEP, re.I)
 _WORD = "|".join(sorted(map(re.escape, _DIGIT_WORDS), key=len, reverse=True))
 _SEP = r"(?:[ ,-]{1,3})"
-_RUN = re.compile(rf"\b(?:plus{_SEP})?(?:(?:{_WORD})\b)(?:{_SEP}(?:(?:{_WORD}|{_DOT_WORDS}|[0-9]+)\b))*", re.I)
+_RUN = re.compile(rf"\b(?:plus{_SEP})?(?:(?:{_WORD}|[0-9]++)\b)(?:{_SEP}(?:(?:{_WORD}|{_DOT_WORDS}|[0-9]+)\b))*", re.I)
 _TOKEN = re.compile(rf"(?P<plus>plus)|(?P<word>{_WORD})|(?P<dot>{_DOT_WORDS})|(?P<digits>[0-9]+)", re.I)
 #: Between a plain number and one look-alike letter or number word that is rather the prose around it.
 _APART = re.compile(rf"(?:[ ,.()-]+(?:[OolI]|{_WORD}))?|(?:[OolI]|{_WORD})[ ,.()-]+", re.I)
-_RUN_WORDS = frozenset([*_DIGIT_WORDS, *_DOT_WORDS.split("|")])
+_RUN_WORDS = frozenset(["plus", *_DIGIT_WORDS, *_DOT_WORDS.split("|")])
+
+
+_SPOKEN = str.maketrans(",-+()[]:;\"!?", " " * 12)
+#: Spelled "at" between any of the separators that _ADDRESS accepts.
+_SPELLED_AT = tuple(f"{a}{w}{b}" for w in _AT_WORDS.split("|") for a in " _" for b in " _")
 
 
 def _spelled_hint(low: str) -> bool:
-    """Two neighbouring words that can stand inside a run; every long enough run has them."""
-    words = low.replace(",", " ").replace("-", " ").split()
-    return b"\1\1" in bytes([w in _RUN_WORDS or "0" <= w[0] <= "9" for w in words])
+    """Two neighbours that can stand inside a run, one of them a word; every run that is rewritten has them."""
+    words = (low.translate(_SPOKEN) + " ").replace(". ", " ").split()
+    seen = bytes([2 if w in _RUN_WORDS else "0" <= w[0] <= "9" for w in words])
+    return b"\2\1" in seen or b"\1\2" in seen or b"\2\2" in seen
 
 
 class Rewritten:
@@ -259,16 +265,25 @@ def _letter_edits(text: str) -> list[tuple[int, int, str]]:
     return edits
 
 
+#: Digits in groups of thousands: "plus 10 000 000" is a sum.
+_THOUSANDS = re.compile(r"[0-9]{1,3}(?:[ ,][0-9]{3})+")
+
+
 def _digit_edits(text: str) -> list[tuple[int, int, str]]:
+    """Words become digits; the space between two plain numbers of a run stays."""
     edits = []
     for m in _RUN.finditer(text):
         tokens = list(_TOKEN.finditer(text, m.start(), m.end()))
         while tokens and tokens[-1]["dot"]:
             tokens.pop()
-        if sum(bool(t["word"]) for t in tokens) < SPELLED:
+        if len(tokens) < 2 or all(t["digits"] for t in tokens):
+            continue
+        if tokens[0]["plus"] and _THOUSANDS.fullmatch(text, tokens[1].start(), tokens[-1].end()):
             continue
         put = ["+" if t["plus"] else "." if t["dot"] else t["digits"] or _DIGIT_WORDS[t["word"].lower()] for t in tokens]
         for i, t in enumerate(tokens):  # the separator in front of a token belongs to it
+            if t["digits"] and (not i or tokens[i - 1]["digits"]):
+                continue
             edits.append((tokens[i - 1].end() if i else t.start(), t.end(), put[i]))
     return edits
 
@@ -280,7 +295,7 @@ def disguised(text: str) -> Rewritten | None:
     if any(c in seen.text for c in "[({<"):
         seen.splice([(m.start(), m.end(), "@" if m["at"] else ".") for m in _BRACKETED.finditer(seen.text)])
     low = seen.text.lower()
-    if "@" in low or any(w in low for w in (" at ", "_at_", " ät ", " arobase ", " arroba ", " klammeraffe ")):
+    if "@" in low or any(w in low for w in _SPELLED_AT):
         seen.splice(_address_edits(seen.text))
         low = seen.text.lower()
     if "DOT" in seen.text:

@@ -113,3 +113,27 @@ def test_whole_identifiers_take_no_prose():
     for text in ("tel +1 988 555 2485 I said", "john@example.com . Next day", "card 4539 1488 0343 6467 o"):
         base, every = pii.spans(text)
         assert base == every and any(base.values()), text
+
+
+def test_spelled_numbers_need_no_run_of_words():
+    cases = [
+        ("ip 192 dot 168 dot 0 dot 1 end", "ip", "192 dot 168 dot 0 dot 1"),
+        ("ip 192 dot 168 dot zero dot one end", "ip", "192 dot 168 dot zero dot one"),
+        ("ip 192 punkt 168 punkt null punkt 1, 2024-05-01", "ip", "192 punkt 168 punkt null punkt 1"),
+        ("tel +1 555 five five five 0123 end", "phone", "+1 555 five five five 0123"),
+        ("tel plus 49 170 1234567 end", "phone", "plus 49 170 1234567"),
+        ("tel (plus 49 170 five 234567) end", "phone", "plus 49 170 five 234567"),
+        ("card 4539 1488 zero 343 6467 end", "card", "4539 1488 zero 343 6467"),
+    ]
+    for text, kind, want in cases:
+        base, every = pii.spans(text)
+        assert want in [text[a:b] for a, b in every[kind]] and not base[kind], (text, pii.spans(text))
+    for at in ("at", "ät", "arobase", "arroba", "klammeraffe"):
+        for a in " _":
+            for b in " _":
+                want = f"jo{a}{at}{b}example{a}dot{b}com"
+                assert source(f"mail {want} now", "email") == [want]
+    for text in ("1 2 three 4", "plus 10 000 000 euros", "plus 10,000,000 dollars", "version 1 point 2", "300 dot 1 dot 2 dot 3", "4539 1488 zero 343 6468", "one or two 12345678"):
+        assert not any(pii.spans(text)[1].values()), text
+    text = "tel +1 988 555 2485 one day"
+    assert [text[a:b] for a, b in pii.spans(text)[1]["phone"]] == ["+1 988 555 2485"]
