@@ -31,6 +31,22 @@ def segments(frames: DataFrame, length: int = LOCAL_FRAMES, overlap: int = 200)
     return rows.withColumn("video_id", F.concat_ws("#", "video_id", F.col("_k").cast("string"))).withColumn("t", (F.col("t") - F.col("_k") * step).cast("int")).drop("_k")
 
 
+def full_segments(frames: DataFrame, length: int = LOCAL_FRAMES, overlap: int = 200) -> DataFrame:
+    """Segments as above, each of ``length`` frames: the last one is moved back to end at the
+    recording's last frame; a shorter recording is one segment."""
+    step = length - overlap
+    ends = frames.groupBy("video_id").agg((F.max("t") + 1).alias("_n"))
+    final = F.greatest(F.lit(0), F.ceil((F.col("_n") - length) / step)).cast("int")
+    moved = F.greatest(F.lit(0), F.col("_n") - length)
+    first = F.greatest(F.lit(0), F.ceil((F.col("t") - length + 1) / step).cast("int"))
+    before = F.sequence(first, F.floor(F.col("t") / step).cast("int"))
+    ks = F.concat(F.filter(before, lambda k: k < final), F.when(F.col("t") >= moved, F.array(final)).otherwise(F.array().cast("array<int>")))
+    rows = frames.join(ends, "video_id").withColumn("_k", F.explode(ks))
+    start = F.when(F.col("_k") == final, moved).otherwise(F.col("_k") * step)
+    named = rows.withColumn("t", (F.col("t") - start).cast("int")).withColumn("video_id", F.concat_ws("#", "video_id", F.col("_k").cast("string")))
+    return named.select(*frames.columns)
+
+
 def merged(templates: DataFrame) -> DataFrame:
     """video_id, j, px, n_votes: the templates of a video's segments, turned to the first one by the
     best circular shift, then their medians. One video's templates (not its frames) are a group."""

@@ -146,9 +146,8 @@ def regime_plan(spark, sf):
 def fold_segments(spark, sf):
     """An endless recording in overlapping segments, folded apart and merged."""
     f, _ = planted(spark, sf, 1, 24, "noise", 0.05)
-    parts = storage.materialise(regimes.segments(f, 120, 20))
-    whole = parts.groupBy("video_id").agg(F.count("*").alias("n")).filter("n = 120")
-    return regimes.merged(pipeline.fold(parts.join(whole.select("video_id"), "video_id", "left_semi"), FoldConfig(M=24, max_n=90, pyramid_level=LEVEL, tile_px=256))).select("j", F.col("px").cast("array<double>").alias("px"), "n_votes")
+    parts = storage.materialise(regimes.full_segments(f, 120, 20))
+    return regimes.merged(pipeline.fold(parts, FoldConfig(M=24, max_n=90, pyramid_level=LEVEL, tile_px=256))).select("j", F.col("px").cast("array<double>").alias("px"), "n_votes")
 
 
 @query("study_deviation", "SELECT 17 AS cycle")
