@@ -6,7 +6,9 @@ source span it came from:
 1. glyphs: compatibility forms (full width, mathematical), digits of any script and Cyrillic
    and Greek look-alikes become ASCII; invisible characters vanish;
 2. separators: bracketed or spelled "at" and "dot" (English, German, French, Spanish) become
-   @ and ., spelled ones only between words that then read like an address;
+   @ and ., spelled ones only between words that then read like an address: both words of one
+   language, a plausible top-level part at the end, and where all that could be prose ("look at
+   the dot in the middle", "order at example dot com") a sign that it is none;
 3. digits: letters that look like digits inside numbers become them, and in runs of number
    words, spelled "plus" and "dot" and plain digits the words become digits, however few they are;
    what guards against false hits is what an identifier must fulfil.
@@ -31,6 +33,7 @@ import hashlib
 import re
 import sys
 import unicodedata
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -118,9 +121,21 @@ _LOOKALIKE = {
 #: Characters without width.
 _INVISIBLE = "­͏​‌‍‎‏⁠﻿"
 
-#: The spelled separators and digits of the four languages.
-_AT_WORDS = "at|ät|arobase|arroba|klammeraffe"
+#: The spelled separators of the four languages, which "dot" goes with which "at".
+_DOTS_OF = {"at": ("dot",), "ät": ("punkt", "dot"), "klammeraffe": ("punkt", "dot"), "arobase": ("point", "dot"), "arroba": ("punto", "dot")}
+_AT_WORDS = "|".join(_DOTS_OF)
 _DOT_WORDS = "dot|punkt|point|punto"
+#: Top-level parts beside the two-letter ones, and two-letter ones that are English words.
+_TOP = frozenset("com org net edu gov mil int info biz name pro app dev online site example test invalid".split())
+_TOP_WORDS = frozenset("am an as at be by do go he hi if in is it la me my no of oh on or pm so to up us we".split())
+#: Words that stand before "at" or behind it in prose.
+_PROSE_LOCAL = frozenset(
+    "about again all also anyone arrive arrived available bought buy contact everyone find found good happy he her here him i it live look looked looking looks meet met"
+    " more not now online only open or order ordered out over page people point read see seen she shop shopping site sold store them there they time us visit we website work working you".split()
+)
+_ARTICLES = frozenset("the a an der die das ein eine le la les un une cette el los las una esta".split())
+_PROSE_DOMAIN = frozenset("a all an any each every her his its least most my no node one our red some that the their these this those what which your".split())
+#: The digits of the four languages.
 _DIGIT_WORDS = {
     "zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9",
     "null": "0", "eins": "1", "zwei": "2", "zwo": "2", "drei": "3", "vier": "4", "fünf": "5", "sechs": "6", "sieben": "7", "acht": "8", "neun": "9",
@@ -225,18 +240,63 @@ def _glyph_edits(text: str) -> list[tuple[int, int, str]]:
     return [(m.start(), m.end(), table[ord(m[0])] or "") for m in _BEYOND.finditer(text) if ord(m[0]) in table]
 
 
+def _top(label: str, sure: bool) -> bool:
+    """Whether a label can end an address; ``sure`` if nothing else speaks for prose."""
+    label = label.lower()
+    return label in _TOP or len(label) == 2 and label.isalpha() and (sure or label not in _TOP_WORDS)
+
+
+#: Just before an address: what announces one.
+_CUE = re.compile(r"(?:e-?mail|mailto|correo|courriel|adresse|address|kontakt|contacto|mail|:|<)[ _]{0,3}\Z", re.I)
+
+
+def _kept_dots(text: str, m: re.Match) -> list[tuple[int, int]] | None:
+    """The separators behind "at" of the longest part that reads like an address; None if there is none."""
+    word, local = (m["word"] or "").lower(), m["local"]
+    dots = [d.span() for d in _DOT_IN.finditer(text, m.start("rest"), m.end("rest"))]
+    dots += [(i, i + 1) for i in range(m.start("rest"), m.end("rest")) if text[i] == "." and not any(a <= i < b for a, b in dots)]
+    dots.sort()
+    spelled = [text[a:b].strip(" _") for a, b in dots]
+    first = text[m.end("at") : dots[0][0]]
+    sure = bool(
+        not word  # an @ is no prose
+        or re.search("[0-9._%+-]|[a-z][A-Z]", local) or _DOT_IN.search(local) or re.search("[0-9-]", first) or _CUE.search(text, max(0, m.start() - 12), m.start())
+        or word not in ("at",) or "_" in m["at"] or m["word"].isupper() and not local.isupper()
+    )
+    if word and local.lower() in _ARTICLES or not sure and (local.lower() in _PROSE_LOCAL or first.lower() in _PROSE_DOMAIN):
+        return None
+    ends = [*(a for a, _ in dots[1:]), m.end("rest")]
+    whole = False  # a plain address is complete so far
+    kept = 0
+    for k, ((_, b), by) in enumerate(zip(dots, spelled, strict=True)):
+        apart = by != "." or dots[k][1] - dots[k][0] > 1
+        if word and by != "." and by.lower() not in _DOTS_OF[word]:
+            break
+        if not word and m["at"] == "@" and by == "." and apart:  # a full stop apart ends the sentence
+            break
+        label = text[b : ends[k]]
+        if whole and apart and (by.lower() != "dot" or not _top(label, False)):
+            break
+        if _top(label, sure):
+            kept = k + 1
+        whole = not word and m["at"] == "@" and all(x == "." and d[1] - d[0] == 1 for x, d in zip(spelled[: k + 1], dots, strict=False)) and _top(label, True) or whole
+    if not kept or word and all(x == "." for x in spelled[:kept]):
+        return None
+    return dots[:kept]
+
+
 def _address_edits(text: str) -> list[tuple[int, int, str]]:
     """A spelled "at" counts only with a spelled "dot" behind it: "see us at example.com" is no address."""
-    edits = []
-    for m in _ADDRESS.finditer(text):
-        dots = [(m.start("rest") + d.start(), m.start("rest") + d.end(), ".") for d in _DOT_IN.finditer(m["rest"])]
-        if m["at"] == "@" and m["rest"][0] == ".":  # whole so far: a full stop apart ends the sentence
-            stop = next((k for k, (a, b, _) in enumerate(dots) if text[a:b].strip(" _") == "."), len(dots))
-            dots = dots[:stop]
-        if m["word"] and not any(text[a:b].strip(" _") != "." for a, b, _ in dots):
+    edits, at = [], 0
+    while m := _ADDRESS.search(text, at):
+        dots = _kept_dots(text, m)
+        if dots is None:
+            at = m.end("local")
             continue
         edits += [(m.start("local") + d.start(), m.start("local") + d.end(), ".") for d in _DOT_IN.finditer(m["local"])]
-        edits += ([(m.start("at"), m.end("at"), "@")] if m["at"] != "@" else []) + dots
+        edits += [(m.start("at"), m.end("at"), "@")] if m["at"] != "@" else []
+        edits += [(a, b, ".") for a, b in dots if b - a > 1]
+        at = dots[-1][1]
     return edits
 
 
@@ -244,7 +304,7 @@ def _shouted_edits(text: str) -> list[tuple[int, int, str]]:
     edits = []
     for m in _SHOUTED.finditer(text):
         dots = [(m.start("rest") + d.start(), m.start("rest") + d.end(), ".") for d in re.finditer("DOT", m["rest"])]
-        if dots:
+        if dots and _top(re.split(r"DOT|\.", m["rest"])[-1], m["at"] == "@"):
             edits += ([(m.start("at"), m.end("at"), "@")] if m["at"] != "@" else []) + dots
     return edits
 
@@ -269,11 +329,21 @@ def _letter_edits(text: str) -> list[tuple[int, int, str]]:
 _THOUSANDS = re.compile(r"[0-9]{1,3}(?:[ ,][0-9]{3})+")
 
 
+def _runs(text: str) -> Iterator[list[re.Match]]:
+    """Runs of number words and plain numbers; a comma ends one unless most of its gaps have one."""
+    for m in _RUN.finditer(text):
+        tokens = list(_TOKEN.finditer(text, m.start(), m.end()))
+        commas = [i for i in range(1, len(tokens)) if "," in text[tokens[i - 1].end() : tokens[i].start()]]
+        if len(commas) > 2 and 2 * len(commas) >= len(tokens):
+            commas = []
+        for first, last in zip([0, *commas], [*commas, len(tokens)], strict=True):
+            yield tokens[first:last]
+
+
 def _digit_edits(text: str) -> list[tuple[int, int, str]]:
     """Words become digits; the space between two plain numbers of a run stays."""
     edits = []
-    for m in _RUN.finditer(text):
-        tokens = list(_TOKEN.finditer(text, m.start(), m.end()))
+    for tokens in _runs(text):
         while tokens and tokens[-1]["dot"]:
             tokens.pop()
         if len(tokens) < 2 or all(t["digits"] for t in tokens):
