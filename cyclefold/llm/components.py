@@ -28,11 +28,17 @@ def _towards_least(edges: DataFrame, larger_only: bool) -> DataFrame:
     return out.filter("u <> v").distinct()
 
 
-def of_edges(edges: DataFrame, rounds: int = 100) -> DataFrame:
+def of_edges(edges: DataFrame, known: DataFrame | None = None, rounds: int = 100) -> DataFrame:
     """node, root for every node of ``edges`` (u, v) that is not the least of its component.
 
-    Each round is written to the shared folder; it ends when a round changes nothing.
+    ``known`` is such a result for other edges, which these join. Each round is written to the
+    shared folder; it ends when a round changes nothing.
     """
+    if known is not None:
+        edges = common.materialise(edges)
+        if edges.isEmpty():
+            return known
+        edges = edges.select("u", "v").unionByName(known.select(F.col("root").alias("u"), F.col("node").alias("v")))
     now = common.materialise(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).filter("u <> v").distinct())
     seen = None
     for _ in range(rounds):
@@ -42,3 +48,19 @@ def of_edges(edges: DataFrame, rounds: int = 100) -> DataFrame:
         seen = mark
         now = common.materialise(_towards_least(common.materialise(_towards_least(now, True)), False))
     raise RuntimeError(f"components did not settle in {rounds} rounds")
+
+
+def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that stay if of each group (doc_id, component_id) the smallest doc_id stays.
+
+    Rows that repeat a doc_id count as one document and leave one row, that of the least text by
+    its hash. Rows without a doc_id cannot be named and all stay. What goes is the smaller list, so
+    it is what is joined, and only repeated rows are regrouped.
+    """
+    per_id = groups.dropna(subset=["doc_id"]).groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("component_id")).alias("stays"), F.count("*").alias("rows"))
+    per_id = common.materialise(per_id.filter("not stays or rows > 1"))
+    single = docs.join(per_id.select("doc_id"), "doc_id", "left_anti")
+    again = docs.join(per_id.filter("stays").select("doc_id"), "doc_id", "left_semi")
+    row, order = F.struct(*again.columns), F.struct(F.xxhash64("text"), F.col("text"))
+    again = again.groupBy("doc_id").agg(F.min_by(row, order).alias("row")).select("row.*")
+    return single.unionByName(again).select(*docs.columns)

@@ -1,12 +1,18 @@
 """Near copies: texts whose sets of 5-word shingles have a Jaccard similarity of 0.8 or more.
 
-Method. An exact set-similarity join, without a sketch that could miss a pair. All shingles are
-put in one global order. Two sets of similarity t or more share a shingle among the first
-n - ceil(t n) + 1 of each, so only those meet in an exchange. Any order is exact; shingles that
-are frequent in a sample of texts come last, so that a common line or passage seldom makes
-unrelated texts meet. Groups are the connected components of the pairs, so not every pair of a
-dense group has to be compared: first each text is checked against the least one of each place
-where it meets others, then only pairs that these links have not yet joined.
+Method. SimHash fingerprints of the shingle sets are linked by the sharded BK-trees of
+``simhash`` and every link is checked on the whole sets: that joins what is nearly equal. A
+similarity of 0.8 does not bound how many bits of two fingerprints differ (5 to 10 are common),
+so no radius finds all pairs; an exact set join completes the links:
+
+* all shingles are put in one global order. Two sets of similarity t or more share a shingle
+  among the first n - ceil(t n) + 1 of each, so only texts that meet there can be linked. Any
+  order is exact; shingles that are frequent in a sample of texts come last, so that a common
+  line or passage seldom makes unrelated texts meet;
+* groups are the connected components of the links, so that not every pair of a dense group has
+  to be compared: in a few rounds all texts at a shingle are checked against one of them, another
+  each round, and components are joined; then only the pairs that still lie apart are checked,
+  all of them. A shingle of many texts is cut into blocks, so that no task holds them all.
 
 Every link is checked on the whole shingle sets. Shingles and texts are compared by 64-bit hashes.
 
@@ -20,17 +26,19 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import common, components
+from . import common, components, simhash
 
 SHINGLE = 5
 SEED = 42
 #: Texts whose shingles are counted for the order, and the frequent shingles that are kept.
 SAMPLE, FREQUENT = 20_000, 50_000
-#: Shingle sets that a task keeps while it checks pairs.
-KEPT = 64
+#: Rounds in which the texts at a shingle are checked against one of them.
+PIVOT_ROUNDS = 2
+#: Texts of one shingle that a task pairs with as many others.
+BLOCK = 4096
 
 
 def shingles(text: str | None) -> np.ndarray:
@@ -65,97 +73,146 @@ def frequent_shingles(texts: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]
     return np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.int64)
 
 
-def meetings(texts: DataFrame, n: int) -> DataFrame:
-    """token, key, n, least, least_n: the first shingles of each text that another text's first ones share."""
+def majority(found: np.ndarray) -> int:
+    """SimHash of a set of shingle hashes, as a signed long."""
+    bits = np.unpackbits(found.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return int(np.packbits(2 * bits > len(found), bitorder="little").view("<i8")[0])
+
+
+def summaries(texts: DataFrame, n: int) -> DataFrame:
+    """key, n, fp, prefix: size, fingerprint and first shingles of each text, in the global order."""
     frequent, weight = frequent_shingles(texts, n)
-    schema = pa.schema([("token", pa.int64()), ("key", pa.int64()), ("n", pa.int64())])
+    schema = pa.schema([("key", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), ("prefix", pa.list_(pa.int64()))])
 
     def make():
-        seen: set[int] = set()  # exact copies in one task give their shingles once
+        seen: set[int] = set()  # exact copies in one task are summarised once
 
         def one(key, text):
             if key in seen:
                 return ()
             seen.add(key)
             found = shingles(text)
-            return [(x, key, len(found)) for x in ordered(found, frequent, weight)[: prefix_length(len(found))].tolist()]
+            return ((key, len(found), majority(found), ordered(found, frequent, weight)[: prefix_length(len(found))].tolist()),)
 
         return one
 
-    rows = texts.mapInArrow(common.per_row(["key", "text"], schema, make), "token long, key long, n long")
-    rows = rows.repartition("token").groupBy("token", "key").agg(F.first("n").alias("n"))
-    least, most = (f(F.struct("key", "n")).over(Window.partitionBy("token")) for f in (F.min, F.max))
-    met = rows.withColumns({"_a": least, "_b": most}).filter("_a.key < _b.key")
-    return met.select("token", "key", "n", F.col("_a.key").alias("least"), F.col("_a.n").alias("least_n"))
+    return texts.mapInArrow(common.per_row(["key", "text"], schema, make), "key long, n long, fp long, prefix array<long>")
+
+
+def meetings(known: DataFrame) -> DataFrame:
+    """token, key, n, at: the first shingles of each text that another text's first ones share, and their places."""
+    rows = known.select("key", "n", F.posexplode("prefix").alias("at", "token"))
+    rows = rows.groupBy("token", "key").agg(F.first("n").alias("n"), F.first("at").cast("long").alias("at"))
+    several = rows.groupBy("token").agg(F.min("key").alias("_a"), F.max("key").alias("_b")).filter("_a < _b").select("token")
+    return rows.join(several, "token")
+
 
+def _may_link(n, at, other_n, other_at):
+    """Sets of these sizes whose first common shingle stands at these places can be similar enough.
 
-def alike(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """The pairs (u, v) whose whole sets have a similarity of 0.8 or more; texts: key, text."""
+    Works on columns and on arrays alike.
+    """
+    least, rest = (np.minimum, (n - at, other_n - other_at)) if isinstance(n, np.ndarray) else (F.least, (n - at, other_n - other_at))
+    return 9 * least(*rest) >= 4 * (n + other_n)
+
+
+def alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The pairs (u, v) whose whole sets have a similarity of 0.8 or more; sets: key, found (their sorted hashes)."""
     schema = pa.schema([("u", pa.int64()), ("v", pa.int64())])
 
     def make():
-        kept: dict[int, np.ndarray] = {}  # sets of the last texts; a text's pairs follow one another
-
-        def held(key, text):
-            if key not in kept:
-                if len(kept) >= KEPT:
-                    del kept[next(iter(kept))]
-                kept[key] = shingles(text)
-            return kept[key]
-
-        def one(u, v, text_u, text_v):
-            a, b = held(v, text_v), held(u, text_u)
-            both = len(np.intersect1d(a, b, assume_unique=True))
+        def one(u, v, of_u, of_v):
+            a, b = np.frombuffer(of_u, np.int64), np.frombuffer(of_v, np.int64)
+            if len(a) > len(b):
+                a, b = b, a
+            both = int((b[np.minimum(np.searchsorted(b, a), len(b) - 1)] == a).sum())
             return ((u, v),) if 5 * both >= 4 * (len(a) + len(b) - both) else ()
 
         return one
 
-    a, b = (texts.select(F.col("key").alias(k), F.col("text").alias(f"text_{k}")) for k in ("u", "v"))
-    both = pairs.join(a, "u").join(b, "v").select("u", "v", "text_u", "text_v")
-    return both.mapInArrow(common.per_row(["u", "v", "text_u", "text_v"], schema, make), "u long, v long")
+    a, b = (sets.select(F.col("key").alias(k), F.col("found").alias(f"of_{k}")) for k in ("u", "v"))
+    both = pairs.join(a, "u").join(b, "v").select("u", "v", "of_u", "of_v")
+    return both.mapInArrow(common.per_row(["u", "v", "of_u", "of_v"], schema, make), "u long, v long")
+
 
+def set_table(texts: DataFrame) -> DataFrame:
+    """key, found: the sorted shingle hashes of each text as bytes."""
+    schema = pa.schema([("key", pa.int64()), ("found", pa.binary())])
+    return texts.mapInArrow(common.per_row(["key", "text"], schema, lambda: lambda key, text: ((key, shingles(text).tobytes()),)), "key long, found binary")
 
-def unjoined(met: DataFrame) -> DataFrame:
-    """u, v: pairs that meet (token, key, n, root), are near in size and have different roots.
 
-    At a token all pairs lie across roots but those of the largest one's members, which are not formed.
+def fingerprint_pairs(known: DataFrame) -> DataFrame:
+    """u, v: texts of equal fingerprints, and one text each of fingerprints that the BK-trees link."""
+    prints = common.materialise(known.groupBy("key").agg(F.first("fp").alias("fp")))
+    first = common.materialise(prints.groupBy("fp").agg(F.min("key").alias("least")))
+    equal = prints.join(first, "fp").filter("key <> least").select(F.col("least").alias("u"), F.col("key").alias("v"))
+    linked = simhash.links(first.select("fp"), first.count())
+    of_u, of_v = (first.select(F.col("fp").alias(k), F.col("least").alias(f"_{k}")) for k in ("u", "v"))
+    near = linked.join(of_u, "u").join(of_v, "v").select(F.least("_u", "_v").alias("u"), F.greatest("_u", "_v").alias("v"))
+    return equal.unionByName(near).distinct()
+
+
+def apart(met: DataFrame, roots: DataFrame) -> DataFrame:
+    """token, key, n, at, root: the meetings at shingles whose texts are not all in one component yet."""
+    rows = met.join(roots, met.key == roots.node, "left").select("token", "key", "n", "at", F.coalesce("root", "key").alias("root"))
+    mixed = rows.groupBy("token").agg(F.min("root").alias("_a"), F.max("root").alias("_b")).filter("_a < _b").select("token")
+    return rows.join(mixed, "token")
+
+
+def to_pivots(rows: DataFrame, k: int) -> DataFrame:
+    """u, v: at each shingle, every text of another component with the one text that round ``k`` chooses."""
+    pivot = rows.groupBy("token").agg(F.min(F.struct(F.xxhash64("key", F.lit(k)).alias("draw"), "key", "n", "at", "root")).alias("p"))
+    both = rows.join(pivot, "token").filter((F.col("root") != F.col("p.root")) & _may_link(F.col("n"), F.col("at"), F.col("p.n"), F.col("p.at")))
+    return both.select(F.least("key", "p.key").alias("u"), F.greatest("key", "p.key").alias("v")).distinct()
+
+
+def all_pairs(rows: DataFrame) -> DataFrame:
+    """u, v: all pairs of ``rows`` (token, key, n, at, root) that meet, lie in different components and can be linked.
+
+    The texts of a shingle are dealt into blocks of about ``BLOCK``, and each pair of blocks meets in a task.
     """
     schema = pa.schema([("u", pa.int64()), ("v", pa.int64())])
+    columns = ["token", "low", "high", "block", "key", "n", "at", "root"]
 
-    def pairs(key, n, root):
+    def pairs(low, high, block, key, n, at, root):
         _, group, size = np.unique(root, return_inverse=True, return_counts=True)
         main = group == int(np.argmax(size))
         if main.all():
             return
         rest = np.flatnonzero(~main)
-        for k, i in enumerate(rest):
+        for k, i in enumerate(rest):  # the largest component's own pairs are not formed
             other = np.concatenate([np.flatnonzero(main), rest[k + 1 :]])
-            other = other[(root[other] != root[i]) & (5 * np.minimum(n[other], n[i]) >= 4 * np.maximum(n[other], n[i]))]
+            other = other[root[other] != root[i]]
+            if low[0] != high[0]:
+                other = other[block[other] != block[i]]
+            other = other[_may_link(n[other], at[other], np.full(len(other), n[i]), np.full(len(other), at[i]))]
             if len(other):
                 yield np.minimum(key[other], key[i]), np.maximum(key[other], key[i])
 
     def search(batches):
-        held = [np.zeros(0, np.int64)] * 4
+        held = [np.zeros(0, np.int64)] * len(columns)
 
-        def out(columns):
-            token, key, n, root = columns
-            cuts = np.flatnonzero(np.r_[True, token[1:] != token[:-1], True])
+        def out(some):
+            cuts = np.flatnonzero(np.r_[True, np.any([c[1:] != c[:-1] for c in some[:3]], axis=0), True])
             for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-                for u, v in pairs(key[a:b], n[a:b], root[a:b]) if b - a > 1 else ():
+                for u, v in pairs(*(c[a:b] for c in some[1:])) if b - a > 1 else ():
                     yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], schema=schema)
 
         for batch in batches:
             held = [np.concatenate([h, batch.column(k).to_numpy(zero_copy_only=False)]) for k, h in enumerate(held)]
             if len(held[0]):
-                cut = int(np.searchsorted(held[0], held[0][-1]))  # the last token may go on in the next batch
+                differs = np.any([c != c[-1] for c in held[:3]], axis=0)  # the last group may go on in the next batch
+                cut = int(np.flatnonzero(differs)[-1]) + 1 if differs.any() else 0
                 yield from out([h[:cut] for h in held]) if cut else ()
                 held = [h[cut:] for h in held]
         if len(held[0]):
             yield from out(held)
 
-    mixed = met.groupBy("token").agg(F.min("root").alias("_a"), F.max("root").alias("_b")).filter("_a < _b").select("token")
-    rows = met.join(mixed, "token").select("token", "key", "n", "root")
-    return rows.repartition("token").sortWithinPartitions("token", "key").mapInArrow(search, "u long, v long").distinct()
+    blocks = rows.groupBy("token").agg(F.ceil(F.count("*") / BLOCK).cast("long").alias("blocks"))
+    dealt = rows.join(blocks, "token").withColumn("block", F.pmod(F.xxhash64("key"), F.col("blocks")))
+    dealt = dealt.withColumn("partner", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    dealt = dealt.withColumns({"low": F.least("block", "partner"), "high": F.greatest("block", "partner")}).select(*columns)
+    return dealt.repartition("token", "low", "high").sortWithinPartitions("token", "low", "high", "key").mapInArrow(search, "u long, v long").distinct()
 
 
 def groups(docs: DataFrame) -> DataFrame:
@@ -164,15 +221,16 @@ def groups(docs: DataFrame) -> DataFrame:
     texts = docs.select(F.xxhash64(text).alias("key"), text.alias("text"))
     keys = common.materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("key")))
     distinct = common.materialise(keys.groupBy("key").agg(F.min("doc_id").alias("least")))
-    met = common.materialise(meetings(texts, distinct.count()))
-    wanted = common.materialise(texts.dropDuplicates(["key"]).join(met.select("key").distinct(), "key", "left_semi"))
+    known = common.materialise(summaries(texts, distinct.count()))
+    met = common.materialise(meetings(known))
+    wanted = texts.join(met.select("key").distinct(), "key", "left_semi")
+    sets = common.materialise(set_table(wanted).groupBy("key").agg(F.first("found").alias("found")))
 
-    near = 5 * F.least("n", "least_n") >= 4 * F.greatest("n", "least_n")
-    to_least = met.filter(near & (F.col("key") != F.col("least"))).select(F.col("least").alias("u"), F.col("key").alias("v")).distinct()
-    first = common.materialise(alike(to_least, wanted))
-    roots = components.of_edges(first)
-    rooted = met.join(roots, met.key == roots.node, "left").select("token", "key", "n", F.coalesce("root", "key").alias("root"))
-    found = components.of_edges(first.unionByName(alike(unjoined(rooted), wanted)))
+    joined = components.of_edges(alike(fingerprint_pairs(known), sets))
+    for k in range(PIVOT_ROUNDS):
+        joined = components.of_edges(alike(to_pivots(apart(met, joined), k), sets), joined)
+    rest = common.materialise(all_pairs(apart(met, joined)))
+    found = components.of_edges(alike(rest, sets), joined)
 
     moved = distinct.join(found, distinct.key == found.node, "left").select("key", "least", F.coalesce("root", "key").alias("root"))
     named = moved.groupBy("root").agg(F.min("least").alias("component_id"))
@@ -181,11 +239,5 @@ def groups(docs: DataFrame) -> DataFrame:
 
 
 def deduplicate(docs: DataFrame) -> DataFrame:
-    """One row of each group stays, the one with the smallest doc_id; columns as given.
-
-    Rows that repeat a doc_id count as one document and leave one row. Rows without a doc_id
-    cannot be named and all stay.
-    """
-    keep = common.materialise(groups(docs).filter("doc_id = component_id").select("doc_id").distinct())
-    named = docs.join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.unionByName(docs.filter(F.col("doc_id").isNull())).select(*docs.columns)
+    """One row of each group stays, as ``components.one_of_each`` says; columns as given."""
+    return components.one_of_each(docs, groups(docs))

@@ -235,14 +235,8 @@ def groups(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
 
 
 def deduplicate(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """One row of each group stays, the one with the smallest doc_id; columns as given.
-
-    Rows that repeat a doc_id count as one document and leave one row. Rows without a doc_id
-    cannot be named and all stay.
-    """
-    keep = common.materialise(groups(docs, radius).filter("doc_id = component_id").select("doc_id").distinct())
-    named = docs.join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.unionByName(docs.filter(F.col("doc_id").isNull())).select(*docs.columns)
+    """One row of each group stays, as ``components.one_of_each`` says; columns as given."""
+    return components.one_of_each(docs, groups(docs, radius))
 
 
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
