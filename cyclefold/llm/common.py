@@ -16,9 +16,9 @@ from collections.abc import Callable, Iterable, Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from ..plans.storage import materialise, shared_dir
+from ..plans.storage import exists, forget, materialise, new_folder, shared_dir
 
-__all__ = ["materialise", "per_row", "shared_dir", "slices", "table"]
+__all__ = ["exists", "forget", "materialise", "new_folder", "per_row", "shared_dir", "slices", "table"]
 
 #: Rows that are turned into Python objects at a time inside one Arrow batch.
 SLICE_ROWS = 256

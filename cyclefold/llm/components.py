@@ -46,7 +46,10 @@ def of_edges(edges: DataFrame, known: DataFrame | None = None, rounds: int = 100
         if mark == seen or not mark[0]:
             return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
         seen = mark
-        now = common.materialise(_towards_least(common.materialise(_towards_least(now, True)), False))
+        half = common.materialise(_towards_least(now, True))
+        common.forget(now)
+        now = common.materialise(_towards_least(half, False))
+        common.forget(half)
     raise RuntimeError(f"components did not settle in {rounds} rounds")
 
 

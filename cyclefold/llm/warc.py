@@ -1,14 +1,15 @@
 """Fixity audit of web archives: Merkle trees over records, compared between replicas.
 
-Method. A record's leaf is the SHA-256 of its bytes, placed by file, ordinal and offset range.
-``FANOUT`` neighbours make a node of the next level: the hash of their hashes, their offset
-range and their number, up to one root a file. The audit compares roots of the same file in
-two replicas and descends only where they differ, level by level, to the records that differ;
-equal branches are never joined below their top node.
+Method. A record's digest is the SHA-256 of its bytes. A leaf hashes the record's offset, its
+length and its digest; ``FANOUT`` neighbours make a node of the next level, which hashes the
+offset range it covers, how many records lie in it and its children's hashes in order, up to one
+root a file. Leaves and nodes are tagged, so that neither can stand for the other. The audit
+compares roots of the same file in two replicas and descends only where they differ, level by
+level, to the records that differ; equal branches are never joined below their top node.
 
-Corruption that keeps the record borders is located record by record; a cut file shows as
-missing records, a longer one as extra records. Where borders move inside a file, every
-record from there on differs and is reported.
+Corruption that keeps the record borders is located record by record (``changed``); records that
+are whole but lie at another offset are ``moved``; a cut file shows as ``missing`` records, a longer
+one as ``extra`` ones. Where a record is lost inside a file, every record from there on differs.
 
 Defined results: a null url, date or body is the empty one; repeated rows are separate records;
 a file that one replica lacks is reported record by record; empty tables give empty results.
@@ -26,24 +27,39 @@ from pyspark.sql import functions as F
 from . import common
 
 FANOUT = 16
-FILE_RECORDS = 1024
+#: Page ids that share an archive; an archive of more than ``CROWDED`` times as many pages, as ids repeat, is split.
+FILE_RECORDS, CROWDED = 64, 4
 
 
 # --- archives ---------------------------------------------------------------------------------
 
+#: What ends a record.
+_END = "\r\n\r\n"
+
 
 def record(url: Column, body: Column, name: Column) -> Column:
-    """A page as the text of a resource record."""
+    """A page as the text of a resource record, without the two line ends behind it."""
     url, body = F.coalesce(url, F.lit("")), F.coalesce(body, F.lit(""))
     name = F.coalesce(name.cast("string"), F.lit(""))
     return F.concat(
         F.lit("WARC/1.1\r\nWARC-Type: resource\r\nWARC-Record-ID: <urn:page:"), name, F.lit(">\r\nWARC-Target-URI: "), url,
-        F.lit("\r\nContent-Type: text/html\r\nContent-Length: "), F.octet_length(body).cast("string"), F.lit("\r\n\r\n"), body, F.lit("\r\n\r\n"),
+        F.lit("\r\nContent-Type: text/html\r\nContent-Length: "), F.octet_length(body).cast("string"), F.lit(_END), body,
     )
 
 
+def write(records: DataFrame, path: str) -> None:
+    """Archive files below ``path`` from rows (store, file, position, text): one a store and file, compressed.
+
+    The records' ends are the line ends of Spark's text writer, so no record passes through Python.
+    ``records`` has all rows of a file in one partition.
+    """
+    ordered = records.sortWithinPartitions("store", "file", "position").select("store", "file", F.col("text").alias("value"))
+    ordered.write.partitionBy("store", "file").option("lineSep", _END).option("compression", "gzip").text(path)
+
+
 _HEADER = re.compile(rb"WARC/1\.[01]\r\n(.*?)\r\n\r\n", re.S)
 _LENGTH = re.compile(rb"^content-length:\s*(\d+)\s*$", re.I | re.M)
+_NAME = re.compile(rb"^warc-record-id:\s*(.*?)\s*$", re.I | re.M)
 
 
 def split_records(data: bytes) -> Iterator[tuple[int, bytes]]:
@@ -57,74 +73,72 @@ def split_records(data: bytes) -> Iterator[tuple[int, bytes]]:
         at = end
 
 
+def record_name(raw: bytes) -> str | None:
+    """The record's own id, None if it has none."""
+    m = _HEADER.match(raw)
+    name = _NAME.search(m[1].replace(b"\r", b"")) if m else None
+    return name[1].decode(errors="replace") if name else None
+
+
 def read(spark: SparkSession, path: str) -> DataFrame:
-    """The leaves of the archive files in a folder; a task holds one file at a time."""
-    schema = pa.schema([("file", pa.string()), ("position", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("digest", pa.string())])
+    """The leaves of the archive files below a folder, plain or compressed; a task holds one file at a time.
+
+    A file is named by its folder ``file=...`` if it lies in one, else by its own name.
+    """
+    schema = pa.schema([("file", pa.string()), ("position", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("digest", pa.string()), ("name", pa.string())])
 
     def make():
+        import gzip
         import hashlib
-        from posixpath import basename
+        from posixpath import basename, dirname
 
         def one(path, content):
-            for i, (at, raw) in enumerate(split_records(content)):
-                yield basename(path), i, at, len(raw), hashlib.sha256(raw).hexdigest()
-
-        return one
-
-    files = spark.read.format("binaryFile").load(path)
-    return files.select("path", "content").mapInArrow(common.per_row(["path", "content"], schema, make), "file string, position long, start long, length long, digest string")
-
+            folder = basename(dirname(path))
+            file = folder.removeprefix("file=") if folder.startswith("file=") else basename(path)
+            data = gzip.decompress(content) if content[:2] == b"\x1f\x8b" else content
+            for i, (at, raw) in enumerate(split_records(data)):
+                yield file, i, at, len(raw), hashlib.sha256(raw).hexdigest(), record_name(raw)
 
-def placed(records: DataFrame, order: list[str], file_records: int = FILE_RECORDS) -> DataFrame:
-    """Adds file (long) and position: rows in order, ``file_records`` a file.
-
-    Rows are dealt out by range and numbered inside each range; the ranges' sizes, one row
-    per partition, are summed up in order. No file is larger than ``file_records`` rows.
-    """
-    ranged = common.materialise(records.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()))
-    sizes = ranged.groupBy("_part").agg(F.count("*").alias("_n"))
-    before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
-    base = sizes.select("_part", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_base"))
-    at = F.col("_base") + F.row_number().over(Window.partitionBy("_part").orderBy(*order)) - 1
-    return (
-        ranged.join(base, "_part")
-        .withColumn("_at", at)
-        .withColumn("file", F.floor(F.col("_at") / file_records).cast("long"))
-        .withColumn("position", F.pmod(F.col("_at"), F.lit(file_records)).cast("long"))
-        .drop("_part", "_base", "_at")
-    )
+        def each(batches):
+            for batch in batches:
+                for path, content in zip(batch.column(0), batch.column(1), strict=True):
+                    rows = list(zip(*one(path.as_py(), content.as_py()), strict=True)) or [[] for _ in schema]
+                    yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(rows, schema, strict=True)], schema=schema)
 
+        return each
 
-def with_offsets(leaves: DataFrame) -> DataFrame:
-    """Adds start: the bytes of the file before the record."""
-    before = Window.partitionBy("file").orderBy("position").rowsBetween(Window.unboundedPreceding, -1)
-    return leaves.withColumn("start", F.coalesce(F.sum("length").over(before), F.lit(0)))
+    files = spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path)
+    return files.select("path", "content").mapInArrow(lambda batches: make()(batches), "file string, position long, start long, length long, digest string, name string")
 
 
 # --- trees ------------------------------------------------------------------------------------
 
 
 class Tree:
-    """Levels of (file, node, digest, start, end, records); level 0 are the records, the last the roots."""
+    """Levels of (file, node, hash, start, end, records), the leaves with digest and name; the last level are the roots."""
 
     def __init__(self, levels: list[DataFrame]):
         self.levels = levels
 
     @classmethod
     def of(cls, leaves: DataFrame, fanout: int = FANOUT) -> Tree:
-        """From leaves (file, position, start, length, digest)."""
+        """From leaves (file, position, start, length, digest and, if known, name)."""
+        name = F.col("name") if "name" in leaves.columns else F.lit(None).cast("string").alias("name")
+        hashed = F.sha2(F.concat_ws("|", F.lit("leaf"), "start", "length", "digest"), 256)
         now = common.materialise(
-            leaves.select("file", F.col("position").alias("node"), "digest", "start", (F.col("start") + F.col("length")).alias("end"), F.lit(1).cast("long").alias("records"))
+            leaves.select(
+                "file", F.col("position").alias("node"), hashed.alias("hash"), "start", (F.col("start") + F.col("length")).alias("end"), F.lit(1).cast("long").alias("records"), "digest", name
+            )
         )
         levels = [now]
         most = now.agg(F.max("node")).first()[0] or 0
         while most > 0:
-            child = F.struct("node", "digest")
-            now = common.materialise(
-                now.groupBy("file", F.floor(F.col("node") / fanout).cast("long").alias("node"))
-                .agg(F.sort_array(F.collect_list(child)).alias("children"), F.min("start").alias("start"), F.max("end").alias("end"), F.sum("records").alias("records"))
-                .select("file", "node", F.sha2(F.array_join("children.digest", "").cast("binary"), 256).alias("digest"), "start", "end", "records")
+            child = F.struct("node", "hash")
+            grouped = now.groupBy("file", F.floor(F.col("node") / fanout).cast("long").alias("node")).agg(
+                F.sort_array(F.collect_list(child)).alias("children"), F.min("start").alias("start"), F.max("end").alias("end"), F.sum("records").alias("records")
             )
+            hashed = F.sha2(F.concat_ws("|", F.lit("node"), "start", "end", "records", F.array_join("children.hash", ",")), 256)
+            now = common.materialise(grouped.select("file", "node", hashed.alias("hash"), "start", "end", "records"))
             levels.append(now)
             most //= fanout
         return cls(levels)
@@ -134,7 +148,7 @@ class Tree:
 
 
 def audit(primary: Tree, replica: Tree, fanout: int = FANOUT) -> DataFrame:
-    """file, position, kind (changed, missing, extra), start, end and digest on either side.
+    """file, position, kind (changed, moved, missing, extra); start, end, digest and name on either side.
 
     A tree of fewer levels has smaller files only; its roots stand for the levels it lacks.
     """
@@ -142,73 +156,109 @@ def audit(primary: Tree, replica: Tree, fanout: int = FANOUT) -> DataFrame:
     sides = [t.levels + [t.levels[-1]] * (height - len(t.levels)) for t in (primary, replica)]
     frontier = None
     for level in reversed(range(height)):
-        a, b = (s[level].alias(n) for s, n in zip(sides, "ab", strict=True))
+        a, b = (s[level] for s in sides)
         if frontier is not None:
             up = F.floor(F.col("node") / fanout)
-            a, b = (
-                s[level].join(frontier, (F.col("file").eqNullSafe(F.col("f"))) & (up == F.col("parent")), "left_semi").alias(n)
-                for s, n in zip(sides, "ab", strict=True)
-            )
+            a, b = (s.join(frontier, (F.col("file").eqNullSafe(F.col("f"))) & (up == F.col("parent")), "left_semi") for s in (a, b))
+        a, b = a.alias("a"), b.alias("b")
         same = F.col("a.file").eqNullSafe(F.col("b.file")) & (F.col("a.node") == F.col("b.node"))
-        differ = a.join(b, same, "full_outer").filter(~F.col("a.digest").eqNullSafe(F.col("b.digest")))
-        found = differ.select(
-            F.coalesce("a.file", "b.file").alias("file"), F.coalesce("a.node", "b.node").alias("node"),
-            *(F.col(f"{n}.{c}").alias(f"{side}_{c}") for n, side in (("a", "primary"), ("b", "replica")) for c in ("start", "end", "digest")),
-        )
+        differ = a.join(b, same, "full_outer").filter(~F.col("a.hash").eqNullSafe(F.col("b.hash")))
         if level:
-            frontier = common.materialise(found.select(F.col("file").alias("f"), F.col("node").alias("parent")))
-    kind = F.when(F.col("replica_digest").isNull(), "missing").when(F.col("primary_digest").isNull(), "extra").otherwise("changed")
-    return found.withColumnRenamed("node", "position").withColumn("kind", kind)
+            frontier = common.materialise(differ.select(F.coalesce("a.file", "b.file").alias("f"), F.coalesce("a.node", "b.node").alias("parent")))
+    kind = (
+        F.when(F.col("b.digest").isNull(), "missing").when(F.col("a.digest").isNull(), "extra").when(F.col("a.digest") == F.col("b.digest"), "moved").otherwise("changed")
+    )
+    return differ.select(
+        F.coalesce("a.file", "b.file").alias("file"), F.coalesce("a.node", "b.node").alias("position"), kind.alias("kind"),
+        *(F.col(f"{n}.{c}").alias(f"{side}_{c}") for n, side in (("a", "primary"), ("b", "replica")) for c in ("start", "end", "digest", "name")),
+    )
 
 
 # --- the query --------------------------------------------------------------------------------
 
-#: The second store is made for the query: records whose digest begins so have rotted there, one
-#: character of the body being lost to another, and every file whose first record's digest begins
-#: so was cut before its last record.
-ROTTEN = ("00", "7f")
-CUT = "1"
+#: The second store is made for the query. By the first letters of a record's digest: a page whose last
+#: character is another one there, and, in every fourth archive, one that lost it, which moves all behind it.
+#: By the archive's number modulo 4: the last record is lost, or is there twice.
+ROTTEN, SHORTER = "0", "1"
+CUT, TWICE, SHIFTED = 1, 2, 3
+
+
+def stores(pages: DataFrame) -> DataFrame:
+    """store, file, position, text: the pages as archives in two stores, all rows of a file in one partition.
+
+    An archive has the pages of ``FILE_RECORDS`` ids. Where ids repeat so often that it would be crowded,
+    it is split by the records' digests.
+    """
+    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", F.floor(F.col("page_id").cast("long") / FILE_RECORDS).cast("long").alias("block"))
+    crowded = rows.groupBy("block").count().filter(F.col("count") > CROWDED * FILE_RECORDS)
+    crowded = common.materialise(crowded.select(F.col("block").alias("of"), F.ceil(F.col("count") / FILE_RECORDS).cast("long").alias("parts")))
+    digest = F.sha2(F.concat(record(F.col("url"), F.col("html"), F.col("page_id")), F.lit(_END)).cast("binary"), 256)
+    rows = rows.withColumn("digest", digest).join(crowded, F.col("block").eqNullSafe(F.col("of")), "left")
+    part = F.when(F.col("parts").isNotNull(), F.concat(F.lit("."), F.pmod(F.conv(F.substring("digest", 1, 8), 16, 10).cast("long"), F.col("parts")).cast("string"))).otherwise("")
+    rows = rows.withColumn("file", F.concat(F.lit("pages-"), F.coalesce(F.col("block").cast("string"), F.lit("none")), part))
+    order = Window.partitionBy("file").orderBy("page_id", "digest")
+    rows = rows.withColumns({"position": F.row_number().over(order).cast("long") - 1, "last": F.lead("digest").over(order).isNull()})
+
+    kind = F.coalesce(F.pmod("block", F.lit(4)), F.lit(0))
+    body = F.coalesce("html", F.lit(""))
+    cut = F.expr("left(coalesce(html, ''), greatest(char_length(coalesce(html, '')) - 1, 0))")
+    stored = (
+        F.when(F.startswith("digest", F.lit(ROTTEN)), F.concat(cut, F.lit("?"))).when(F.startswith("digest", F.lit(SHORTER)) & (kind == SHIFTED), cut).otherwise(body)
+    )
+    entry = lambda store, position, html: F.struct(F.lit(store).alias("store"), position.alias("position"), html.alias("html"))
+    at = F.col("position")
+    entries = F.array(
+        entry("primary", at, body),
+        F.when(~(F.col("last") & (kind == CUT)), entry("replica", at, stored)),
+        F.when(F.col("last") & (kind == TWICE), entry("replica", at + 1, stored)),
+    )
+    each = rows.withColumn("e", F.explode(F.array_compact(entries)))
+    return each.select("e.store", "file", "e.position", record(F.col("url"), F.col("e.html"), F.col("page_id")).alias("text"))
 
 
 def op9_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pages = common.table(spark, sf_dir, "pages")
-    sound = record(F.col("url"), F.col("html"), F.col("page_id"))
-    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), sound.alias("sound"))
-    rows = rows.withColumn("digest", F.sha2(F.col("sound").cast("binary"), 256))
-    rotten = F.substring("digest", 1, 2).isin(*ROTTEN)
-    stored = F.when(rotten, F.concat(F.expr("substring(sound, 1, char_length(sound) - 5)"), F.lit("?"), F.lit("\r\n\r\n"))).otherwise(F.col("sound"))
-    rows = rows.withColumn("stored", stored).select(
-        "page_id", "digest", F.octet_length("sound").cast("long").alias("length"),
-        F.when(rotten, F.sha2(F.col("stored").cast("binary"), 256)).otherwise(F.col("digest")).alias("stored_digest"), F.octet_length("stored").cast("long").alias("stored_length"),
-    )
-    all_rows = common.materialise(placed(rows, ["page_id", "digest"]))
-    primary = Tree.of(with_offsets(all_rows))
-    last = F.row_number().over(Window.partitionBy("file").orderBy(F.desc("position"))) == 1
-    head = F.min(F.when(F.col("position") == 0, F.col("digest"))).over(Window.partitionBy("file"))
-    there = all_rows.withColumn("cut", last & F.startswith(head, F.lit(CUT))).filter("not cut")
-    replica = Tree.of(with_offsets(there.select("file", "position", F.col("stored_digest").alias("digest"), F.col("stored_length").alias("length"))))
+    """Writes the pages as archives in two stores, reads both back and audits them."""
+    path = common.new_folder(spark)
+    write(stores(common.table(spark, sf_dir, "pages")), path)
+    if not common.exists(spark, path, "store=primary"):
+        kinds = "file string, position long, page_id long, kind string, primary_start long, primary_end long, primary_digest string, replica_start long, replica_end long, replica_digest string"
+        return spark.createDataFrame([], kinds)
+    primary, replica = (Tree.of(read(spark, f"{path}/store={s}")) for s in ("primary", "replica"))
     found = audit(primary, replica)
-    return found.join(all_rows.select("file", "position", "page_id"), ["file", "position"], "left").select(
+    page = F.regexp_extract(F.coalesce("primary_name", "replica_name"), "urn:page:(-?[0-9]+)>", 1)
+    return found.withColumn("page_id", F.when(page != "", page.cast("long"))).select(
         "file", "position", "page_id", "kind", "primary_start", "primary_end", "primary_digest", "replica_start", "replica_end", "replica_digest"
     )
 
 
+def _sql_record(body: str) -> str:
+    crlf = "chr(13) || chr(10)"
+    return (
+        f"'WARC/1.1' || {crlf} || 'WARC-Type: resource' || {crlf} || 'WARC-Record-ID: <urn:page:' || coalesce(page_id::varchar, '') || '>' || {crlf}"
+        f" || 'WARC-Target-URI: ' || coalesce(url, '') || {crlf} || 'Content-Type: text/html' || {crlf} || 'Content-Length: ' || octet_length(encode({body}))::varchar"
+        f" || {crlf} || {crlf} || {body} || {crlf} || {crlf}"
+    )
+
+
 ORACLE = f"""
-WITH s AS (
-  SELECT page_id, concat('WARC/1.1', chr(13), chr(10), 'WARC-Type: resource', chr(13), chr(10), 'WARC-Record-ID: <urn:page:', coalesce(page_id::varchar, ''), '>', chr(13), chr(10),
-    'WARC-Target-URI: ', coalesce(url, ''), chr(13), chr(10), 'Content-Type: text/html', chr(13), chr(10), 'Content-Length: ', octet_length(encode(coalesce(html, '')))::varchar,
-    chr(13), chr(10), chr(13), chr(10), coalesce(html, ''), chr(13), chr(10), chr(13), chr(10)) AS sound FROM pages),
-d AS (SELECT *, sha256(sound) AS digest, substr(sha256(sound), 1, 2) IN {ROTTEN} AS rotten,
-        concat(substr(sound, 1, length(sound) - 5), '?', chr(13), chr(10), chr(13), chr(10)) AS other FROM s),
-n AS (SELECT page_id, digest, octet_length(encode(sound)) AS len, CASE WHEN rotten THEN sha256(other) ELSE digest END AS stored,
-        CASE WHEN rotten THEN octet_length(encode(other)) ELSE octet_length(encode(sound)) END AS slen,
-        row_number() OVER (ORDER BY page_id NULLS FIRST, digest) - 1 AS seq FROM d),
-p AS (SELECT *, (seq - seq % {FILE_RECORDS}) // {FILE_RECORDS} AS file, seq % {FILE_RECORDS} AS position FROM n),
-o AS (SELECT *, (sum(len) OVER w)::bigint AS stop, (sum(slen) OVER w)::bigint AS sstop,
-        position = max(position) OVER (PARTITION BY file) AND starts_with(first_value(digest) OVER w, '{CUT}') AS cut
-      FROM p WINDOW w AS (PARTITION BY file ORDER BY position))
-SELECT file::bigint AS file, position::bigint AS position, page_id, CASE WHEN cut THEN 'missing' ELSE 'changed' END AS kind,
-  stop - len AS primary_start, stop AS primary_end, digest AS primary_digest,
-  CASE WHEN NOT cut THEN sstop - slen END AS replica_start, CASE WHEN NOT cut THEN sstop END AS replica_end, CASE WHEN NOT cut THEN stored END AS replica_digest
-FROM o WHERE cut OR stored <> digest
+WITH b AS (SELECT page_id, url, coalesce(html, '') AS html, floor(page_id / {FILE_RECORDS})::bigint AS block FROM pages),
+s AS (SELECT *, {_sql_record("html")} AS sound FROM b),
+d AS (SELECT *, sha256(sound) AS digest, count(*) OVER (PARTITION BY block) AS n, coalesce(((block % 4) + 4) % 4, 0) AS kind FROM s),
+f AS (SELECT *, 'pages-' || coalesce(block::varchar, 'none') || CASE WHEN n > {CROWDED * FILE_RECORDS}
+        THEN '.' || (('0x' || substr(digest, 1, 8))::bigint % ceil(n / {FILE_RECORDS})::bigint)::varchar ELSE '' END AS file FROM d),
+p AS (SELECT *, row_number() OVER w - 1 AS position, lead(digest) OVER w IS NULL AS last FROM f WINDOW w AS (PARTITION BY file ORDER BY page_id, digest)),
+c AS (SELECT *, CASE WHEN digest LIKE '{ROTTEN}%' THEN left(html, greatest(length(html) - 1, 0)) || '?'
+        WHEN digest LIKE '{SHORTER}%' AND kind = {SHIFTED} THEN left(html, greatest(length(html) - 1, 0)) ELSE html END AS other FROM p),
+r AS (SELECT page_id, file, position, last, kind, digest, octet_length(encode(sound)) AS len, {_sql_record("other")} AS stored FROM c),
+y AS (SELECT page_id, file, position, stored FROM r WHERE NOT (last AND kind = {CUT})
+      UNION ALL SELECT page_id, file, position + 1, stored FROM r WHERE last AND kind = {TWICE}),
+pr AS (SELECT page_id, file, position, digest, (sum(len) OVER (PARTITION BY file ORDER BY position))::bigint AS stop, len FROM r),
+re AS (SELECT page_id, file, position, sha256(stored) AS digest, (sum(octet_length(encode(stored))) OVER (PARTITION BY file ORDER BY position))::bigint AS stop,
+         octet_length(encode(stored)) AS len FROM y)
+SELECT coalesce(pr.file, re.file) AS file, coalesce(pr.position, re.position)::bigint AS position, coalesce(pr.page_id, re.page_id) AS page_id,
+  CASE WHEN re.digest IS NULL THEN 'missing' WHEN pr.digest IS NULL THEN 'extra' WHEN pr.digest = re.digest THEN 'moved' ELSE 'changed' END AS kind,
+  (pr.stop - pr.len)::bigint AS primary_start, pr.stop AS primary_end, pr.digest AS primary_digest,
+  (re.stop - re.len)::bigint AS replica_start, re.stop AS replica_end, re.digest AS replica_digest
+FROM pr FULL JOIN re ON pr.file = re.file AND pr.position = re.position
+WHERE pr.digest IS NULL OR re.digest IS NULL OR pr.digest <> re.digest OR pr.stop <> re.stop OR pr.len <> re.len
 """

@@ -59,3 +59,23 @@ def test_ids(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     assert sorted(str(r.doc_id) for r in near_copies.deduplicate(docs).collect()) == ["1", "9", "None", "None"]
     assert near_copies.deduplicate(docs.limit(0)).count() == 0
+
+
+def test_one_shingle_of_many_texts_is_cut_into_blocks(spark, monkeypatch):
+    monkeypatch.setattr(near_copies, "BLOCK", 16)
+    draw = random.Random(9)
+    line = " ".join(f"common{k}" for k in range(30))
+    texts = [f"{line} {' '.join(f'x{draw.randrange(40)}' for _ in range(draw.randrange(4, 9)))}" for _ in range(150)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert [r.component_id for r in near_copies.groups(docs).orderBy("doc_id").collect()] == brute(texts)
+
+
+def test_repeated_ids_leave_one_row(spark):
+    rows = [(7, f"{k} b c d e f g h", k) for k in range(20)] + [(8, "x", 0), (5, None, 0), (6, "", 0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, component_id int")
+    for some in (docs, docs.repartition(7)):
+        got = near_copies.deduplicate(some)
+        assert got.columns == docs.columns
+        assert sorted(r.doc_id for r in got.collect()) == [5, 7, 8]
+        first = got.filter("doc_id = 7").first().component_id if some is docs else first
+    assert near_copies.deduplicate(docs.repartition(7)).filter("doc_id = 7").first().component_id == first

@@ -4,7 +4,7 @@ import numpy as np
 from pyspark.sql import SparkSession
 
 import corpus_pipeline
-from cyclefold.llm import packing, pii, quality, simhash, toxicity
+from cyclefold.llm import packing, pii, quality, toxicity
 
 
 def plain(rows, model, allowed):
@@ -12,11 +12,11 @@ def plain(rows, model, allowed):
     rows = [r for r in rows if _good(r, allowed)]
     scorer = toxicity.Scorer(model)
     rows = [r for r in rows if scorer([r[1]])[0] < toxicity.THRESHOLD]
-    prints = [simhash.fingerprint(r[1]) for r in rows]
+    sets = [_shingles(r[1]) for r in rows]
     root = list(range(len(rows)))
     for i in range(len(rows)):
         for j in range(i):
-            if (prints[i] ^ prints[j]).bit_count() <= 3:
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
                 a, b = root[i], root[j]
                 root = [min(a, b) if x in (a, b) else x for x in root]
     least = {}
@@ -33,6 +33,12 @@ def plain(rows, model, allowed):
     return out
 
 
+def _shingles(text):
+    """Near-duplicates share 0.8 of their five-word shingles."""
+    words = (text or "").encode().lower().split()
+    return {tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))}
+
+
 def _good(row, allowed):
     words, _, symbols, dup, repeat, lines = quality.measure(row[1])
     if words < 20 or 100 * repeat > 30 * words:
