@@ -47,8 +47,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``; each but the last is written and read again."""
+    """All stages over ``documents``; each but the last is written and read again, and goes when the next is written."""
     docs = common.table(spark, sf_dir, "documents")
+    written = None
     for _, stage in STAGES[:-1]:
         docs = common.materialise(stage(spark, docs, sf_dir))
+        if written is not None:
+            common.forget(written)
+        written = docs
     return STAGES[-1][1](spark, docs, sf_dir)
