@@ -53,3 +53,43 @@ def test_hostile_pages():
     for page in ("<div>" * 20_000 + "x", "<p>" * 20_000, "<a b='" * 5000, "<" * 50_000, "<!--" * 20_000, "<li><ul>" * 5000 + "x", "</p>" * 2000):
         html.extract(html.parse(page), set())
         html.candidates(html.parse(page))
+
+
+def test_article_content_is_not_told_by_compound_names():
+    page = "<article><h2 class='related-work'>Related work</h2><p class='related-work'>Others did so.</p><p class='notice-board'>Boards.</p><section class='share-price'><p>Prices rose.</p></section><div class='share'>Tweet</div><div class='comment-list'><p>First!</p></div><p>End.</p></article>"
+    assert text_of(page) == "Related work\nOthers did so.\nBoards.\nPrices rose.\nEnd."
+
+
+def test_sites_without_declared_parts(spark):
+    """Nothing says what is template: no article, no roles, no telling names. Only repetition on the host does."""
+    draw = random.Random(5)
+    words = lambda n: " ".join("".join(draw.choice("abcdefgh") for _ in range(5)) for _ in range(n))
+    rows, want = [], {}
+    for site in range(4):
+        top, side, end = (f"<div class=x{draw.randrange(99)}><p>{words(6)}</p><ul><li>{words(1)}<li>{words(2)}</ul></div>" for _ in range(3))
+        for i in range(9):
+            page, body = site * 100 + i, [words(draw.randrange(5, 40)) for _ in range(draw.randrange(1, 5))]
+            rows.append((page, f"https://s{site}.example/{i}", f"<html><body>{top}<div>{side}<div>{''.join(f'<p>{b}</p>' for b in body)}</div></div>{end if i % 2 else ''}{end}</body></html>"))
+            want[page] = "\n".join(body)
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = html.main_text(pages).collect()
+    assert {r.page_id: r.text for r in got} == want
+    assert all(r.n_template >= 3 for r in got)
+    alone = html.main_text(pages.filter("page_id % 100 < 4")).collect()  # four pages are no template
+    assert all(r.n_template == 0 and len(r.text) > len(want[r.page_id]) for r in alone)
+
+
+def test_hosts_of_many_templates_go_page_by_page(spark, monkeypatch):
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    whole = sorted(map(tuple, html.main_text(pages).collect()), key=str)
+    assert sum(r[4] for r in whole) > 0
+    monkeypatch.setattr(html, "HOST_LIST", 0)
+    assert sorted(map(tuple, html.main_text(pages).collect()), key=str) == whole
+
+
+def test_what_some_articles_of_a_large_site_share_stays(spark):
+    table = "<table><tr><td>Units<td>Metres</table>"
+    rows = [(i, "http://a.example/", f"<article><p>text number {i} of this large site with some words</p>{table if i % 8 == 0 else ''}<div><b>Rate us</b></div></article>") for i in range(64)]
+    got = html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    for r in got:
+        assert r.text == f"text number {r.page_id} of this large site with some words" + ("\nUnits\nMetres" if r.page_id % 8 == 0 else "")
