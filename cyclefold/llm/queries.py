@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op9_fixity": warc.ORACLE}
+    return {"op6_quality_rules": quality.ORACLE, "op9_fixity": warc.ORACLE}
