@@ -4,8 +4,8 @@ Method. A word's embedding is the mean of the embeddings of its hashes: the word
 its character n-grams, so that inflected forms of a known stem are known too. Filters of
 several widths run over the sequence of embeddings, each is max-pooled over the whole text,
 and a linear layer on the pooled values gives a logit. It is trained by minibatch Adam on a
-bounded sample of labelled rows (``SAMPLE`` per class, chosen by a hash of the id, texts up to
-``SAMPLE_CHARS``); the bound keeps the driver's memory constant and is a parameter.
+bounded sample of labelled rows (at most ``SAMPLE`` per class, chosen by a hash of the id, each with
+its whole text); the bound is a parameter.
 
 Thresholds are calibrated by language on a part of the sample that is not trained on. The
 language is guessed from the text's own function words; the table's lang, source, labels and
@@ -35,7 +35,6 @@ from . import common
 
 THRESHOLD = 0.7
 SAMPLE = 2500
-SAMPLE_CHARS = 50_000
 BUCKETS = 1 << 18
 DIM, FILTERS, WIDTHS = 8, 8, (1, 2, 3)
 GRAMS = (3, 4, 5)
@@ -92,6 +91,8 @@ class Model:
     intercept: float
     shift: np.ndarray  # by guessed language, 0 = none
     prior: float
+    #: Rows that calibrated the thresholds, and how many of them the thresholds get wrong.
+    calibrated: tuple[int, int] = (0, 0)
 
     def pooled(self, x: np.ndarray, starts: np.ndarray, ends: np.ndarray, where: bool = False):
         """Max-pooled filters over x[starts:ends] of each text; two more rows stand behind each end."""
@@ -180,107 +181,115 @@ class Scorer:
         return self.model.scores(self.model.logits(pooled), np.where(votes.max(axis=1) > 0, votes.argmax(axis=1), 0))
 
 
-def train(texts: Iterable[list[bytes]], toxic: Iterable[int], epochs: int = 5, batch: int = 32, seed: int = 7) -> Model:
-    """Fits the classifier to tokenised texts; every fourth text of each class calibrates.
+class Net:
+    """The parameters while they are fitted to some texts (rows of words), and their gradients."""
+
+    def __init__(self, texts: Iterable[list[bytes]], draw: np.random.Generator, buckets: int = BUCKETS):
+        """Words become numbers as they come, so that only distinct ones are held."""
+        index: dict[bytes, int] = {}
+        self.docs, self.spoken = [], []
+        for words in texts:
+            self.docs.append(_padded(np.array([index.setdefault(w, len(index) + 1) for w in words], np.int64)).astype(np.int32))
+            self.spoken.append(np.bincount([_LANGUAGE.get(w, 0) for w in words], minlength=1 + max(FUNCTION_WORDS)))
+        names = list(index)
+        parts = [hashes(names[at : at + BLOCK_WORDS]) for at in range(0, len(names), BLOCK_WORDS)] or [hashes([b"?"])]
+        self.row, count = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
+        self.row %= buckets
+        self.first, self.count = np.r_[0, np.cumsum(count) - count], np.r_[0, count]
+        filters = draw.normal(0, 0.5, (len(WIDTHS), max(WIDTHS), DIM, FILTERS))
+        for w, width in enumerate(WIDTHS):
+            filters[w, width:] = 0
+        self.p = {
+            "embedding": draw.normal(0, 0.02, (buckets, DIM)).astype(np.float32),
+            "filters": filters,
+            "bias": np.zeros((len(WIDTHS), FILTERS)),
+            "weight": draw.normal(0, 0.3, FILTERS * len(WIDTHS)),
+            "intercept": np.zeros(1),
+        }
+
+    def model(self, shift: np.ndarray, prior: float) -> Model:
+        p = self.p
+        return Model(p["embedding"], p["filters"], p["bias"], p["weight"], float(p["intercept"][0]), shift, prior)
+
+    def vectors(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Embeddings of distinct words (0 = none), and their hashes' rows with owners."""
+        n = self.count[words]
+        owner = np.repeat(np.arange(len(words)), n)
+        rows = self.row[np.repeat(self.first[words] - (np.cumsum(n) - n), n) + np.arange(n.sum())]
+        x = np.zeros((len(words), DIM))
+        for d in range(DIM):
+            x[:, d] = np.bincount(owner, self.p["embedding"][rows, d], len(words))
+        return x / np.maximum(n, 1)[:, None], rows, owner
 
-    Words become numbers as they come, so that only distinct ones are held.
-    """
+    def forward(self, some: np.ndarray):
+        laid, starts, ends = _laid_out([self.docs[i] for i in some])
+        distinct, back = np.unique(laid, return_inverse=True)
+        x, rows, owner = self.vectors(distinct)
+        model = self.model(np.zeros(1), 0.0)
+        pooled, arg = model.pooled(x[back], starts, ends, where=True)
+        return model.logits(pooled), pooled, arg, back, x, rows, owner, distinct
+
+    def gradients(self, some: np.ndarray, y: np.ndarray) -> tuple[dict[str, np.ndarray], np.ndarray]:
+        """Of the mean logistic loss of the texts ``some`` with classes ``y``: by parameter, the
+        embedding's only for the rows that are returned with them."""
+        z, pooled, arg, back, x, rows, owner, distinct = self.forward(some)
+        p = self.p
+        dz = (1 / (1 + np.exp(-np.clip(z, -40, 40))) - y) / len(some)
+        grad = {"weight": np.maximum(pooled, 0).T @ dz, "intercept": np.array([dz.sum()]), "filters": np.zeros_like(p["filters"]), "bias": np.zeros_like(p["bias"])}
+        dpool = np.outer(dz, p["weight"]) * (pooled > 0)
+        dx = np.zeros_like(x)
+        for w, width in enumerate(WIDTHS):
+            d = dpool[:, w * FILTERS : (w + 1) * FILTERS]
+            grad["bias"][w] = d.sum(axis=0)
+            for j in range(width):
+                word = back[arg[w] + j]
+                grad["filters"][w, j] = np.einsum("bfd,bf->df", x[word], d)
+                np.add.at(dx, word.ravel(), (d[:, :, None] * p["filters"][w, j].T[None]).reshape(-1, DIM))
+        dx[distinct == 0] = 0
+        touched = np.flatnonzero(np.abs(dx).sum(axis=1))
+        mine = np.isin(owner, touched)
+        used, where = np.unique(rows[mine], return_inverse=True)
+        de = np.zeros((len(used), DIM))
+        np.add.at(de, where, (dx / np.maximum(self.count[distinct], 1)[:, None])[owner[mine]])
+        return grad | {"embedding": de}, used
+
+
+def train(texts: Iterable[list[bytes]], toxic: Iterable[int], epochs: int = 5, batch: int = 32, seed: int = 7) -> Model:
+    """Fits the classifier to tokenised texts; every fourth text of each class calibrates."""
     y = np.array(list(toxic), np.float64)
     shift = np.zeros(1 + max(FUNCTION_WORDS))
     if not 0 < y.sum() < len(y):
         return Model(None, None, None, None, 0.0, shift, float(y.mean()) if len(y) else 0.0)
-    index: dict[bytes, int] = {}
-    docs, spoken = [], []
-    for words in texts:
-        docs.append(_padded(np.array([index.setdefault(w, len(index) + 1) for w in words], np.int64)).astype(np.int32))
-        spoken.append(np.bincount([_LANGUAGE.get(w, 0) for w in words], minlength=1 + max(FUNCTION_WORDS)))
-    names = list(index)
-    del index
-    parts = [hashes(names[at : at + BLOCK_WORDS]) for at in range(0, len(names), BLOCK_WORDS)]
-    row, count = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
-    del names, parts
-    first = np.r_[0, np.cumsum(count) - count]
-    count = np.r_[0, count]
     draw = np.random.default_rng(seed)
     held = np.zeros(len(y), bool)
     for c in (0, 1):
         of = draw.permutation(np.flatnonzero(y == c))
         held[of[: len(of) // 4]] = True
-    filters = draw.normal(0, 0.5, (len(WIDTHS), max(WIDTHS), DIM, FILTERS))
-    for w, width in enumerate(WIDTHS):
-        filters[w, width:] = 0
-    p = {
-        "embedding": draw.normal(0, 0.02, (BUCKETS, DIM)).astype(np.float32),
-        "filters": filters,
-        "bias": np.zeros((len(WIDTHS), FILTERS)),
-        "weight": draw.normal(0, 0.3, FILTERS * len(WIDTHS)),
-        "intercept": np.zeros(1),
-    }
-    first_moment = {k: np.zeros_like(v) for k, v in p.items()}
-    second_moment = {k: np.zeros_like(v) for k, v in p.items()}
-
-    def model() -> Model:
-        return Model(p["embedding"], p["filters"], p["bias"], p["weight"], float(p["intercept"][0]), shift, float(y.mean()))
-
-    def vectors(words: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Embeddings of distinct words (0 = none), and their hashes' rows with owners."""
-        n = count[words]
-        owner = np.repeat(np.arange(len(words)), n)
-        rows = row[np.repeat(first[words] - (np.cumsum(n) - n), n) + np.arange(n.sum())]
-        x = np.zeros((len(words), DIM))
-        for d in range(DIM):
-            x[:, d] = np.bincount(owner, p["embedding"][rows, d], len(words))
-        return x / np.maximum(n, 1)[:, None], rows, owner
-
-    def forward(some: np.ndarray):
-        laid, starts, ends = _laid_out([docs[i] for i in some])
-        distinct, back = np.unique(laid, return_inverse=True)
-        x, rows, owner = vectors(distinct)
-        pooled, arg = model().pooled(x[back], starts, ends, where=True)
-        return pooled, arg, back, x, rows, owner, distinct
-
+    net = Net(texts, draw)
+    first_moment = {k: np.zeros_like(v) for k, v in net.p.items()}
+    second_moment = {k: np.zeros_like(v) for k, v in net.p.items()}
     step = 0
     learn = np.flatnonzero(~held)
     for _ in range(epochs):
         order = draw.permutation(learn)
         for at in range(0, len(order), batch):
             some = order[at : at + batch]
-            pooled, arg, back, x, rows, owner, distinct = forward(some)
-            z = model().logits(pooled)
-            dz = (1 / (1 + np.exp(-np.clip(z, -40, 40))) - y[some]) / len(some)
-            active = np.maximum(pooled, 0)
-            grad = {"weight": active.T @ dz, "intercept": np.array([dz.sum()]), "filters": np.zeros_like(filters), "bias": np.zeros_like(p["bias"])}
-            dpool = np.outer(dz, p["weight"]) * (pooled > 0)
-            dx = np.zeros_like(x)
-            for w, width in enumerate(WIDTHS):
-                d = dpool[:, w * FILTERS : (w + 1) * FILTERS]
-                grad["bias"][w] = d.sum(axis=0)
-                for j in range(width):
-                    word = back[arg[w] + j]
-                    grad["filters"][w, j] = np.einsum("bfd,bf->df", x[word], d)
-                    np.add.at(dx, word.ravel(), (d[:, :, None] * p["filters"][w, j].T[None]).reshape(-1, DIM))
-            dx[distinct == 0] = 0
-            touched = np.flatnonzero(np.abs(dx).sum(axis=1))
-            mine = np.isin(owner, touched)
-            used, where = np.unique(rows[mine], return_inverse=True)
-            de = np.zeros((len(used), DIM))
-            np.add.at(de, where, (dx / np.maximum(count[distinct], 1)[:, None])[owner[mine]])
+            grad, used = net.gradients(some, y[some])
             step += 1
-            for k, g in [*grad.items(), ("embedding", de)]:
+            for k, g in grad.items():
                 at_rows = used if k == "embedding" else slice(None)
                 m = first_moment[k][at_rows] = 0.9 * first_moment[k][at_rows] + 0.1 * g
                 v = second_moment[k][at_rows] = 0.99 * second_moment[k][at_rows] + 0.01 * g * g
-                p[k][at_rows] -= 0.02 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
+                net.p[k][at_rows] -= 0.02 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
     quiet = second_moment["embedding"].sum(axis=1) == 0
-    p["embedding"][quiet] = 0  # never learned: no vote
-    fitted = model()
+    net.p["embedding"][quiet] = 0  # never learned: no vote
     logits, languages = np.zeros(len(y)), np.zeros(len(y), int)
-    for at in range(0, len(y), batch):
-        some = np.arange(at, min(at + batch, len(y)))
-        if held[some].any():
-            logits[some] = fitted.logits(forward(some)[0])
-    for i in np.flatnonzero(held):
-        votes = spoken[i]
+    calibrating = np.flatnonzero(held)
+    for at in range(0, len(calibrating), batch):
+        some = calibrating[at : at + batch]
+        logits[some] = net.forward(some)[0]
+    for i in calibrating:
+        votes = net.spoken[i]
         votes[0] = 0
         languages[i] = votes.argmax() if votes.max() else 0
     common_shift = best_threshold(logits[held], y[held], 0.0)
@@ -289,8 +298,11 @@ def train(texts: Iterable[list[bytes]], toxic: Iterable[int], epochs: int = 5, b
         own = held & (languages == k)
         if min(y[own].sum(), (1 - y[own]).sum()) >= 10:
             shift[k] = best_threshold(logits[own], y[own], common_shift)
-    fitted = model()
-    return Model(*(a.astype(np.float32) for a in (fitted.embedding, fitted.filters, fitted.bias, fitted.weight)), fitted.intercept, shift, fitted.prior)
+    wrong = int(((logits >= shift[languages]) != (y == 1))[held].sum())
+    fitted = net.model(shift, float(y.mean()))
+    return Model(
+        *(a.astype(np.float32) for a in (fitted.embedding, fitted.filters, fitted.bias, fitted.weight)), fitted.intercept, shift, fitted.prior, (int(held.sum()), wrong)
+    )
 
 
 def best_threshold(logits: np.ndarray, y: np.ndarray, default: float) -> float:
@@ -305,7 +317,7 @@ def best_threshold(logits: np.ndarray, y: np.ndarray, default: float) -> float:
     return float((z[cut - 1] + z[cut]) / 2) if 0 < cut < len(z) else default
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, sample_chars: int = SAMPLE_CHARS) -> Model:
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     """Learns from at most ``sample`` labelled rows of each class that are not held out.
 
     The sampled ids are bounded, so they are broadcast; no text is shuffled. Only the sampled
@@ -331,7 +343,6 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, sample_chars:
 
     rows = (
         docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-        .filter(F.length("text") <= sample_chars)
         .join(F.broadcast(ids), "doc_id")
         .select("doc_id", "toxic", "text")
         .mapInArrow(tokens, "doc_id long, toxic int, words binary")

@@ -59,6 +59,55 @@ def test_hashes_against_plain_loops():
     assert count[0] == 1 + 1 and at == len(row)
 
 
+def plain_logit(net, text):
+    """The network word by word."""
+    words = [*text, None, None] if text else [None, None, None]
+    vector = []
+    for w in words:
+        rows = [] if w is None else tox.hashes([w])[0] % len(net.p["embedding"])
+        vector.append([sum(float(net.p["embedding"][r, d]) for r in rows) / max(1, len(rows)) for d in range(tox.DIM)])
+    z, k = float(net.p["intercept"][0]), 0
+    for w, width in enumerate(tox.WIDTHS):
+        for f in range(tox.FILTERS):
+            best = max(
+                sum(vector[i + j][d] * net.p["filters"][w, j, d, f] for j in range(width) for d in range(tox.DIM)) + net.p["bias"][w, f]
+                for i in range(len(words) - 2)
+            )
+            z += max(best, 0.0) * net.p["weight"][k]
+            k += 1
+    return z
+
+
+def test_convolution_and_gradients_against_plain_loops():
+    draw = np.random.default_rng(3)
+    texts = [[b"one", b"word", b"more", b"one"], [], [b"short"], [b"h\xc3\xa9llo", b"one", b"x", b"yy", b"zzz", b"word"]]
+    net = tox.Net(texts, draw, buckets=64)
+    for k, v in net.p.items():
+        net.p[k] = draw.normal(0, 0.5, v.shape) * (v != 0 if k == "filters" else 1)
+    some, y = np.arange(4), np.array([1.0, 0.0, 1.0, 0.0])
+    assert np.allclose(net.forward(some)[0], [plain_logit(net, t) for t in texts], atol=1e-9)
+
+    def loss():
+        z = np.array([plain_logit(net, t) for t in texts])
+        return float(np.mean(np.logaddexp(0, z) - y * z))
+
+    grad, used = net.gradients(some, y)
+    full = grad | {"embedding": np.zeros(net.p["embedding"].shape)}
+    full["embedding"][used] = grad["embedding"]
+    for k, g in full.items():
+        places = [tuple(draw.integers(0, n) for n in g.shape) for _ in range(25)] + [tuple(np.unravel_index(np.abs(g).argmax(), g.shape))]
+        for at in places:
+            if k == "filters" and at[1] >= tox.WIDTHS[at[0]]:
+                continue
+            was, step = net.p[k][at], 1e-6
+            net.p[k][at] = was + step
+            up = loss()
+            net.p[k][at] = was - step
+            down = loss()
+            net.p[k][at] = was
+            assert abs((up - down) / (2 * step) - g[at]) < 1e-6, (k, at)
+
+
 def test_query_edge_cases(spark):
     texts, labels = corpus(300, 4)
     rows = [(i, t, 1.0) for i, t in enumerate(texts)] + [(5000, None, 1.0), (5001, "", 1.0), (None, texts[0], 1.0), (0, texts[0], 1.0)]
