@@ -183,7 +183,26 @@ def period(x: np.ndarray, method: str = "acf", tmin: int = 3, tmax: int | None =
     most = min(len(x) // 2 if tmax is None else tmax, len(x) - 2)
     if most < tmin:
         return float("nan"), 0.0
-    r = autocorrelation(x, most + 1, method)
+    return first_peak(autocorrelation(x, most + 1, method), tmin, key)
+
+
+def matrix_autocorrelation(d2: np.ndarray, most: int) -> np.ndarray:
+    """The autocorrelation of all coordinates together, from squared distances: mean inner products by lag."""
+    mean = d2.mean(axis=1)
+    g = -0.5 * (d2 - mean - mean[:, None] + d2.mean())
+    r = np.array([np.diagonal(g, lag).mean() for lag in range(most + 1)])
+    r[0] = 2 * r[1] - r[2] if most > 1 else r[0]  # a frame's own noise is in no other lag
+    return r / (r[0] if r[0] > 0 else 1.0)
+
+
+def matrix_period(d2: np.ndarray, tmin: int = 3, tmax: int | None = None, key: float = 0.8) -> tuple[float, float]:
+    most = min(len(d2) // 2 if tmax is None else tmax, len(d2) - 2)
+    return first_peak(matrix_autocorrelation(d2, most + 1), tmin, key) if most >= tmin else (float("nan"), 0.0)
+
+
+def first_peak(r: np.ndarray, tmin: int = 3, key: float = 0.8) -> tuple[float, float]:
+    """(lag, value) of the first key maximum of an autocorrelation for the lags 0 to one more than are looked at."""
+    most = len(r) - 2
     below = np.flatnonzero(r[1:] <= 0)
     start = max(tmin, int(below[0]) + 1 if len(below) else tmin)
     inner = np.arange(max(start, 1), most + 1)

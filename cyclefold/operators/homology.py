@@ -12,12 +12,12 @@ from ..functions import kernels
 BARS = "video_id string, rank int, birth double, death double, persistence double, cover_radius double"
 
 
-def bars(dist2: np.ndarray, coeff: int, max_n: int, landmarks: int | None = None) -> tuple[np.ndarray, float, np.ndarray]:
+def bars(dist2: np.ndarray, coeff: int, max_n: int | None, landmarks: int | None = None) -> tuple[np.ndarray, float, np.ndarray]:
     """(bars, cover radius, distances used): exact up to ``max_n`` points, else on farthest-point landmarks.
 
     The barcode of landmarks differs by at most twice the cover radius.
     """
-    m = landmarks or (max_n if len(dist2) > max_n else None)
+    m = landmarks or (max_n if max_n and len(dist2) > max_n else None)
     radius = 0.0
     if m and m < len(dist2):
         marks, radius = kernels.landmark_order(dist2, m)

@@ -106,12 +106,3 @@ def block_power(laplacian: DataFrame, n: int, q: int = 4, steps: int = 60, seed:
     rows = F.explode(F.array(*(F.struct(F.lit(k + 1).alias("rank"), F.lit(float(values[k])).alias("lambda"), F.col(x).alias("v")) for k, x in enumerate(names))))
     return vectors.select("i", rows.alias("r")).select("r.rank", "r.lambda", "i", "r.v")
 
-
-def nystrom(dist_to_marks: np.ndarray, vectors: np.ndarray, values: np.ndarray, degree: np.ndarray, sigma: float) -> np.ndarray:
-    """Modes of landmarks carried to other points by their similarities to the landmarks."""
-    w = np.exp(-(dist_to_marks**2) / (2 * sigma**2))
-    total = np.maximum(w.sum(axis=1, keepdims=True), 1e-300)
-    scale = 1 - values / max(float(degree.mean()), 1e-300)
-    return (w @ vectors) / total / np.where(np.abs(scale) > 1e-6, scale, 1.0)
-
-

@@ -18,20 +18,15 @@ def generator(key: str) -> np.random.Generator:
 
 
 def shake(px: np.ndarray, h: int, w: int, width: float, key: str) -> np.ndarray:
-    """Each frame blurred along a random walk inside a width x width kernel."""
-    side = max(1, int(round(width)))
-    if side == 1:
+    """Each frame blurred along a random walk inside a width x width kernel, in pixels and parts of them."""
+    if width <= 0:
         return px
-    draw = generator(key + "|shake")
-    out = np.empty_like(px)
-    f = np.fft.rfft2(px.reshape(-1, h, w))
-    for t in range(len(px)):
-        walk = np.cumsum(draw.integers(-1, 2, (2 * side, 2)), axis=0)
-        walk = np.clip(walk, -(side // 2), side // 2)
-        kernel = np.zeros((h, w))
-        np.add.at(kernel, (walk[:, 0] % h, walk[:, 1] % w), 1 / len(walk))
-        out[t] = np.fft.irfft2(f[t] * np.fft.rfft2(kernel), (h, w)).ravel()
-    return out
+    walk = np.cumsum(generator(key + "|shake").uniform(-width / 4, width / 4, (len(px), 32, 2)), axis=1)
+    walk = np.abs((walk + width / 2) % (2 * width) - width) - width / 2  # reflected at the kernel's borders
+    y, x = (np.exp(-2j * np.pi * walk[:, :, k, None] * f) for k, f in ((0, np.fft.fftfreq(h)), (1, np.fft.rfftfreq(w))))
+    blur = (y.transpose(0, 2, 1) @ x / walk.shape[1])[..., None]
+    f = np.fft.rfft2(px.reshape(len(px), h, w, -1), axes=(1, 2))
+    return np.fft.irfft2(f * blur, (h, w), axes=(1, 2)).reshape(px.shape)
 
 
 def noise(px: np.ndarray, std: float, key: str) -> np.ndarray:
@@ -39,17 +34,17 @@ def noise(px: np.ndarray, std: float, key: str) -> np.ndarray:
 
 
 def occlude(px: np.ndarray, h: int, w: int, side: float, key: str) -> np.ndarray:
-    """A square of ``side`` (share of the height) on a reflected random walk, its colour drifting slowly."""
+    """A square of ``side`` (share of the height) on a reflected random walk, each colour channel drifting slowly."""
     s = max(1, int(round(side * h)))
     draw = generator(key + "|occlude")
-    out = px.reshape(-1, h, w).copy()
+    out = px.reshape(len(px), h, w, -1).copy()
     lo, hi = px.min(), px.max()
-    y, x, colour = draw.uniform(0, h - s), draw.uniform(0, w - s), draw.uniform(0, 1)
+    y, x, colour = draw.uniform(0, h - s), draw.uniform(0, w - s), draw.uniform(0, 1, out.shape[3])
     for t in range(len(out)):
         y, x = (abs(v + draw.normal(0, 1)) for v in (y, x))
         y, x = (v if v <= most else max(0.0, 2 * most - v) for v, most in ((y, h - s), (x, w - s)))
-        colour = abs(colour + draw.normal(0, 0.02))
-        colour = colour if colour <= 1 else 2 - colour
+        colour = np.abs(colour + draw.normal(0, 0.02, len(colour)))
+        colour = np.where(colour <= 1, colour, 2 - colour)
         out[t, int(y) : int(y) + s, int(x) : int(x) + s] = lo + colour * (hi - lo)
     return out.reshape(px.shape)
 
@@ -89,11 +84,12 @@ def _folded(v, most: float):
     return F.abs(v - F.lit(2 * most) * F.floor(v / F.lit(2 * most) + 0.5))
 
 
-def occluder_path(steps: DataFrame, most: float, seed: int = 42) -> DataFrame:
-    """t, y, x, colour: a reflected walk of the occluding square, one ordered running sum a recording."""
-    ahead = Window.orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
+def occluder_path(steps: DataFrame, most: float, seed: int = 42, by: list[str] | None = None) -> DataFrame:
+    """(by), t, y, x, colour: a reflected walk of the occluding square, one ordered running sum a recording."""
+    by = by or []
+    ahead = Window.partitionBy(*by).orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
     move = lambda k, size: F.sum((uniform(F.lit(seed), F.col("t"), F.lit(k)) - 0.5) * size).over(ahead)
-    return steps.select("t", _folded(move("y", 4) + 3, most).alias("y"), _folded(move("x", 4) + 3, most).alias("x"), _folded(move("c", 0.1) + 0.5, 1.0).alias("colour"))
+    return steps.select(*by, "t", _folded(move("y", 4) + 3, most).alias("y"), _folded(move("x", 4) + 3, most).alias("x"), _folded(move("c", 0.1) + 0.5, 1.0).alias("colour"))
 
 
 def shake_kernel(steps: DataFrame, side: int, seed: int = 42) -> DataFrame:

@@ -22,23 +22,26 @@ from ..schema import PHASE, RUN, BadInput
 FEWEST = 4
 
 
-def infer(d2: np.ndarray, config: FoldConfig, raw: np.ndarray | None = None) -> tuple[dict, np.ndarray, np.ndarray]:
+def infer(d2: np.ndarray, config: FoldConfig, raw: np.ndarray | None = None, memo: dict | None = None) -> tuple[dict, np.ndarray, np.ndarray]:
     """(diagnostics, oriented phase, unwrapped phase) from squared frame distances.
 
     ``raw`` is the signal itself when the recording has one channel; it is then its own surrogate.
+    ``memo`` keeps periods and barcodes of these distances for the next configuration.
     """
+    memo = {} if memo is None else memo
     n = len(d2)
     if n < FEWEST:
         raise BadInput(f"{n} frames are too few, {FEWEST} are needed")
     T = config.period
     if T is None and config.d is None:
-        use_raw = raw is not None and config.surrogate in ("auto", "raw")
-        T = kernels.period(raw if use_raw else kernels.isomap1d(d2, config.n_neighbors), config.period_method, config.tmin, config.tmax)[0]
+        T = _once(memo, ("T", config.surrogate, config.n_neighbors, config.isomap_landmarks, config.period_method, config.tmin, config.tmax), lambda: _period(d2, config, raw))
     lost = config.d is None and not np.isfinite(T if T is not None else np.nan)
     d = config.d or (1 if lost else int(round(T * config.n_cycles_in_window)) + 1)
     d = max(1, min(d, n - 3))
-    w2 = kernels.window_distances(d2, d)
-    bars, radius, some = homology.bars(w2, config.coeff, config.max_n) if config.sigma is None else (np.zeros((0, 2)), 0.0, None)
+    w2 = _once(memo, ("w2", d), lambda: kernels.window_distances(d2, d))
+    bars, radius, some = (
+        _once(memo, ("bars", d, config.coeff, config.max_n), lambda: homology.bars(w2, config.coeff, config.max_n)) if config.sigma is None else (np.zeros((0, 2)), 0.0, None)
+    )
     sigma, none = (config.sigma, False) if config.sigma is not None else kernels.auto_scale(bars, config.alpha, some)
     lap = kernels.laplacian(kernels.adjacency(np.sqrt(w2), sigma, config.kernel))
     values, vectors, zero = kernels.low_modes(lap, config.q)
@@ -57,6 +60,20 @@ def infer(d2: np.ndarray, config: FoldConfig, raw: np.ndarray | None = None) ->
     return about, phi, unwrapped
 
 
+def _once(memo: dict, key: tuple, make):
+    if key not in memo:
+        memo[key] = make()
+    return memo[key]
+
+
+def _period(d2: np.ndarray, config: FoldConfig, raw: np.ndarray | None) -> float:
+    if config.surrogate == "distances":
+        return kernels.matrix_period(d2, config.tmin, config.tmax)[0]
+    use_raw = raw is not None and config.surrogate in ("auto", "raw")
+    signal = raw if use_raw else kernels.isomap1d(d2, config.n_neighbors, config.isomap_landmarks)
+    return kernels.period(signal, config.period_method, config.tmin, config.tmax)[0]
+
+
 _BOTH = RUN + ", phi array<double>, phi_u array<double>"
 
 
@@ -113,11 +130,13 @@ def _schema(df: DataFrame, layout: str):
 def fold(frames: DataFrame, config: FoldConfig | None = None, found: DataFrame | None = None) -> DataFrame:
     """The template: video_id, j, theta, tile, px, n_votes. Raw frames vote, not reduced ones.
 
-    ``found`` takes written results of ``inferred`` so that phases are not inferred again.
+    ``found`` takes written results of ``inferred`` so that phases are not inferred again, for videos
+    of one regime; without it each video takes the form that its size asks for.
     Votes are made inside the tile's group from the video's phases, a few numbers a window.
     """
     config = config or FoldConfig()
-    found = inferred(frames, config) if found is None else found
+    if found is None:
+        return by_regime(frames, config)
     slabs = tiles(frames, config.tile_px)
     keys = tile_keys(frames, config.tile_px)
     spread = keys.join(found.select("video_id", "n", "d", "k", "phi"), "video_id").withColumnsRenamed({"video_id": "of_video", "tile": "of_tile"})
@@ -144,6 +163,35 @@ def fold(frames: DataFrame, config: FoldConfig | None = None, found: DataFrame |
     return slabs.groupBy("video_id", "tile").cogroup(spread.groupBy("of_video", "of_tile")).applyInPandas(run, schema)
 
 
+def by_regime(frames: DataFrame, config: FoldConfig) -> DataFrame:
+    """The template of every video in the form that its size asks for.
+
+    Which forms occur is counted first, from the frames' shapes alone; at most three numbers come to the
+    driver. Videos of ``many`` are one group each; of ``huge`` frames the distances are summed over slabs;
+    ``endless`` videos are folded in overlapping segments whose templates are merged.
+    """
+    from . import regimes
+
+    plan = regimes.planned(frames, config.local_frames, config.local_px)
+    present = {r.regime for r in plan.select("regime").distinct().collect()}
+    out = None
+    for regime in ("many", "huge", "endless"):
+        if regime not in present:
+            continue
+        own = frames if len(present) == 1 else frames.join(plan.filter(F.col("regime") == regime).select("video_id"), "video_id", "left_semi")
+        if regime == "endless":
+            parts = regimes.full_segments(own, config.local_frames, config.overlap)
+            one = regimes.merged(_folded(parts, config.but(M=config.M or config.local_frames // 10)))
+        else:
+            one = _folded(own, config if regime == "many" else config.but(gram_tile_px=config.gram_tile_px or config.local_px))
+        out = one if out is None else out.unionByName(one)
+    return out if out is not None else _folded(frames, config)
+
+
+def _folded(frames: DataFrame, config: FoldConfig) -> DataFrame:
+    return fold(frames, config, inferred(frames, config))
+
+
 def fold_series(series: DataFrame, config: FoldConfig | None = None) -> DataFrame:
     """series_id, j, theta, v, n_votes: the template cycle of each one-channel series."""
     config = config or FoldConfig()

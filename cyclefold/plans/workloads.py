@@ -13,8 +13,9 @@ from ..operators import metrics
 from ..schema import names
 from . import pipeline, synth
 
+#: The conditions of the experiments. Shakes are pixels of a frame 300 wide.
 CYCLES = (3, 5, 10, 15, 20, 25, 30, 40, 50)
-SHAKES = (10, 20, 30, 40, 50)  # pixels of a frame 300 wide
+SHAKES = (10, 20, 30, 40, 50)
 NOISES = (0.5, 1.0, 2.0)
 SIDES = (0.05, 0.10, 0.15, 0.20, 0.30)
 ALPHAS = tuple(round(0.1 * a, 1) for a in range(11))
@@ -33,7 +34,7 @@ def conditions(spark: SparkSession, workload: str, h: int = 32, trials: int = 1,
     if workload == "cycles":
         return grid(spark, "none", [0.0], scenes, CYCLES, trials)
     if workload == "shake":
-        return grid(spark, "shake", [max(1.0, s * h / 300) for s in SHAKES], scenes, trials=trials)
+        return grid(spark, "shake", [round(s * h / 300, 6) for s in SHAKES], scenes, trials=trials)
     if workload == "noise":
         return grid(spark, "noise", NOISES, scenes, trials=trials)
     if workload == "occlude":
@@ -43,14 +44,17 @@ def conditions(spark: SparkSession, workload: str, h: int = 32, trials: int = 1,
     raise ValueError(f"unknown workload {workload!r}")
 
 
-def errors(spark: SparkSession, embeddings: DataFrame, conditions: DataFrame, configs: dict[str, FoldConfig], n: int = 600, h: int = 32, w: int = 32) -> DataFrame:
-    """video_id, scene, cycles, corruption, level, trial, variant, err_deg, k, period, loop_ratio, fallback.
+def errors(
+    spark: SparkSession, embeddings: DataFrame, conditions: DataFrame, configs: dict[str, FoldConfig], n: int = 600, h: int = 32, w: int = 32, ch: int = 1, jitter: float = 0.0, drift: float = 0.0
+) -> DataFrame:
+    """video_id, scene, cycles, corruption, level, trial, variant, err_deg, k, period, sigma, loop_ratio, fallback.
 
-    Each condition's video is made once and its distances serve all variants in one group.
+    Each condition's video is made once and its distances, periods and barcodes serve all variants in one group.
     """
     import pandas as pd
 
     from ..functions import kernels
+    from ..operators.pyramid import halve
     from .corrupt import apply
 
     basis = synth.basis_rows(embeddings)
@@ -58,22 +62,22 @@ def errors(spark: SparkSession, embeddings: DataFrame, conditions: DataFrame, co
     def run(batches):
         for pdf in batches:
             for row in pdf.itertuples():
-                px = apply(synth.frames_of(basis, row.scene, row.cycles, n, h, w), h, w, row.corruption, row.level, f"{row.video_id}|{row.trial}")
+                made = synth.frames_of(basis, row.scene, row.cycles, n, h, w, jitter, row.trial, ch, drift)
+                px = apply(made, h, w, row.corruption, row.level, f"{row.video_id}|{row.trial}")
                 truth = 2 * np.pi * row.cycles * np.arange(n) / n
                 rows = []
-                cache: dict[int, np.ndarray] = {}
+                cache: dict[int, tuple[np.ndarray, dict]] = {}
                 for name, config in configs.items():
                     level = config.pyramid_level
                     if level not in cache:
-                        small = px.reshape(n, h, w, 1)
+                        small = px.reshape(n, h, w, ch)
                         for _ in range(level - 1):
-                            from ..operators.pyramid import halve
-
                             small = halve(small)
-                        cache[level] = kernels.squared_distances(small.reshape(n, -1))
-                    about, phi, _ = pipeline.infer(cache[level], config)
-                    rows.append((name, kernels.angular_error(phi, truth[: len(phi)]), about["k"], about["period"], about["loop_ratio"], about["fallback"]))
-                out = pd.DataFrame(rows, columns=["variant", "err_deg", "k", "period", "loop_ratio", "fallback"])
+                        cache[level] = kernels.squared_distances(small.reshape(n, -1)), {}
+                    d2, memo = cache[level]
+                    about, phi, _ = pipeline.infer(d2, config, memo=memo)
+                    rows.append((name, kernels.angular_error(phi, truth[: len(phi)]), *(about[c] for c in ("k", "period", "sigma", "loop_ratio", "fallback"))))
+                out = pd.DataFrame(rows, columns=["variant", "err_deg", "k", "period", "sigma", "loop_ratio", "fallback"])
                 for c in names(synth.GRID):
                     out[c] = getattr(row, c)
                 yield out[[c.split()[0] for c in _ERRORS.split(", ")]]
@@ -81,7 +85,7 @@ def errors(spark: SparkSession, embeddings: DataFrame, conditions: DataFrame, co
     return conditions.mapInPandas(run, _ERRORS)
 
 
-_ERRORS = synth.GRID + ", variant string, err_deg double, k double, period double, loop_ratio double, fallback boolean"
+_ERRORS = synth.GRID + ", variant string, err_deg double, k double, period double, sigma double, loop_ratio double, fallback boolean"
 
 
 def windowed_or_not(**changes) -> dict[str, FoldConfig]:
@@ -92,6 +96,10 @@ def alpha_variants(**changes) -> dict[str, FoldConfig]:
     return {f"alpha={a}": FoldConfig(**(changes | {"alpha": a})) for a in ALPHAS}
 
 
+def alpha_by_window(**changes) -> dict[str, FoldConfig]:
+    return {f"{v}/{a}": c.but(alpha=a) for v, c in windowed_or_not(**changes).items() for a in ALPHAS}
+
+
 def kernel_variants(**changes) -> dict[str, FoldConfig]:
     return {f"{k}/{s}": FoldConfig(**(changes | {"kernel": k, "select": s})) for k in ("gauss", "printed", "step") for s in ("zero_cross", "first")}
 
