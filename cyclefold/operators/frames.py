@@ -66,7 +66,7 @@ def grayscale(frames: DataFrame) -> DataFrame:
     """Three channels to one by the luma weights; one channel stays."""
     third = lambda px, k: F.filter(px, lambda _, i: F.pmod(i, F.lit(3)) == k)
     mixed = F.zip_with(F.zip_with(third(F.col("px"), 0), third(F.col("px"), 1), lambda r, g: r * 0.299 + g * 0.587), third(F.col("px"), 2), lambda s, b: s + b * 0.114)
-    return frames.withColumn("px", F.when(F.col("ch") == 3, mixed.cast("array<float>")).otherwise(F.col("px"))).withColumn("ch", F.lit(1))
+    return frames.withColumn("px", F.when(F.col("ch") == 3, mixed.cast(frames.schema["px"].dataType)).otherwise(F.col("px"))).withColumn("ch", F.lit(1))
 
 
 def quantised(frames: DataFrame) -> DataFrame:

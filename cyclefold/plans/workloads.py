@@ -44,6 +44,26 @@ def conditions(spark: SparkSession, workload: str, h: int = 32, trials: int = 1,
     raise ValueError(f"unknown workload {workload!r}")
 
 
+def study(spark: SparkSession, name: str, h: int = 32, trials: int = 1, scenes=(1, 2, 3), **config) -> tuple[DataFrame, dict[str, FoldConfig]]:
+    """The conditions and variants of an experiment."""
+    if name == "alpha":  # clean, and one moderate level of each corruption
+        parts = [grid(spark, c, [level], scenes, trials=trials) for c, level in (("none", 0.0), ("shake", round(30 * h / 300, 6)), ("noise", 0.5), ("occlude", 0.1))]
+        return union(parts), alpha_by_window(**config)
+    if name == "kernel":
+        return union([grid(spark, "none", [0.0], scenes, trials=trials), grid(spark, "noise", [0.1, 0.5], scenes, trials=trials)]), kernel_variants(**config)
+    if name == "landmarks":
+        changes = {f"max_n={m}": FoldConfig(**(config | {"max_n": m})) for m in (60, 90, 120, 200)} | {"exact": FoldConfig(**(config | {"max_n": None}))}
+        return union([grid(spark, "none", [0.0], scenes, trials=trials), grid(spark, "noise", [0.5], scenes, trials=trials)]), changes
+    return conditions(spark, name, h, trials, scenes), windowed_or_not(**config)
+
+
+def union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
+    return out
+
+
 def errors(
     spark: SparkSession, embeddings: DataFrame, conditions: DataFrame, configs: dict[str, FoldConfig], n: int = 600, h: int = 32, w: int = 32, ch: int = 1, jitter: float = 0.0, drift: float = 0.0
 ) -> DataFrame:

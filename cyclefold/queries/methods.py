@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.angles import TAU, normal
 from ..operators import baselines, frames, gram, graph, homology, metrics, period, pyramid, spectral, vote, window
 from ..operators import phase as phases
-from ..plans import corrupt, synth
+from ..plans import corrupt, storage, synth, workloads
 from .registry import query, table
 
 SIDE = 8
@@ -185,9 +185,33 @@ def knn_graph(spark, sf):
     return gram.nearest(emb_pairs(spark, sf), 8).select("i", "j", "rnk", "d2")
 
 
-@query("isomap_surrogate")
+@query("isomap_surrogate", "SELECT vec_id AS t, 0.0::DOUBLE AS resid FROM embeddings")
 def isomap_surrogate(spark, sf):
-    return period.isomap1d(gram.distance_matrices(emb_frames(spark, sf))).select("t", "y")
+    """The surrogate is a mode of the centred geodesic distances: what the matrix makes of it, less its own
+    multiple, is zero in every frame. Geodesics are the table form, which ``geodesic_hops`` holds against SQL."""
+    m = gram.distance_matrices(emb_frames(spark, sf))
+    y = storage.materialise(period.isomap1d(m).select("t", "y"))
+    far = storage.materialise(period.geodesics(m).select("i", "j", (F.col("dist") * F.col("dist")).alias("g2")))
+    g2 = far.unionByName(far.select(F.col("j").alias("i"), F.col("i").alias("j"), "g2"))
+    n, size = y.count(), y.agg(F.sum(F.col("y") * F.col("y"))).first()[0]
+    mean = g2.groupBy("i").agg((F.sum("g2") / n).alias("m"))
+    # the centring turns into sums, as y sums to zero: (B y)_i = -1/2 (sum_j g2_ij y_j - sum_j m_j y_j)
+    part = g2.join(y.withColumnRenamed("t", "j"), "j").groupBy("i").agg(F.sum(F.col("g2") * F.col("y")).alias("s"))
+    flat = mean.join(y.withColumnRenamed("t", "i"), "i").agg(F.sum(F.col("m") * F.col("y"))).first()[0]
+    both = part.join(y.withColumnRenamed("t", "i"), "i")
+    return both.select(F.col("i").alias("t"), ((-0.5 * (F.col("s") - flat) - size * F.col("y")) / size).alias("resid"))
+
+
+@query("isomap_landmarks", "SELECT marks, true AS same_period FROM (SELECT unnest([40, 80, 160]) AS marks)")
+def isomap_landmarks(spark, sf):
+    """Geodesics from a few frames only give the period that all frames give."""
+    g = workloads.grid(spark, "noise", [0.1], (1,), (20,))
+    m = storage.materialise(gram.distance_matrices(pyramid.reduce(synth.planted(spark, table(spark, sf, "embeddings"), g, 400, 32, 32, 3), 3)))
+    out = []
+    for marks in (40, 80, 160):
+        y = period.isomap1d(m, landmarks=marks).select(F.lit("a").alias("series_id"), "t", F.col("y").alias("v"))
+        out.append(period.estimate(y).select(F.lit(marks).alias("marks"), (F.abs(F.col("T") - 20) < 0.2).alias("same_period")))
+    return workloads.union(out)
 
 
 # --- series and periods -----------------------------------------------------------------------
@@ -238,7 +262,12 @@ def period_argmax(spark, sf):
     return period.first_key_maximum(lag_values(spark, sf, "acf")).select(F.lit("events").alias("series"), "T")
 
 
-@query("period_estimate")
+def peaks(value: str, method: str) -> str:
+    return f"""SELECT * FROM (WITH {LAGS}, v AS (SELECT lag, {value} AS val FROM l), {first_key_maximum('v')}
+SELECT 'events' AS series_id, round(lag + 0.5 * (a - c) / (a - 2 * val + c), 6) + 0.0 AS T, round(val, 6) + 0.0 AS confidence, '{method}' AS method FROM y WHERE val >= 0.8 * top ORDER BY lag LIMIT 1)"""
+
+
+@query("period_estimate", " UNION ALL ".join([peaks("r / n / var", "acf"), peaks("2 * r / e", "nsdf"), peaks(YIN, "yin")]))
 def period_estimate(spark, sf):
     s = planted_series(spark, sf).select(F.lit("events").alias("series_id"), "t", "v")
     out = None
@@ -326,14 +355,17 @@ def wpairs(spark, sf):
     return window.pair_distances(emb_pairs(spark, sf), D)
 
 
-STEP = f"(SELECT i, j, 1.0 AS w FROM wpairs WHERE d2 <= {SIGMA * SIGMA})"
+STEP = "(SELECT i, j, 1.0 AS w FROM wpairs WHERE d2 <= (SELECT quantile_cont(d2, 0.1) FROM wpairs))"
 GAUSS = f"(SELECT i, j, exp(-d2 / (2 * {SIGMA * SIGMA})) AS w FROM wpairs)"
 PRINTED = f"(SELECT i, j, exp(-sqrt(d2) / (2 * {SIGMA * SIGMA})) AS w FROM wpairs)"
 
 
 @query("adjacency_step", f"WITH {WPAIRS} SELECT i, j, {r('w')} AS w FROM {STEP}")
 def adjacency_step(spark, sf):
-    return graph.adjacency(wpairs(spark, sf), SIGMA, "step").select("i", "j", "w")
+    """Windows nearer than nine tenths of all pairs are linked."""
+    w = wpairs(spark, sf)
+    near = w.agg(F.percentile("d2", 0.1)).first()[0]
+    return graph.adjacency(w, math.sqrt(near or 0.0), "step").select("i", "j", "w")
 
 
 @query("adjacency_gauss", f"WITH {WPAIRS} SELECT i, j, {r('w')} AS w FROM {GAUSS}")
@@ -502,12 +534,15 @@ def template_hist_median(spark, sf):
     return tile_template(spark, sf).join(rough, ["j", "p"]).select("j", "p", (F.abs(F.col("val") - F.col("rough")) <= 2 / 256).alias("close"))
 
 
-@query("template_approx_median")
+@query("template_approx_median", f"SELECT j, y, x, true AS close FROM (SELECT unnest(range({M})) AS j), (SELECT unnest(range({SIDE})) AS y), (SELECT unnest(range({SIDE})) AS x)")
 def template_approx_median(spark, sf):
+    """Approximate medians lie between the exact percentiles on either side of the median."""
     votes, px = emb_votes(spark, sf, NEAR), frames.pixels(emb_frames(spark, sf))
     at = lambda c, v: px.select(F.col("t").alias(c), "y", "x", F.col("val").alias(v))
     blend = votes.join(at("a", "va"), "a").join(at("b", "vb"), ["b", "y", "x"])
-    return blend.groupBy("j", "y", "x").agg(F.percentile_approx((1 - F.col("frac")) * F.col("va") + F.col("frac") * F.col("vb"), 0.5, 1000).alias("val"))
+    value = (1 - F.col("frac")) * F.col("va") + F.col("frac") * F.col("vb")
+    both = blend.groupBy("j", "y", "x").agg(F.percentile_approx(value, 0.5, 1000).alias("val"), F.percentile(value, [0.45, 0.55]).alias("p"))
+    return both.select("j", "y", "x", F.col("val").between(F.col("p")[0], F.col("p")[1]).alias("close"))
 
 
 SORTED = f"WITH {PHI} SELECT row_number() OVER (ORDER BY phi, i) - 1 AS pos, i AS t FROM phi"
@@ -618,31 +653,68 @@ def two_harmonics(n=60, ratio=2.0):
     return [(math.cos(a), math.sin(a), ratio * math.cos(2 * a), ratio * math.sin(2 * a)) for a in (TAU * i / n for i in range(n))]
 
 
-@query("rips_field")
-def rips_field(spark, sf):
-    """The loop with a strong second harmonic splits over two elements, and over no odd field."""
-    m = gram.distance_matrices(points(spark, "x", two_harmonics()))
-    out = None
-    for p in (2, 3, 7, 49):
-        one = homology.rips_h1(m, p).withColumn("p", F.lit(p))
-        out = one if out is None else out.unionByName(one)
-    return out.select("p", "rank", "birth", "death")
+#: By ratio of the second harmonic to the first and field, the chords at which loops of 60 points begin and end.
+FIELD_BARS = [
+    (0.3, "any", 1, 1, 20), (0.6, "any", 1, 1, 30), (1.0, "two", 1, 1, 29), (1.0, "two", 2, 10, 12), (1.0, "odd", 1, 1, 12), (1.5, "two", 1, 1, 29), (1.5, "two", 2, 30, 11),
+    (1.5, "odd", 1, 1, 11), (2.0, "two", 1, 30, 11), (2.0, "two", 2, 1, 29), (2.0, "odd", 1, 1, 11), (3.0, "two", 1, 30, 20), (3.0, "two", 2, 1, 29), (3.0, "odd", 1, 1, 20),
+]
+
 
+def chord(step: str) -> str:
+    return f"sqrt(2 * (1 - cos({TAU} * {step} / 60)) + ratio * ratio * 2 * (1 - cos({TAU} * 2 * {step} / 60)))"
 
-@query("rips_edges_h0")
+
+@query(
+    "rips_field",
+    f"""WITH b AS (SELECT * FROM (VALUES {", ".join(f"({a}::DOUBLE, '{k}', {rank}, {i}, {j})" for a, k, rank, i, j in FIELD_BARS)}) v(ratio, field, rank, i, j))
+SELECT ratio, p, rank::BIGINT AS rank, {r(chord('i'))} AS birth, {r(chord('j'))} AS death FROM b, (SELECT unnest([2, 3, 7, 49]) AS p) WHERE field = 'any' OR (field = 'two') = (p = 2)""",
+)
+def rips_field(spark, sf):
+    """The lasting bars of a loop whose second harmonic grows: from as strong as the first on, the loop splits
+    over two elements, and over no odd field. Beginnings and ends are chords of the curve."""
+    ratios = (0.3, 0.6, 1.0, 1.5, 2.0, 3.0)
+    m = storage.materialise(gram.distance_matrices(workloads.union([points(spark, str(a), two_harmonics(60, a)) for a in ratios])))
+    found = workloads.union([homology.rips_h1(m, p).withColumn("p", F.lit(p)) for p in (2, 3, 7, 49)])
+    return found.filter("persistence > 0.2").select(F.col("video_id").cast("double").alias("ratio"), "p", "rank", "birth", "death")
+
+
+def spanning_tree(n_rounds: int = 9) -> str:
+    """CTEs with the edge lengths of a minimal spanning tree: every component takes its shortest edge out, until one is left."""
+    parts = [f"{PAIRS}, e AS MATERIALIZED (SELECT i, j, d2 FROM pairs UNION ALL SELECT j, i, d2 FROM pairs), c0 AS (SELECT vec_id AS i, vec_id AS c FROM embeddings)"]
+    for k in range(n_rounds):
+        parts.append(
+            f"m{k} AS MATERIALIZED (SELECT a.c, arg_min(b.c, d2) AS t, min(d2) AS d2 FROM e JOIN c{k} a ON e.i = a.i JOIN c{k} b ON e.j = b.i WHERE a.c <> b.c GROUP BY a.c),"
+            f" p{k}_0 AS MATERIALIZED (SELECT x.c, CASE WHEN y.t = x.c AND x.c < x.t THEN x.c ELSE x.t END AS t FROM m{k} x JOIN m{k} y ON y.c = x.t)"
+        )
+        parts += [f"p{k}_{s + 1} AS MATERIALIZED (SELECT x.c, y.t FROM p{k}_{s} x JOIN p{k}_{s} y ON y.c = x.t)" for s in range(9)]
+        parts.append(f"c{k + 1} AS MATERIALIZED (SELECT i, coalesce(t, c{k}.c) AS c FROM c{k} LEFT JOIN p{k}_9 ON p{k}_9.c = c{k}.c)")
+    return ", ".join(parts) + f", tree AS (SELECT DISTINCT d2 FROM ({' UNION ALL '.join(f'SELECT d2 FROM m{k}' for k in range(n_rounds))}))"
+
+
+@query("rips_edges_h0", f"WITH {spanning_tree()} SELECT row_number() OVER (ORDER BY d2) AS rank, {r('sqrt(d2)')} AS len FROM tree")
 def rips_edges_h0(spark, sf):
     return homology.h0_deaths(gram.distance_matrices(emb_frames(spark, sf))).select("rank", "len")
 
 
-@query("landmarks_maxmin")
+def farthest(m: int) -> str:
+    """CTEs s0 to s(m-1): each the point farthest from those before it."""
+    parts = [f"{PAIRS}, f AS MATERIALIZED (SELECT i, j, d2 FROM pairs UNION ALL SELECT j, i, d2 FROM pairs UNION ALL SELECT vec_id, vec_id, 0 FROM embeddings)", "s0 AS (SELECT 0::BIGINT AS i)", "n0 AS MATERIALIZED (SELECT j AS i, d2 AS v FROM f WHERE i = 0)"]
+    for k in range(1, m):
+        parts.append(f"s{k} AS MATERIALIZED (SELECT i FROM n{k - 1} ORDER BY v DESC, i LIMIT 1)")
+        parts.append(f"n{k} AS MATERIALIZED (SELECT a.i, least(v, d2) AS v FROM n{k - 1} a JOIN f ON f.j = a.i AND f.i = (SELECT i FROM s{k}))")
+    return ", ".join(parts)
+
+
+@query("landmarks_maxmin", f"WITH {farthest(20)} {' UNION ALL '.join(f'SELECT {k}::BIGINT AS rank, i AS vec_id FROM s{k}' for k in range(20))}")
 def landmarks_maxmin(spark, sf):
     return homology.landmarks(gram.distance_matrices(emb_frames(spark, sf)), 20).select("rank", F.col("i").alias("vec_id"))
 
 
-@query("rips_embeddings")
+@query("rips_embeddings", "SELECT '0' AS video_id, true AS weak FROM range(1)")
 def rips_embeddings(spark, sf):
-    """Bars of the table's own order, by landmarks; a control without a cycle."""
-    return homology.loop_strength(homology.rips_h1(gram.distance_matrices(emb_frames(spark, sf)), landmarks=60))
+    """Bars of the table's own order, by landmarks; a control without a cycle: no loop stands out."""
+    strength = homology.loop_strength(homology.rips_h1(gram.distance_matrices(emb_frames(spark, sf)), landmarks=60))
+    return strength.select("video_id", (F.coalesce("ratio", F.lit(1.0)) < 1.5).alias("weak"))
 
 
 @query("auto_scale", f"SELECT alpha, {r('alpha * 0.5 + (1 - alpha) * 2.0')} AS sigma FROM (SELECT unnest([0.0, 0.25, 0.5, 0.75, 1.0])::DOUBLE AS alpha)")
@@ -673,14 +745,30 @@ def jump_table(spark, sf):
     return baselines.jump_table(emb_pairs(spark, sf), 0.25).select("i", "j", "p")
 
 
-@query("spectral_order_line")
+def shuffled(spark, sf, cycles: float):
+    """60 frames of a planted recording without their order: t is hashed. Adds the true place as column at."""
+    g = workloads.grid(spark, "none", [0.0], (1,), (cycles,))
+    f = synth.planted(spark, table(spark, sf, "embeddings"), g, 60, 16, 16, 3)
+    key = F.row_number().over(window.Window.partitionBy("video_id").orderBy(F.md5(F.col("t").cast("string"))))
+    return storage.materialise(f.withColumn("at", F.col("t")).withColumn("t", key - 1))
+
+
+@query("spectral_order_line", "SELECT 60 AS n, true AS in_order FROM range(1)")
 def spectral_order_line(spark, sf):
-    return baselines.spectral_order(gram.distance_matrices(emb_frames(spark, sf)), "line").select("pos", F.col("i").alias("vec_id"))
+    """Frames of a third of a cycle without order: the first mode that is not constant puts them in a line."""
+    f = shuffled(spark, sf, 1 / 3)
+    order = baselines.spectral_order(gram.distance_matrices(f), "line").join(f.select(F.col("t").alias("i"), "at"), "i")
+    step = F.abs(F.col("at") - F.lag("at").over(window.Window.partitionBy(F.lit(0)).orderBy("pos")))
+    return order.withColumn("step", step).agg(F.count("*").alias("n"), (F.max("step") == 1).alias("in_order"))
 
 
-@query("spectral_order_loop")
+@query("spectral_order_loop", "SELECT 60 AS n, true AS in_order FROM range(1)")
 def spectral_order_loop(spark, sf):
-    return baselines.spectral_order(gram.distance_matrices(emb_frames(spark, sf)), "loop").select("pos", F.col("i").alias("vec_id"))
+    """Frames of one whole cycle without order: the phase of the first two modes puts them around the loop."""
+    f = shuffled(spark, sf, 1.0)
+    order = baselines.spectral_order(gram.distance_matrices(f), "loop").join(f.select(F.col("t").alias("i"), "at"), "i")
+    step = F.pmod(F.col("at") - F.lag("at").over(window.Window.partitionBy(F.lit(0)).orderBy("pos")), F.lit(60))
+    return order.withColumn("step", F.least(step, 60 - step)).agg(F.count("*").alias("n"), (F.max("step") == 1).alias("in_order"))
 
 
 def hex32(key: str) -> str:
@@ -723,7 +811,57 @@ def shake_kernel(spark, sf):
     return corrupt.shake_kernel(table(spark, sf, "embeddings").select(F.col("vec_id").alias("t")), 5)
 
 
-@query("geodesic_hops")
+def shortest(steps: int = 16) -> str:
+    """CTEs up to the shortest paths of at most ``steps`` + 1 edges on the neighbour graph."""
+    parts = [
+        f"""{PAIRS}, f AS (SELECT i, j, d2 FROM pairs UNION ALL SELECT j, i, d2 FROM pairs), k AS (SELECT i, j, d2, row_number() OVER (PARTITION BY i ORDER BY d2, j) AS rnk FROM f),
+g AS MATERIALIZED (SELECT DISTINCT i, j, w FROM (SELECT i, j, sqrt(d2) AS w FROM k WHERE rnk <= 8 UNION ALL SELECT j, i, sqrt(d2) FROM k WHERE rnk <= 8)), p0 AS (SELECT i, j, w AS dist FROM g)"""
+    ]
+    parts += [f"p{s + 1} AS MATERIALIZED (SELECT i, j, min(dist) AS dist FROM (SELECT i, j, dist FROM p{s} UNION ALL SELECT p.i, g.j, p.dist + g.w FROM p{s} p JOIN g ON g.i = p.j) GROUP BY i, j)" for s in range(steps)]
+    return ", ".join(parts)
+
+
+@query("geodesic_hops", f"WITH {shortest()} SELECT i, j, {r('dist')} AS dist FROM p16 WHERE i < j")
 def geodesic_hops(spark, sf):
-    """Shortest paths along the neighbour graph; no SQL, checked against brute force in the tests."""
+    """Shortest paths along the neighbour graph."""
     return period.geodesics(gram.distance_matrices(emb_frames(spark, sf))).select("i", "j", "dist")
+
+
+# --- the rest of the data model -----------------------------------------------------------------
+
+
+@query("frame_quantised", f"WITH {PX} SELECT t, p, round(greatest(least(val, 1.0), 0.0) * 255) + 0.0 AS val FROM px")
+def frame_quantised(spark, sf):
+    """Frames clipped and rounded to 256 levels, as a sink of images stores them."""
+    return frames.quantised(emb_frames(spark, sf)).select("t", F.posexplode("px").alias("p", "val"))
+
+
+@query("frame_grayscale", f"WITH {PX} SELECT t, p, 1::BIGINT AS ch, round(val * 0.299 + 2 * val * 0.587 + 3 * val * 0.114, 5) + 0.0 AS val FROM px", digits=5)
+def frame_grayscale(spark, sf):
+    """Three channels, here multiples of one, mixed to one."""
+    colour = emb_frames(spark, sf).withColumn("px", F.flatten(F.transform(F.col("px").cast("array<double>"), lambda v: F.array(v, 2 * v, 3 * v)))).withColumn("ch", F.lit(3))
+    return frames.grayscale(colour).select("t", "ch", F.posexplode("px").alias("p", "val"))
+
+
+@query("ideal_circle", f"SELECT m, {r(f'2 - 2 * cos({TAU} * m / 84)')} AS {LAMBDA}, 0.0::DOUBLE AS resid FROM (SELECT unnest(range(1, 43)) AS m)")
+def ideal_circle(spark, sf):
+    """One period only: the circle graph, its closed-form spectrum and its modes."""
+    return spectral.ideal_spectrum(spark, 1, 84).join(spectral.ideal_residual(spark, 1, 84), "m").select("m", "lambda", "resid")
+
+
+@query("spectrum_gap", "SELECT '0' AS video_id, 0.0::DOUBLE AS gap FROM range(1)")
+def spectrum_gap(spark, sf):
+    """Computed low modes of the ideal graph against the closed form."""
+    found = spectral.low_modes(spectral.ideal_laplacian(spark, K, T).select(F.lit("0").alias("video_id"), "i", "j", "val"))
+    twice = spectral.ideal_spectrum(spark, K, T).select(F.explode(F.when(F.col("m") < K * T // 2, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))), "lambda")
+    rank = F.row_number().over(window.Window.partitionBy(F.lit(0)).orderBy("lambda"))
+    return metrics.spectrum_gap(found.select("video_id", "rank", "lambda"), twice.select("lambda", rank.alias("rank")))
+
+
+@query("stage_cost", "SELECT 'Exchange' AS operator, 1 AS n FROM range(1)")
+def stage_cost(spark, sf):
+    """The exchanges of phase inference from stored frames: one."""
+    from ..config import FoldConfig
+    from ..plans import pipeline
+
+    return metrics.stage_cost(pipeline.inferred(emb_frames(spark, sf), FoldConfig(pyramid_level=1))).filter("operator = 'Exchange'")

@@ -311,3 +311,32 @@ def predicate_suite(spark, sf):
     p = table(spark, sf, "part")
     keep = (F.col("p_size").between(5, 30) & F.col("p_type").like("%STEEL%")) | F.col("p_brand").isin("Brand#11", "Brand#22") | F.col("p_name").rlike("^[a-f]") | F.col("p_size").eqNullSafe(49)
     return p.filter(keep).select("p_partkey")
+
+
+@query(
+    "orders_merge_join",
+    "SELECT o_orderstatus, count(*) AS n, sum(l_quantity) AS quantity FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1",
+)
+def orders_merge_join(spark, sf):
+    """Two large sides in a sorted join, asked for by a hint."""
+    items = table(spark, sf, "lineitem").select("l_orderkey", "l_quantity")
+    both = table(spark, sf, "orders").select("o_orderkey", "o_orderstatus").hint("merge").join(items, F.col("o_orderkey") == F.col("l_orderkey"))
+    return both.groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.sum("l_quantity").alias("quantity"))
+
+
+SHARES = {"1-URGENT": 0.5, "2-HIGH": 0.25, "3-MEDIUM": 0.1}
+
+
+@query(
+    "orders_sample",
+    "SELECT o_orderkey, o_orderpriority FROM orders WHERE ('0x' || substr(md5('7|' || o_orderkey::VARCHAR), 1, 8))::BIGINT / 4294967296.0 < CASE "
+    + " ".join(f"WHEN o_orderpriority = '{k}' THEN {v}" for k, v in SHARES.items())
+    + " ELSE 0.05 END",
+)
+def orders_sample(spark, sf):
+    """A sample by strata that any engine repeats: a hash of the key against the stratum's share."""
+    u = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit("7"), F.col("o_orderkey").cast("string"))), 1, 8), 16, 10).cast("long") / F.lit(4294967296.0)
+    share = F.lit(0.05)
+    for k, v in SHARES.items():
+        share = F.when(F.col("o_orderpriority") == k, v).otherwise(share)
+    return table(spark, sf, "orders").filter(u < share).select("o_orderkey", "o_orderpriority")

@@ -100,11 +100,11 @@ def sql_sliding_windows(spark, sf):
     return spark.sql("SELECT i, w FROM sliding_windows(TABLE(_cyclefold_series), 13)").select("i", F.posexplode("w").alias("k", "v"))
 
 
-@query("sql_fold")
+@query("sql_fold", f"SELECT j, round({TAU} * j / {M}, 6) + 0.0 AS theta, true AS voted FROM (SELECT unnest(range({M})) AS j)")
 def sql_fold(spark, sf):
     sql.register(spark)
     planted_series(spark, sf).select(F.lit("e").alias("series_id"), "t", "v").createOrReplaceTempView("_cyclefold_wave")
-    return spark.sql(f"SELECT j, theta, v, n_votes FROM fold(TABLE(_cyclefold_wave), {M}, 0.5D)")
+    return spark.sql(f"SELECT j, theta, v IS NOT NULL AND n_votes > 0 AS voted FROM fold(TABLE(_cyclefold_wave), {M}, 0.5D)")
 
 
 @query("sql_vector_functions", "SELECT label, count(*) AS n FROM embeddings GROUP BY label")
