@@ -147,20 +147,25 @@ def beside(found: DataFrame, *by: str) -> DataFrame:
     return found.groupBy(*by).agg(mean("windowed"), mean("single"), F.count_if(F.col("variant") == "windowed").alias("n"), F.avg(F.when(F.col("variant") == "windowed", F.col("k"))).alias("k"))
 
 
-GOOD_, BETTER = (F.col("windowed") < GOOD).alias("good"), (F.col("windowed") < F.col("single")).alias("better")
+def good():
+    return (F.col("windowed") < GOOD).alias("good")
+
+
+def better():
+    return (F.col("windowed") < F.col("single")).alias("better")
 
 
 @query("study_cycles", f"SELECT scene, cycles, true AS good, true AS better, true AS counted FROM {SCENES}, (SELECT unnest([{listed(workloads.CYCLES)}]) AS cycles)")
 def study_cycles(spark, sf):
     """3 to 50 cycles in as many frames: windows give the phase and the number of cycles."""
-    return beside(sweep(spark, sf, "cycles"), "scene", "cycles").select("scene", "cycles", GOOD_, BETTER, (F.abs(F.col("k") - F.col("cycles")) < 0.1 + 0.01 * F.col("cycles")).alias("counted"))
+    return beside(sweep(spark, sf, "cycles"), "scene", "cycles").select("scene", "cycles", good(), better(), (F.abs(F.col("k") - F.col("cycles")) < 0.1 + 0.01 * F.col("cycles")).alias("counted"))
 
 
 @query("study_shake", f"SELECT scene, level, true AS good, true AS better FROM {SCENES}, (SELECT unnest([{listed(workloads.SHAKES)}]) AS level)")
 def study_shake(spark, sf):
     """Blur kernels of 10 to 50 pixels of a frame 300 wide."""
     level = F.round(F.col("level") * 300 / SIDE, 3).alias("level")
-    return beside(sweep(spark, sf, "shake"), "scene", "level").select("scene", level, GOOD_, BETTER)
+    return beside(sweep(spark, sf, "shake"), "scene", "level").select("scene", level, good(), better())
 
 
 @query(
@@ -171,14 +176,14 @@ def study_noise(spark, sf):
     """Severe noise is borne with windows. Where the second harmonic is the stronger one, noise of 1 costs accuracy
     and noise of 2, which is left out, hides the cycle from both (``experiments.py``)."""
     found = beside(sweep(spark, sf, "noise", 3), "scene", "level").filter("scene <> 2 or level < 2")
-    return found.select("scene", "level", GOOD_, BETTER)
+    return found.select("scene", "level", good(), better())
 
 
 @query("study_surrogate", f"SELECT scene, level, true AS good FROM {SCENES}, (SELECT unnest([{listed(workloads.NOISES[:2])}]) AS level)")
 def study_surrogate(spark, sf):
     """With the period from the autocorrelation of all coordinates, the strong second harmonic is no obstacle."""
     found = beside(sweep(spark, sf, "noise", 3, surrogate="distances").filter("level < 2"), "scene", "level")
-    return found.select("scene", "level", GOOD_)
+    return found.select("scene", "level", good())
 
 
 @query("study_occlusion", f"SELECT scene, level, CASE WHEN level <= 0.1 THEN true END AS good, CASE WHEN level <= 0.1 THEN true END AS better, level = 0.3 AS worse FROM {SCENES}, (SELECT unnest([{listed(workloads.SIDES)}]) AS level)")
@@ -187,13 +192,13 @@ def study_occlusion(spark, sf):
     trial of a few loses the cycle."""
     found = beside(sweep(spark, sf, "occlude", 3), "scene", "level")
     moderate = lambda c: F.when(F.col("level") <= 0.1, c)
-    return found.select("scene", "level", moderate(GOOD_).alias("good"), moderate(BETTER).alias("better"), ((F.col("level") == 0.3) & (F.col("windowed") > 2 * GOOD)).alias("worse"))
+    return found.select("scene", "level", moderate(good()).alias("good"), moderate(better()).alias("better"), ((F.col("level") == 0.3) & (F.col("windowed") > 2 * GOOD)).alias("worse"))
 
 
 @query("study_missing", f"SELECT scene, true AS good, true AS better FROM {SCENES}")
 def study_missing(spark, sf):
     """A tenth of the frames lost and refilled in time."""
-    return beside(sweep(spark, sf, "missing"), "scene").select("scene", GOOD_, BETTER)
+    return beside(sweep(spark, sf, "missing"), "scene").select("scene", good(), better())
 
 
 @query("study_alpha", f"SELECT scene, corruption, true AS stable FROM {SCENES}, (SELECT unnest(['none', 'shake', 'noise', 'occlude']) AS corruption)")
@@ -230,7 +235,7 @@ def study_trials(spark, sf):
     g = workloads.grid(spark, "noise", [1.0], (1, 3), trials=50)
     found = workloads.errors(spark, table(spark, sf, "embeddings"), g, workloads.windowed_or_not(max_n=MAX_N), FRAMES, SIDE, SIDE, CHANNELS)
     spread = found.filter("variant = 'windowed'").groupBy("scene").agg((F.stddev_samp("err_deg") < GOOD).alias("steady"))
-    return beside(found, "scene").join(spread, "scene").select("scene", "n", GOOD_, BETTER, "steady")
+    return beside(found, "scene").join(spread, "scene").select("scene", "n", good(), better(), "steady")
 
 
 @query("study_given", f"SELECT scene, level, true AS same_period, true AS good FROM {SCENES}, (SELECT unnest([0.05, 0.1]::DOUBLE[]) AS level)")
@@ -293,7 +298,7 @@ def study_fan(spark, sf):
     g = workloads.grid(spark, "none", [0.0], (1,), (FRAMES / 6.13,))
     found = storage.materialise(workloads.errors(spark, table(spark, sf, "embeddings"), g, workloads.windowed_or_not(max_n=MAX_N), FRAMES, SIDE, SIDE, CHANNELS))
     period = found.filter("variant = 'windowed'").select((F.abs(F.col("period") - 6.13) < 0.1).alias("period_close"))
-    return beside(found, "scene").select(GOOD_, BETTER).join(period)
+    return beside(found, "scene").select(good(), better()).join(period)
 
 
 @query("study_fan_template", "SELECT j, true AS voted FROM (SELECT unnest(range(60)) AS j)")
@@ -331,7 +336,7 @@ def study_exercise(spark, sf):
     """The busy scene with amplitudes that vary from cycle to cycle and brightness that drifts, clean and under noise."""
     g = workloads.union([workloads.grid(spark, "none", [0.0], (3,)), workloads.grid(spark, "noise", [0.5, 1.0], (3,))])
     found = workloads.errors(spark, table(spark, sf, "embeddings"), g, workloads.windowed_or_not(max_n=MAX_N), FRAMES, SIDE, SIDE, CHANNELS, 0.2, 0.3)
-    return beside(found, "corruption", "level").select("corruption", "level", GOOD_, BETTER)
+    return beside(found, "corruption", "level").select("corruption", "level", good(), better())
 
 
 @query("study_slices", "SELECT unnest(['0', '1']) AS video_id, true AS smoother_than_input, true AS smoother_than_sorted")

@@ -34,7 +34,11 @@ def plain(v):
     return repr(float(v)) if isinstance(v, float) or hasattr(v, "as_tuple") else str(v)
 
 
-@pytest.mark.parametrize("name", sorted(ORACLES))
+#: Sweeps of many minutes of a core; the driver and experiments.py run them.
+LONG = {"study_trials", "study_alpha", "study_alpha_windows", "study_occlusion", "study_surrogate", "phases_corrupt_table"}
+
+
+@pytest.mark.parametrize("name", sorted(set(ORACLES) - LONG))
 def test_queries_equal_their_sql(spark, views, name):
     df = QUERIES[name](spark, SMALL)
     columns = sorted(df.columns)
@@ -141,7 +145,7 @@ def test_online_phase_and_upsert(spark, tmp_path):
 def test_entry(spark):
     entry = importlib.import_module("__spark_entry__")
     row = entry.entry(spark).first()
-    assert abs(row.period - 12) < 0.2 and row.err_deg < 20
+    assert (row.period, row.d, row.k, row.fallback, row.good) == (12, 13, 30, False, True)
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
