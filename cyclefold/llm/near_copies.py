@@ -12,7 +12,9 @@ so no radius finds all pairs; an exact set join completes the links:
 * groups are the connected components of the links, so that not every pair of a dense group has
   to be compared: in a few rounds all texts at a shingle are checked against one of them, another
   each round, and components are joined; then only the pairs that still lie apart are checked,
-  all of them. A shingle of many texts is cut into blocks, so that no task holds them all.
+  all of them. A shingle of many texts is cut into blocks, so that no task holds them all;
+* before sets are compared, their profiles are: a bit of one that the other lacks stands for a
+  shingle that the other lacks. That rules out most pairs, and never one of similarity t.
 
 Every link is checked on the whole shingle sets. Shingles and texts are compared by 64-bit hashes.
 
@@ -26,7 +28,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import common, components, simhash
@@ -39,6 +41,10 @@ SAMPLE, FREQUENT = 20_000, 50_000
 PIVOT_ROUNDS = 2
 #: Texts of one shingle that a task pairs with as many others.
 BLOCK = 4096
+#: A text's profile: so many words of 64 bits, with the bits of its shingles' hashes.
+PROFILE = [f"b{k}" for k in range(8)]
+#: Pairs or keys (16 bytes each) up to which they are broadcast; beyond, both sides of a join are dealt out.
+FEW = 1_000_000
 
 
 def shingles(text: str | None) -> np.ndarray:
@@ -79,10 +85,17 @@ def majority(found: np.ndarray) -> int:
     return int(np.packbits(2 * bits > len(found), bitorder="little").view("<i8")[0])
 
 
+def profile(found: np.ndarray) -> list[int]:
+    """The bits that the shingles' hashes set, as signed longs."""
+    bits = np.zeros(64 * len(PROFILE), np.uint8)
+    bits[found & (len(bits) - 1)] = 1
+    return np.packbits(bits, bitorder="little").view("<i8").tolist()
+
+
 def summaries(texts: DataFrame, n: int) -> DataFrame:
-    """key, n, fp, prefix: size, fingerprint and first shingles of each text, in the global order."""
+    """key, n, fp, profile, prefix: size, fingerprint, profile and first shingles of each text, in the global order."""
     frequent, weight = frequent_shingles(texts, n)
-    schema = pa.schema([("key", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), ("prefix", pa.list_(pa.int64()))])
+    schema = pa.schema([("key", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), *((b, pa.int64()) for b in PROFILE), ("prefix", pa.list_(pa.int64()))])
 
     def make():
         seen: set[int] = set()  # exact copies in one task are summarised once
@@ -92,19 +105,23 @@ def summaries(texts: DataFrame, n: int) -> DataFrame:
                 return ()
             seen.add(key)
             found = shingles(text)
-            return ((key, len(found), majority(found), ordered(found, frequent, weight)[: prefix_length(len(found))].tolist()),)
+            return ((key, len(found), majority(found), *profile(found), ordered(found, frequent, weight)[: prefix_length(len(found))].tolist()),)
 
         return one
 
-    return texts.mapInArrow(common.per_row(["key", "text"], schema, make), "key long, n long, fp long, prefix array<long>")
+    out = f"key long, n long, fp long, {', '.join(f'{b} long' for b in PROFILE)}, prefix array<long>"
+    return texts.mapInArrow(common.per_row(["key", "text"], schema, make), out)
 
 
 def meetings(known: DataFrame) -> DataFrame:
-    """token, key, n, at: the first shingles of each text that another text's first ones share, and their places."""
-    rows = known.select("key", "n", F.posexplode("prefix").alias("at", "token"))
+    """token, key, n, at: the first shingles of each text that another text's first ones share, and their places.
+
+    One exchange by shingle serves the removal of copies and the search for partners.
+    """
+    rows = known.select("key", "n", F.posexplode("prefix").alias("at", "token")).repartition("token")
     rows = rows.groupBy("token", "key").agg(F.first("n").alias("n"), F.first("at").cast("long").alias("at"))
-    several = rows.groupBy("token").agg(F.min("key").alias("_a"), F.max("key").alias("_b")).filter("_a < _b").select("token")
-    return rows.join(several, "token")
+    least, most = (f("key").over(Window.partitionBy("token")) for f in (F.min, F.max))
+    return rows.withColumns({"_a": least, "_b": most}).filter("_a < _b").select("token", "key", "n", "at")
 
 
 def _may_link(n, at, other_n, other_at):
@@ -116,6 +133,13 @@ def _may_link(n, at, other_n, other_at):
     return 9 * least(*rest) >= 4 * (n + other_n)
 
 
+def _missing(own, other):
+    """How many bits of one profile the other lacks; on columns or on arrays (profile word, text)."""
+    if isinstance(own, np.ndarray):
+        return np.bitwise_count((own & ~other).view(np.uint64)).astype(np.int64).sum(axis=0)
+    return sum((F.bit_count(F.col(a).bitwiseAND(F.bitwise_not(F.col(b)))) for a, b in zip(own, other, strict=True)), F.lit(0))
+
+
 def alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """The pairs (u, v) whose whole sets have a similarity of 0.8 or more; sets: key, found (their sorted hashes)."""
     schema = pa.schema([("u", pa.int64()), ("v", pa.int64())])
@@ -130,8 +154,10 @@ def alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
         return one
 
-    a, b = (sets.select(F.col("key").alias(k), F.col("found").alias(f"of_{k}")) for k in ("u", "v"))
-    both = pairs.join(a, "u").join(b, "v").select("u", "v", "of_u", "of_v")
+    pairs = common.materialise(pairs)
+    few = F.broadcast if pairs.count() <= FEW else lambda x: x
+    of = lambda k: sets.select(F.col("key").alias(k), F.col("found").alias(f"of_{k}")).join(few(pairs), k)
+    both = of("u").join(of("v"), ["u", "v"]).select("u", "v", "of_u", "of_v")
     return both.mapInArrow(common.per_row(["u", "v", "of_u", "of_v"], schema, make), "u long, v long")
 
 
@@ -141,9 +167,8 @@ def set_table(texts: DataFrame) -> DataFrame:
     return texts.mapInArrow(common.per_row(["key", "text"], schema, lambda: lambda key, text: ((key, shingles(text).tobytes()),)), "key long, found binary")
 
 
-def fingerprint_pairs(known: DataFrame) -> DataFrame:
+def fingerprint_pairs(prints: DataFrame) -> DataFrame:
     """u, v: texts of equal fingerprints, and one text each of fingerprints that the BK-trees link."""
-    prints = common.materialise(known.groupBy("key").agg(F.first("fp").alias("fp")))
     first = common.materialise(prints.groupBy("fp").agg(F.min("key").alias("least")))
     equal = prints.join(first, "fp").filter("key <> least").select(F.col("least").alias("u"), F.col("key").alias("v"))
     linked = simhash.links(first.select("fp"), first.count())
@@ -152,29 +177,33 @@ def fingerprint_pairs(known: DataFrame) -> DataFrame:
     return equal.unionByName(near).distinct()
 
 
-def apart(met: DataFrame, roots: DataFrame) -> DataFrame:
-    """token, key, n, at, root: the meetings at shingles whose texts are not all in one component yet."""
+def apart(met: DataFrame, roots: DataFrame, profiles: DataFrame) -> DataFrame:
+    """token, key, n, at, root, profile: the meetings at shingles whose texts are not all in one component yet."""
     rows = met.join(roots, met.key == roots.node, "left").select("token", "key", "n", "at", F.coalesce("root", "key").alias("root"))
     mixed = rows.groupBy("token").agg(F.min("root").alias("_a"), F.max("root").alias("_b")).filter("_a < _b").select("token")
-    return rows.join(mixed, "token")
+    return common.materialise(rows.join(mixed, "token").join(profiles.select("key", *PROFILE), "key"))
 
 
 def to_pivots(rows: DataFrame, k: int) -> DataFrame:
     """u, v: at each shingle, every text of another component with the one text that round ``k`` chooses."""
-    pivot = rows.groupBy("token").agg(F.min(F.struct(F.xxhash64("key", F.lit(k)).alias("draw"), "key", "n", "at", "root")).alias("p"))
+    pivot = rows.groupBy("token").agg(F.min(F.struct(F.xxhash64("key", F.lit(k)).alias("draw"), "key", "n", "at", "root", *PROFILE)).alias("p"))
     both = rows.join(pivot, "token").filter((F.col("root") != F.col("p.root")) & _may_link(F.col("n"), F.col("at"), F.col("p.n"), F.col("p.at")))
+    theirs = [f"p.{b}" for b in PROFILE]
+    common_most = F.least(F.col("n") - _missing(PROFILE, theirs), F.col("p.n") - _missing(theirs, PROFILE))
+    both = both.filter(9 * common_most >= 4 * (F.col("n") + F.col("p.n")))
     return both.select(F.least("key", "p.key").alias("u"), F.greatest("key", "p.key").alias("v")).distinct()
 
 
 def all_pairs(rows: DataFrame) -> DataFrame:
-    """u, v: all pairs of ``rows`` (token, key, n, at, root) that meet, lie in different components and can be linked.
+    """u, v: all pairs of ``rows`` (token, key, n, at, root, profile) that meet, lie in different components and can be linked.
 
     The texts of a shingle are dealt into blocks of about ``BLOCK``, and each pair of blocks meets in a task.
     """
     schema = pa.schema([("u", pa.int64()), ("v", pa.int64())])
-    columns = ["token", "low", "high", "block", "key", "n", "at", "root"]
+    columns = ["token", "low", "high", "block", "key", "n", "at", "root", *PROFILE]
 
-    def pairs(low, high, block, key, n, at, root):
+    def pairs(low, high, block, key, n, at, root, *bits):
+        bits = np.stack(bits)
         _, group, size = np.unique(root, return_inverse=True, return_counts=True)
         main = group == int(np.argmax(size))
         if main.all():
@@ -186,6 +215,8 @@ def all_pairs(rows: DataFrame) -> DataFrame:
             if low[0] != high[0]:
                 other = other[block[other] != block[i]]
             other = other[_may_link(n[other], at[other], np.full(len(other), n[i]), np.full(len(other), at[i]))]
+            most = np.minimum(n[other] - _missing(bits[:, other], bits[:, [i]]), n[i] - _missing(np.repeat(bits[:, [i]], len(other), axis=1), bits[:, other]))
+            other = other[9 * most >= 4 * (n[other] + n[i])]
             if len(other):
                 yield np.minimum(key[other], key[i]), np.maximum(key[other], key[i])
 
@@ -222,15 +253,17 @@ def groups(docs: DataFrame) -> DataFrame:
     keys = common.materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("key")))
     distinct = common.materialise(keys.groupBy("key").agg(F.min("doc_id").alias("least")))
     known = common.materialise(summaries(texts, distinct.count()))
+    profiles = common.materialise(known.select("key", "fp", *PROFILE).dropDuplicates(["key"]))
     met = common.materialise(meetings(known))
-    wanted = texts.join(met.select("key").distinct(), "key", "left_semi")
-    sets = common.materialise(set_table(wanted).groupBy("key").agg(F.first("found").alias("found")))
+    printed = common.materialise(fingerprint_pairs(profiles))
+    keys_met = common.materialise(met.select("key").unionByName(printed.select(F.explode(F.array("u", "v")).alias("key"))).distinct())
+    few = F.broadcast if keys_met.count() <= FEW else lambda x: x
+    sets = common.materialise(set_table(texts.join(few(keys_met), "key", "left_semi")).groupBy("key").agg(F.first("found").alias("found")))
 
-    joined = components.of_edges(alike(fingerprint_pairs(known), sets))
+    joined = components.of_edges(alike(printed, sets))
     for k in range(PIVOT_ROUNDS):
-        joined = components.of_edges(alike(to_pivots(apart(met, joined), k), sets), joined)
-    rest = common.materialise(all_pairs(apart(met, joined)))
-    found = components.of_edges(alike(rest, sets), joined)
+        joined = components.of_edges(alike(to_pivots(apart(met, joined, profiles), k), sets), joined)
+    found = components.of_edges(alike(all_pairs(apart(met, joined, profiles)), sets), joined)
 
     moved = distinct.join(found, distinct.key == found.node, "left").select("key", "least", F.coalesce("root", "key").alias("root"))
     named = moved.groupBy("root").agg(F.min("least").alias("component_id"))
