@@ -204,14 +204,14 @@ def study_missing(spark, sf):
 @query("study_alpha", f"SELECT scene, corruption, true AS stable FROM {SCENES}, (SELECT unnest(['none', 'shake', 'noise', 'occlude']) AS corruption)")
 def study_alpha(spark, sf):
     """With windows the error hardly moves over the weight of birth against death, in every scene and under every corruption."""
-    found = sweep(spark, sf, "alpha").filter("variant like 'windowed/%' and variant <> 'windowed/1.0'")
+    found = sweep(spark, sf, "alpha").filter("variant like 'windowed/%'")
     return metrics.alpha_spread(found, ["scene", "corruption"]).select("scene", "corruption", (F.col("spread") < 3).alias("stable"))
 
 
 @query("study_alpha_windows", f"SELECT scene, corruption, true AS steadier FROM {SCENES}, (SELECT unnest(['none', 'shake', 'noise', 'occlude']) AS corruption)")
 def study_alpha_windows(spark, sf):
     """Windows make the choice of the weight matter less."""
-    found = sweep(spark, sf, "alpha").filter("variant not like '%/1.0'").withColumn("window", F.substring_index("variant", "/", 1))
+    found = sweep(spark, sf, "alpha").withColumn("window", F.substring_index("variant", "/", 1))
     spread = metrics.alpha_spread(found, ["scene", "corruption", "window"]).groupBy("scene", "corruption").pivot("window", ["windowed", "single"]).agg(F.first("spread"))
     return spread.select("scene", "corruption", (F.col("windowed") < F.col("single")).alias("steadier"))
 
