@@ -13,8 +13,12 @@ so no radius finds all pairs; an exact set join completes the links:
   to be compared: in a few rounds all texts at a shingle are checked against one of them, another
   each round, and components are joined; then only the pairs that still lie apart are checked,
   all of them. A shingle of many texts is cut into blocks, so that no task holds them all;
+* a passage of many shingles makes the same texts meet at each of them. Shingles of the same texts
+  count as one, at the first of their places in each text; that keeps every pair;
 * before sets are compared, their profiles are: a bit of one that the other lacks stands for a
-  shingle that the other lacks. That rules out most pairs, and never one of similarity t.
+  shingle that the other lacks; then, of the pairs left, how many shingles fall into each of many
+  bins. That rules out most pairs, and never one of similarity t. Whole sets are made for the texts
+  of a round's pairs only, and go with the round.
 
 Every link is checked on the whole shingle sets. Shingles and texts are compared by 64-bit hashes.
 
@@ -43,6 +47,8 @@ PIVOT_ROUNDS = 2
 BLOCK = 4096
 #: A text's profile: so many words of 64 bits, with the bits of its shingles' hashes.
 PROFILE = [f"b{k}" for k in range(8)]
+#: Bins over which a text's shingles are counted, and the most that a bin counts; two bins share a byte.
+BINS, MOST = 1024, 15
 #: Pairs or keys (16 bytes each) up to which they are broadcast; beyond, both sides of a join are dealt out.
 FEW = 1_000_000
 
@@ -114,14 +120,20 @@ def summaries(texts: DataFrame, n: int) -> DataFrame:
 
 
 def meetings(known: DataFrame) -> DataFrame:
-    """token, key, n, at: the first shingles of each text that another text's first ones share, and their places.
+    """token, key, n, at: where each text's first shingles are shared by another text's first ones.
 
-    One exchange by shingle serves the removal of copies and the search for partners.
+    One exchange by shingle serves the removal of copies and the search for partners. A token stands for
+    all shingles that the same texts share; ``at`` is the least of their places in the text, so what
+    ``_may_link`` rules out there it rules out at each of them.
     """
     rows = known.select("key", "n", F.posexplode("prefix").alias("at", "token")).repartition("token")
     rows = rows.groupBy("token", "key").agg(F.first("n").alias("n"), F.first("at").cast("long").alias("at"))
-    least, most = (f("key").over(Window.partitionBy("token")) for f in (F.min, F.max))
-    return rows.withColumns({"_a": least, "_b": most}).filter("_a < _b").select("token", "key", "n", "at")
+    whole = Window.partitionBy("token")
+    least, most = (f("key").over(whole) for f in (F.min, F.max))
+    # equal hashes of different groups of texts would only make more texts meet
+    same = F.xxhash64(F.count("*").over(whole), *(F.bit_xor(F.xxhash64("key", F.lit(k))).over(whole) for k in range(2)))
+    rows = rows.withColumns({"_a": least, "_b": most, "_same": same}).filter("_a < _b").select(F.col("_same").alias("token"), "key", "n", "at")
+    return rows.groupBy("token", "key").agg(F.first("n").alias("n"), F.min("at").alias("at"))
 
 
 def _may_link(n, at, other_n, other_at):
@@ -140,10 +152,30 @@ def _missing(own, other):
     return sum((F.bit_count(F.col(a).bitwiseAND(F.bitwise_not(F.col(b)))) for a, b in zip(own, other, strict=True)), F.lit(0))
 
 
-def alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The pairs (u, v) whose whole sets have a similarity of 0.8 or more; sets: key, found (their sorted hashes)."""
+def bin_counts(found: np.ndarray) -> bytes:
+    """How many shingles fall into each bin, up to ``MOST``; two bins a byte."""
+    counts = np.minimum(np.bincount(found & (BINS - 1), minlength=BINS), MOST).astype(np.uint8)
+    return (counts[::2] | counts[1::2] << 4).tobytes()
+
+
+def counts_allow(n: int, of_n: bytes, m: int, of_m: bytes) -> bool:
+    """Sets of n and m shingles with these counts can be similar: what a bin of one has more, the other lacks."""
+    a, b = np.frombuffer(of_n, np.uint8), np.frombuffer(of_m, np.uint8)
+    a, b = (np.concatenate([x & 15, x >> 4]).astype(np.int16) for x in (a, b))
+    over = int(np.maximum(a - b, 0).sum()), int(np.maximum(b - a, 0).sum())
+    return 9 * min(n - over[0], m - over[1]) >= 4 * (n + m)
+
+
+def alike(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """The pairs (u, v) whose whole sets have a similarity of 0.8 or more; texts: key, text.
+
+    Counts are compared before sets are moved to each other.
+    """
     schema = pa.schema([("u", pa.int64()), ("v", pa.int64())])
 
+    def can():
+        return lambda u, v, n, m, of_u, of_v: ((u, v),) if counts_allow(n, of_u, m, of_v) else ()
+
     def make():
         def one(u, v, of_u, of_v):
             a, b = np.frombuffer(of_u, np.int64), np.frombuffer(of_v, np.int64)
@@ -154,17 +186,41 @@ def alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
         return one
 
+    def beside(pairs, values):
+        few = F.broadcast if pairs.count() <= FEW else lambda x: x
+        of = lambda k: sets.select(F.col("key").alias(k), *(c.alias(f"{name}_{k}") for name, c in values.items())).join(few(pairs), k)
+        return of("u").join(of("v"), ["u", "v"]).select("u", "v", *(f"{name}_{k}" for name in values for k in "uv"))
+
     pairs = common.materialise(pairs)
-    few = F.broadcast if pairs.count() <= FEW else lambda x: x
-    of = lambda k: sets.select(F.col("key").alias(k), F.col("found").alias(f"of_{k}")).join(few(pairs), k)
-    both = of("u").join(of("v"), ["u", "v"]).select("u", "v", "of_u", "of_v")
-    return both.mapInArrow(common.per_row(["u", "v", "of_u", "of_v"], schema, make), "u long, v long")
+    keys = common.materialise(pairs.select(F.explode(F.array("u", "v")).alias("key")).distinct())
+    few = F.broadcast if keys.count() <= FEW else lambda x: x
+    sets = common.materialise(set_table(texts.join(few(keys), "key", "left_semi")).groupBy("key").agg(F.first("found").alias("found"), F.first("counts").alias("counts")))
+    counted = beside(pairs, {"n": (F.octet_length("found") / 8).cast("long"), "counts": F.col("counts")})
+    left = common.materialise(counted.mapInArrow(common.per_row(["u", "v", "n_u", "n_v", "counts_u", "counts_v"], schema, can), "u long, v long"))
+    both = beside(left, {"of": F.col("found")})
+    found = common.materialise(both.mapInArrow(common.per_row(["u", "v", "of_u", "of_v"], schema, make), "u long, v long"))
+    for done in (pairs, keys, sets, left):
+        common.forget(done)
+    return found
 
 
 def set_table(texts: DataFrame) -> DataFrame:
-    """key, found: the sorted shingle hashes of each text as bytes."""
-    schema = pa.schema([("key", pa.int64()), ("found", pa.binary())])
-    return texts.mapInArrow(common.per_row(["key", "text"], schema, lambda: lambda key, text: ((key, shingles(text).tobytes()),)), "key long, found binary")
+    """key, found, counts: the sorted shingle hashes of each text as bytes, and how many fall into each bin."""
+    schema = pa.schema([("key", pa.int64()), ("found", pa.binary()), ("counts", pa.binary())])
+
+    def make():
+        seen: set[int] = set()  # exact copies in one task are hashed once
+
+        def one(key, text):
+            if key in seen:
+                return ()
+            seen.add(key)
+            found = shingles(text)
+            return ((key, found.tobytes(), bin_counts(found)),)
+
+        return one
+
+    return texts.mapInArrow(common.per_row(["key", "text"], schema, make), "key long, found binary, counts binary")
 
 
 def fingerprint_pairs(prints: DataFrame) -> DataFrame:
@@ -255,15 +311,17 @@ def groups(docs: DataFrame) -> DataFrame:
     known = common.materialise(summaries(texts, distinct.count()))
     profiles = common.materialise(known.select("key", "fp", *PROFILE).dropDuplicates(["key"]))
     met = common.materialise(meetings(known))
-    printed = common.materialise(fingerprint_pairs(profiles))
-    keys_met = common.materialise(met.select("key").unionByName(printed.select(F.explode(F.array("u", "v")).alias("key"))).distinct())
-    few = F.broadcast if keys_met.count() <= FEW else lambda x: x
-    sets = common.materialise(set_table(texts.join(few(keys_met), "key", "left_semi")).groupBy("key").agg(F.first("found").alias("found")))
+    common.forget(known)
 
-    joined = components.of_edges(alike(printed, sets))
+    joined = components.of_edges(alike(fingerprint_pairs(profiles), texts))
     for k in range(PIVOT_ROUNDS):
-        joined = components.of_edges(alike(to_pivots(apart(met, joined, profiles), k), sets), joined)
-    found = components.of_edges(alike(all_pairs(apart(met, joined, profiles)), sets), joined)
+        rows = apart(met, joined, profiles)
+        joined = components.of_edges(alike(to_pivots(rows, k), texts), joined)
+        common.forget(rows)
+    rows = apart(met, joined, profiles)
+    found = components.of_edges(alike(all_pairs(rows), texts), joined)
+    common.forget(rows)
+    common.forget(met)
 
     moved = distinct.join(found, distinct.key == found.node, "left").select("key", "least", F.coalesce("root", "key").alias("root"))
     named = moved.groupBy("root").agg(F.min("least").alias("component_id"))

@@ -1,5 +1,7 @@
 import random
 
+import numpy as np
+
 import corpus_pipeline
 from cyclefold.llm import near_copies
 
@@ -79,3 +81,28 @@ def test_repeated_ids_leave_one_row(spark):
         assert sorted(r.doc_id for r in got.collect()) == [5, 7, 8]
         first = got.filter("doc_id = 7").first().component_id if some is docs else first
     assert near_copies.deduplicate(docs.repartition(7)).filter("doc_id = 7").first().component_id == first
+
+
+def test_a_shared_passage_is_one_meeting(spark):
+    """Its shingles all have the same texts, which are paired there once and not once a shingle."""
+    passage = " ".join(f"p{k}" for k in range(60))
+    texts = [f"{passage} {' '.join(f'x{i}y{k}' for k in range(40))}" for i in range(12)]
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "key long, text string")
+    met = near_copies.meetings(near_copies.summaries(docs, 12))
+    least = {r.key: r.least for r in met.groupBy("key").agg({"at": "min"}).withColumnRenamed("min(at)", "least").collect()}
+    assert met.groupBy("key").count().filter("count > 1").count() < 12 and met.count() < 30
+    first = {r.key: r.prefix for r in near_copies.summaries(docs, 12).collect()}
+    assert all(least[k] == min(a for a, x in enumerate(p) if sum(x in q for q in first.values()) > 1) for k, p in first.items() if k in least)
+
+
+def test_counts_keep_every_similar_pair():
+    draw = random.Random(5)
+    ruled_out = 0
+    for _ in range(300):
+        a = {draw.getrandbits(63) for _ in range(draw.randrange(1, 3000))}
+        b = set(draw.sample(sorted(a), draw.randrange(len(a) + 1))) | {draw.getrandbits(63) for _ in range(draw.randrange(1 + len(a) // 4))}
+        x, y = (np.array(sorted(s), np.int64) for s in (a, b))
+        allowed = near_copies.counts_allow(len(a), near_copies.bin_counts(x), len(b), near_copies.bin_counts(y))
+        assert allowed or 5 * len(a & b) < 4 * len(a | b)
+        ruled_out += not allowed
+    assert ruled_out > 100
