@@ -160,3 +160,11 @@ def _copied(source, target):
     import shutil
 
     shutil.copytree(source, target, ignore=shutil.ignore_patterns("llm", "__pycache__"))
+
+
+def test_math_suite_at_zero(spark, tmp_path):
+    """A value of zero has a logarithm in its SQL: minus infinity."""
+    spark.createDataFrame([(0, 0.0), (1, 2.5)], "event_id long, value double").write.parquet(str(tmp_path / "events.parquet"))
+    got = {r.event_id: r.b for r in QUERIES["math_suite"](spark, str(tmp_path)).collect()}
+    want = dict(duckdb.sql(f"SELECT event_id, b FROM ({ORACLES['math_suite'].replace('FROM events', f"FROM '{tmp_path}/events.parquet/*.parquet'")})").fetchall())
+    assert got == want and got[0] == float("-inf")
