@@ -168,3 +168,13 @@ def test_math_suite_at_zero(spark, tmp_path):
     got = {r.event_id: r.b for r in QUERIES["math_suite"](spark, str(tmp_path)).collect()}
     want = dict(duckdb.sql(f"SELECT event_id, b FROM ({ORACLES['math_suite'].replace('FROM events', f"FROM '{tmp_path}/events.parquet/*.parquet'")})").fetchall())
     assert got == want and got[0] == float("-inf")
+
+
+#: Queries on given tables, and a column that each has to read.
+READ = {"angular_error": "value"}
+
+
+@pytest.mark.parametrize("name", sorted(READ))
+def test_queries_read_their_table(spark, name):
+    plan = QUERIES[name](spark, SMALL)._jdf.queryExecution().executedPlan().toString()
+    assert any(READ[name] in part.split(">")[0] for part in plan.split("ReadSchema: struct<")[1:]), plan
