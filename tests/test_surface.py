@@ -171,7 +171,7 @@ def test_math_suite_at_zero(spark, tmp_path):
 
 
 #: Queries on given tables, and a column that each has to read.
-READ = {"angular_error": "value"}
+READ = {"angular_error": "value", "auto_scale": "l_extendedprice"}
 
 
 @pytest.mark.parametrize("name", sorted(READ))
