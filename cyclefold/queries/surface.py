@@ -18,8 +18,10 @@ from .registry import query, table
 
 
 def finished(spark, streamed, mode="append"):
-    """A stream run over all that is there, as a table; its progress lies in the shared folder."""
+    """A stream run over all that is there, as a table; its progress, and rows that are appended, lie in the shared folder."""
     name = f"_cyclefold_{uuid.uuid4().hex}"
+    if mode == "append":
+        return stream.run_to_files(streamed, storage.new_folder(spark), f"{storage.shared_dir(spark).rstrip('/')}/{name}")
     return stream.run_once(streamed, name, f"{storage.shared_dir(spark).rstrip('/')}/{name}", mode)
 
 
@@ -51,7 +53,7 @@ def stream_closed(spark, sf):
 
 @query("stream_dedup", "SELECT count(DISTINCT event_id) AS n FROM events")
 def stream_dedup(spark, sf):
-    return finished(spark, stream.deduplicated(events(spark, sf))).agg(F.count("*").alias("n"))
+    return finished(spark, stream.deduplicated(events(spark, sf)).select("event_id")).agg(F.count("*").alias("n"))
 
 
 @query(
@@ -66,7 +68,7 @@ def stream_join(spark, sf):
 @query("stream_template", "SELECT (date_part('hour', ts) // 2) AS j, count(*) AS n FROM events GROUP BY 1")
 def stream_template(spark, sf):
     template = spark.createDataFrame([(j, float(j)) for j in range(12)], "j int, mid double")
-    return finished(spark, stream.with_template(events(spark, sf), template, 24.0, 12)).groupBy("j").agg(F.count("*").alias("n"))
+    return finished(spark, stream.with_template(events(spark, sf), template, 24.0, 12).select("j")).groupBy("j").agg(F.count("*").alias("n"))
 
 
 @query("stream_online_phase")

@@ -178,3 +178,11 @@ READ = {"angular_error": "value", "auto_scale": "l_extendedprice", "cycle_count_
 def test_queries_read_their_table(spark, name):
     plan = QUERIES[name](spark, SMALL)._jdf.queryExecution().executedPlan().toString()
     assert any(READ[name] in part.split(">")[0] for part in plan.split("ReadSchema: struct<")[1:]), plan
+
+
+@pytest.mark.parametrize("name", ["stream_dedup", "stream_template"])
+def test_streamed_rows_stay_out_of_the_driver(spark, name, monkeypatch):
+    """What a stream appends is counted from files; no table in the driver's memory holds it."""
+    monkeypatch.setattr(stream, "run_once", lambda *_: pytest.fail("rows went to the driver"))
+    plan = QUERIES[name](spark, SMALL)._jdf.queryExecution().executedPlan().toString()
+    assert "FileScan parquet" in plan and "MemoryPlan" not in plan
