@@ -11,8 +11,10 @@ so no radius finds all pairs; an exact set join completes the links:
   line or passage seldom makes unrelated texts meet;
 * groups are the connected components of the links, so that not every pair of a dense group has
   to be compared: in a few rounds all texts at a shingle are checked against one of them, another
-  each round, and components are joined; then only the pairs that still lie apart are checked,
-  all of them. A shingle of many texts is cut into blocks, so that no task holds them all;
+  each round, and components are joined; then, as long as that still joins some, each text at a
+  shingle is checked against the one of another component that its profile is nearest to, so a
+  round checks no more pairs than there are meetings; at last the pairs that still lie apart are
+  checked, all of them. A shingle of many texts is cut into blocks, so that no task holds them all;
 * a passage of many shingles makes the same texts meet at each of them. Shingles of the same texts
   count as one, at the first of their places in each text; that keeps every pair;
 * before sets are compared, their profiles are: a bit of one that the other lacks stands for a
@@ -43,6 +45,8 @@ SEED = 42
 SAMPLE, FREQUENT = 20_000, 50_000
 #: Rounds in which the texts at a shingle are checked against one of them.
 PIVOT_ROUNDS = 2
+#: Most rounds in which each text at a shingle is checked against the nearest of another component.
+NEAREST_ROUNDS = 6
 #: Texts of one shingle that a task pairs with as many others.
 BLOCK = 4096
 #: A text's profile: so many words of 64 bits, with the bits of its shingles' hashes.
@@ -250,10 +254,12 @@ def to_pivots(rows: DataFrame, k: int) -> DataFrame:
     return both.select(F.least("key", "p.key").alias("u"), F.greatest("key", "p.key").alias("v")).distinct()
 
 
-def all_pairs(rows: DataFrame) -> DataFrame:
+def all_pairs(rows: DataFrame, nearest: bool = False) -> DataFrame:
     """u, v: all pairs of ``rows`` (token, key, n, at, root, profile) that meet, lie in different components and can be linked.
 
     The texts of a shingle are dealt into blocks of about ``BLOCK``, and each pair of blocks meets in a task.
+    With ``nearest`` a text outside the largest component there leaves one of its pairs, the one whose
+    profiles allow the most in common.
     """
     schema = pa.schema([("u", pa.int64()), ("v", pa.int64())])
     columns = ["token", "low", "high", "block", "key", "n", "at", "root", *PROFILE]
@@ -272,7 +278,10 @@ def all_pairs(rows: DataFrame) -> DataFrame:
                 other = other[block[other] != block[i]]
             other = other[_may_link(n[other], at[other], np.full(len(other), n[i]), np.full(len(other), at[i]))]
             most = np.minimum(n[other] - _missing(bits[:, other], bits[:, [i]]), n[i] - _missing(np.repeat(bits[:, [i]], len(other), axis=1), bits[:, other]))
-            other = other[9 * most >= 4 * (n[other] + n[i])]
+            may = 9 * most >= 4 * (n[other] + n[i])
+            other, most = other[may], most[may]
+            if nearest and len(other) > 1:
+                other = other[[int(np.argmax(most / (n[other] + n[i])))]]
             if len(other):
                 yield np.minimum(key[other], key[i]), np.maximum(key[other], key[i])
 
@@ -318,6 +327,13 @@ def groups(docs: DataFrame) -> DataFrame:
         rows = apart(met, joined, profiles)
         joined = components.of_edges(alike(to_pivots(rows, k), texts), joined)
         common.forget(rows)
+    for _ in range(NEAREST_ROUNDS):
+        rows = apart(met, joined, profiles)
+        links = alike(all_pairs(rows, nearest=True), texts)
+        common.forget(rows)
+        if links.isEmpty():
+            break
+        joined = components.of_edges(links, joined)
     rows = apart(met, joined, profiles)
     found = components.of_edges(alike(all_pairs(rows), texts), joined)
     common.forget(rows)

@@ -106,3 +106,14 @@ def test_counts_keep_every_similar_pair():
         assert allowed or 5 * len(a & b) < 4 * len(a | b)
         ruled_out += not allowed
     assert ruled_out > 100
+
+
+def test_a_dense_group_gives_one_pair_a_text_in_a_round(spark):
+    """Texts that meet at one shingle, each a component of its own: with the nearest, not with all others."""
+    texts = [f"{' '.join(f'd{k}' for k in range(60))} tail{i}" for i in range(90)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "key long, text string")
+    known = near_copies.summaries(docs, 90)
+    met = known.selectExpr("7L AS token", "key", "n", "0L AS at", "key AS root", *near_copies.PROFILE)
+    assert near_copies.all_pairs(met).count() == 90 * 89 // 2
+    nearest = near_copies.all_pairs(met, nearest=True).collect()
+    assert len(nearest) <= 89 and {k for r in nearest for k in r} == set(range(90))
