@@ -189,7 +189,7 @@ def test_streamed_rows_stay_out_of_the_driver(spark, name, monkeypatch):
 
 
 #: Queries on the one recording of all vectors that once held the matrix of all frames in one task.
-NO_MATRIX = ["rips_edges_h0", "geodesic_hops"]
+NO_MATRIX = ["rips_edges_h0", "geodesic_hops", "isomap_surrogate"]
 
 
 @pytest.mark.parametrize("name", NO_MATRIX)
