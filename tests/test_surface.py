@@ -171,7 +171,7 @@ def test_math_suite_at_zero(spark, tmp_path):
 
 
 #: Queries on given tables, and a column that each has to read.
-READ = {"angular_error": "value", "auto_scale": "l_extendedprice", "cycle_count_printed": "event_id", "cycle_count_slope": "event_id", "mode_pair_choice": "event_type", "phase_atan2": "value", "phase_unwrap": "value", "ideal_laplacian": "c_custkey", "ideal_residual": "c_custkey", "ideal_numeric_modes": "c_custkey", "ideal_spectrum": "c_custkey"}
+READ = {"angular_error": "value", "auto_scale": "l_extendedprice", "cycle_count_printed": "event_id", "cycle_count_slope": "event_id", "mode_pair_choice": "event_type", "phase_atan2": "value", "phase_unwrap": "value", "ideal_laplacian": "c_custkey", "ideal_circle": "c_custkey", "ideal_numeric_modes": "c_custkey", "ideal_residual": "c_custkey", "ideal_spectrum": "c_custkey"}
 
 
 @pytest.mark.parametrize("name", sorted(READ))
