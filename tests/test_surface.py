@@ -196,3 +196,16 @@ NO_MATRIX = ["rips_edges_h0", "geodesic_hops", "isomap_surrogate"]
 def test_one_recording_makes_no_matrix(spark, name, monkeypatch):
     monkeypatch.setattr(gram, "distance_matrices", lambda *_: pytest.fail("a matrix of all frames"))
     assert QUERIES[name](spark, SMALL).count() > 0
+
+
+def test_rounding_is_that_of_decimals(spark):
+    """Results are rounded as ``round`` does, also near halves and where values are large, none or no number."""
+    from cyclefold.queries import registry
+
+    draw = np.random.default_rng(3)
+    x = [*draw.normal(size=500), *(draw.integers(-9999, 9999, 500) + 0.5) / 1e6, *draw.normal(size=500) * 1e9, *draw.normal(size=500) * 1e-6, 0.0, -0.0, -1e-9, 1e300, 2.5e-6, 1.0000005, float("nan"), float("inf"), float("-inf"), None]
+    df = spark.createDataFrame([(v,) for v in map(lambda v: v if v is None else float(v), x)], "x double")
+    rows = df.select(registry.rounded(F.col("x"), 6).alias("a"), F.round("x", 6).alias("b")).collect()
+    assert len(rows) == len(x) and all(r.a == r.b or (r.a != r.a and r.b != r.b) for r in rows)
+    plan = registry.exact(df)._jdf.queryExecution().executedPlan().toString().lower()
+    assert "rint" in plan
